@@ -2,12 +2,15 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from starforest.llm import block_naming, pii_bootstrap, source_mix, url_filter
-from starforest.runtime import read_table
+from starforest.llm import block_naming, pii_bootstrap, separator_scan, source_mix, token_files, url_filter
+from starforest.llm.shared_files import remove_tree
+from starforest.runtime import cut, read_table, shared_dir
 
 
 def op1_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -22,15 +25,35 @@ def op7_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return source_mix.mix_plan(read_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    folder = f"{shared_dir(spark)}/flat-{uuid.uuid4().hex}"
+    files = cut(separator_scan.write_flat_files(read_table(spark, sf_dir, "documents"), folder))
+    counted = separator_scan.count_tokens(files)
+    named = files.select("path", F.posexplode("doc_ids").alias("ordinal", "doc_id"))
+    result = cut(counted.join(named, ["path", "ordinal"]).select("doc_id", "n_tokens"))
+    remove_tree(folder)
+    return result
+
+
 def op9_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return block_naming.exact_copies(read_table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    folder = f"{shared_dir(spark)}/tokens-{uuid.uuid4().hex}"
+    files = cut(token_files.write_token_files(read_table(spark, sf_dir, "documents"), folder))
+    result = cut(token_files.read_token_files(files))
+    remove_tree(folder)
+    return result
+
+
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_url_filter": op1_url_filter,
     "op3_pii": op3_pii,
     "op7_source_mix": op7_source_mix,
+    "op8_token_counts": op8_token_counts,
     "op9_exact_dedup": op9_exact_dedup,
+    "op10_token_files": op10_token_files,
 }
 
 ORACLE_SQL: dict[str, str] = {
