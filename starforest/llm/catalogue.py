@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from starforest.llm import block_naming, pii_bootstrap, separator_scan, source_mix, token_files, url_filter
+from starforest.llm import block_naming, language_spans, pii_bootstrap, separator_scan, source_mix, token_files, url_filter
 from starforest.llm.shared_files import remove_tree
 from starforest.runtime import cut, read_table, shared_dir
 
@@ -21,6 +21,12 @@ def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii_bootstrap.find_pii(read_table(spark, sf_dir, "documents"))
 
 
+def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = read_table(spark, sf_dir, "documents")
+    found = language_spans.predict_language(docs, language_spans.fit_on_documents(docs))
+    return found.select("doc_id", language_spans.held_out().alias("held_out"), "lang_pred", "score")
+
+
 def op7_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return source_mix.mix_plan(read_table(spark, sf_dir, "documents")).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -50,6 +56,7 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_url_filter": op1_url_filter,
     "op3_pii": op3_pii,
+    "op6_language": op6_language,
     "op7_source_mix": op7_source_mix,
     "op8_token_counts": op8_token_counts,
     "op9_exact_dedup": op9_exact_dedup,
