@@ -43,3 +43,18 @@ def hash_strings(values: pa.Array) -> np.ndarray:
         out[left] = (out[left] + raw[ends[left] + at] + np.uint64(1)) * np.uint64(0x9E3779B97F4A7C15) ^ (out[left] >> np.uint64(29))
         at += 1
     return mix64(out ^ size.astype(np.uint64))
+
+
+def split_words(texts: pa.Array, kept: str = r"\pL\pM") -> tuple[pa.Array, np.ndarray]:
+    """All words (runs of the kept character classes) and how many each text has; a null counts as empty."""
+    clean = pc.replace_substring_regex(pc.fill_null(texts.cast(pa.large_string()), ""), f"[^{kept}]+", " ")
+    split = pc.split_pattern(pc.utf8_trim(clean, " "), " ")
+    sizes = np.diff(np.asarray(split.offsets))
+    words = split.flatten()
+    # A text without a word splits into one empty string.
+    empty = pc.equal(words, "").to_numpy(zero_copy_only=False).astype(bool)
+    if empty.any():
+        owner = np.repeat(np.arange(len(sizes)), sizes)
+        sizes = sizes - np.bincount(owner[empty], minlength=len(sizes))
+        words = words.filter(pa.array(~empty))
+    return words, sizes.astype(np.int64)

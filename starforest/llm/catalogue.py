@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from starforest.llm import block_naming, language_spans, pii_bootstrap, separator_scan, source_mix, token_files, url_filter
+from starforest.llm import block_naming, language_spans, pii_bootstrap, piece_viterbi, separator_scan, source_mix, token_files, url_filter, weighted_minhash
 from starforest.llm.shared_files import remove_tree
 from starforest.runtime import cut, read_table, shared_dir
 
@@ -17,10 +17,18 @@ def op1_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return url_filter.judge_urls(read_table(spark, sf_dir, "pages"), url_filter.seed_model(spark))
 
 
+def op2_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return weighted_minhash.near_classes(read_table(spark, sf_dir, "documents"))
+
+
 def op3_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii_bootstrap.find_pii(read_table(spark, sf_dir, "documents"))
 
 
+def op4_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return piece_viterbi.piece_digests(read_table(spark, sf_dir, "documents"))
+
+
 def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
     found = language_spans.predict_language(docs, language_spans.fit_on_documents(docs))
@@ -55,7 +63,9 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_url_filter": op1_url_filter,
+    "op2_near_dedup": op2_near_dedup,
     "op3_pii": op3_pii,
+    "op4_piece_codec": op4_piece_codec,
     "op6_language": op6_language,
     "op7_source_mix": op7_source_mix,
     "op8_token_counts": op8_token_counts,

@@ -25,14 +25,13 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from starforest.llm.arrow_text import flat, mix64
+from starforest.llm.arrow_text import flat, mix64, split_words
 from starforest.llm.byte_bpe import slices
 
 #: First code points of script ranges, and the script from there on (0: none or shared).
 _STARTS = np.array([0, 0x41, 0x5B, 0x61, 0x7B, 0xAA, 0xAB, 0xB5, 0xB6, 0xBA, 0xBB, 0xC0, 0x250, 0x370, 0x400, 0x530, 0x590, 0x600, 0x700, 0x900, 0x980, 0xA00, 0xE00, 0xE80, 0x10A0, 0x1100, 0x1200, 0x1E00, 0x1F00, 0x2000, 0x3040, 0x30A0, 0x3100, 0x3400, 0xA000, 0xAC00, 0xD7B0, 0xF900, 0xFB00, 0x20000])
 _SCRIPTS = np.array([0, 1, 0, 1, 0, 1, 0, 1, 0, 1, 0, 1, 1, 2, 3, 4, 5, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15, 1, 2, 0, 16, 16, 0, 17, 18, 14, 0, 17, 19, 17])
 N_SCRIPTS = 20
-_WORD = r"[\pL\pM]+"
 
 
 class LanguageModel(NamedTuple):
@@ -86,21 +85,6 @@ def _ngrams(words: pa.Array, bits: int, sizes: tuple[int, ...]) -> tuple[np.ndar
     return np.concatenate(rows), np.concatenate(buckets)
 
 
-def split_words(texts: pa.Array) -> tuple[pa.Array, np.ndarray]:
-    """All words (runs of letters and marks) and how many each text has."""
-    clean = pc.replace_substring_regex(pc.fill_null(texts.cast(pa.large_string()), ""), r"[^\pL\pM]+", " ")
-    split = pc.split_pattern(pc.utf8_trim(clean, " "), " ")
-    sizes = np.diff(np.asarray(split.offsets))
-    words = split.flatten()
-    # A text without a letter splits into one empty string.
-    empty = np.asarray(pc.equal(words, ""), bool) if len(words) else np.zeros(0, bool)
-    if empty.any():
-        owner = np.repeat(np.arange(len(sizes)), sizes)
-        sizes = sizes - np.bincount(owner[empty], minlength=len(sizes))
-        words = words.filter(pa.array(~empty))
-    return words, sizes.astype(np.int64)
-
-
 def fit_language_model(labelled: DataFrame, *, per_lang: int = 600, bits: int = 17, sizes: tuple[int, ...] = (1, 2, 3, 4), floor: float = 0.5) -> LanguageModel:
     """Fits on ``labelled(text, lang)``: about ``per_lang`` rows of each language at most, by the order of a hash."""
     rows = labelled.where("lang is not null and text is not null").select("lang", "text").withColumn("_h", F.xxhash64("text", F.monotonically_increasing_id()))
