@@ -8,7 +8,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from starforest.llm import block_naming, language_spans, pii_bootstrap, piece_viterbi, separator_scan, source_mix, token_files, url_filter, weighted_minhash
+from starforest.llm import block_naming, language_spans, pii_bootstrap, piece_viterbi, separator_scan, source_mix, token_files, url_filter, vector_graph, weighted_minhash
 from starforest.llm.shared_files import remove_tree
 from starforest.runtime import cut, read_table, shared_dir
 
@@ -29,6 +29,10 @@ def op4_piece_codec(spark: SparkSession, sf_dir: str) -> DataFrame:
     return piece_viterbi.piece_digests(read_table(spark, sf_dir, "documents"))
 
 
+def op5_vector_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return vector_graph.vector_links(read_table(spark, sf_dir, "embeddings"))
+
+
 def op6_language(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read_table(spark, sf_dir, "documents")
     found = language_spans.predict_language(docs, language_spans.fit_on_documents(docs))
@@ -66,6 +70,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_near_dedup": op2_near_dedup,
     "op3_pii": op3_pii,
     "op4_piece_codec": op4_piece_codec,
+    "op5_vector_dedup": op5_vector_dedup,
     "op6_language": op6_language,
     "op7_source_mix": op7_source_mix,
     "op8_token_counts": op8_token_counts,
