@@ -178,11 +178,19 @@ def predict_language(docs: DataFrame, model: LanguageModel, *, penalty: float =
                 best[has], score[has] = mass[has].argmax(1), mass[has].max(1) / mass[has].sum(1)
             yield pa.RecordBatch.from_arrays([batch.column(0), *batch.columns[2:], pa.array(langs[best], pa.string()), pa.array(score)], names=["doc_id", *batch.schema.names[2:], "lang_pred", "score"])
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *keep)
-    kinds = "".join(f", {c} {rows.schema[c].dataType.simpleString()}" for c in keep)
+    rows = docs.select(F.col("doc_id").cast("long").alias("_doc"), F.col("text").cast("string").alias("_text"), *keep)
+    kinds = "".join(f", `{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
     return rows.mapInArrow(run, f"doc_id long{kinds}, lang_pred string, score double")
 
 
+def drop_unsure(docs: DataFrame, model: LanguageModel, *, least: float = 0.5, penalty: float = 6.0) -> DataFrame:
+    """The rows of ``docs`` with a language that covers at least ``least`` of their letters."""
+    # Columns travel under names of their own, so that none of theirs can clash with the prediction's.
+    own = {f"_c{i}": F.col(f"`{c}`") for i, c in enumerate(docs.columns)}
+    judged = predict_language(docs.withColumns(own), model, penalty=penalty, keep=tuple(own))
+    return judged.where((F.col("lang_pred") != "und") & (F.col("score") >= least)).select(*[F.col(k).alias(c) for k, c in zip(own, docs.columns, strict=True)])
+
+
 def language_spans(docs: DataFrame, model: LanguageModel, *, penalty: float = 6.0) -> DataFrame:
     """``(doc_id, first_word, words, letters, lang)``: the labelled spans of each text, in words."""
 

@@ -124,5 +124,5 @@ def mix_plan(docs: DataFrame, *, weights: tuple[int, ...] = (1, 2, 3), most: int
 def mixed_documents(docs: DataFrame, **parameters) -> DataFrame:
     """The rows that the mix takes, each as often as its taken words come to whole documents, once at least."""
     plan = mix_plan(docs, **parameters).where("taken > 0").groupBy(F.col("doc_id").alias("_id")).agg(F.max(F.greatest(F.lit(1), F.round(F.col("taken") / F.col("size")))).cast("int").alias("_times"))
-    back = docs.join(plan, F.col("doc_id").cast("long") == F.col("_id"))
+    back = docs.join(plan, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")))
     return back.withColumn("_k", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*[docs[c] for c in docs.columns])
