@@ -1,10 +1,53 @@
-"""Query catalogue of the graph engine."""
+"""Query catalogue of the graph engine: every method, variant, baseline and measure, with its oracle SQL."""
 
 from __future__ import annotations
 
-QUERIES: dict = {}
+from collections.abc import Callable
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from starforest.components.connectivity import connected_components
+from starforest.forest.loop import ForestResult, minimum_spanning_forest
+from starforest.graph import builders
+from starforest.graph.order import rank_edges
+from starforest.plans import oracle
+
+Query = Callable[[SparkSession, str], DataFrame]
+QUERIES: dict[str, Query] = {}
 ORACLE_SQL: dict[str, str] = {}
 
 
-def flagship(spark, sf_dir):
-    raise NotImplementedError
+def add(name: str, query: Query, sql: str | None = None) -> None:
+    QUERIES[name] = query
+    if sql:
+        ORACLE_SQL[name] = sql
+
+
+def ranked(spark: SparkSession, d: str, graph: str) -> DataFrame:
+    return rank_edges(builders.GRAPHS[graph](spark, d))
+
+
+def grow(spark: SparkSession, d: str, graph: str, **options) -> ForestResult:
+    return minimum_spanning_forest(ranked(spark, d, graph), **options)
+
+
+def flagship(spark: SparkSession, d: str) -> DataFrame:
+    return grow(spark, d, "trade", shortcut="thresholded").forest.select("lo", "hi", "w")
+
+
+for _g in builders.GRAPHS:
+    add(f"edges_{_g}", lambda s, d, g=_g: builders.GRAPHS[g](s, d), oracle.EDGES[_g])
+
+# The forest: every shortcut and kernel variant on one graph, then every graph.
+for _v in ("step", "full", "queried", "queried_plain", "prefetched", "thresholded", "adaptive", "scheduled"):
+    add(f"forest_trade_{_v}", lambda s, d, v=_v: grow(s, d, "trade", shortcut=v).forest.select("lo", "hi", "w"), oracle.forest(oracle.EDGES["trade"]))
+for _k in ("vertex", "two_pass"):
+    add(f"forest_trade_{_k}", lambda s, d, k=_k: grow(s, d, "trade", kernel=k).forest.select("lo", "hi", "w"), oracle.forest(oracle.EDGES["trade"]))
+for _p in ("grid", "shuffle", "broadcast"):
+    add(f"forest_trade_{_p}", lambda s, d, p=_p: grow(s, d, "trade", plan=p).forest.select("lo", "hi", "w"), oracle.forest(oracle.EDGES["trade"]))
+add("forest_trade_compact", lambda s, d: grow(s, d, "trade", compact=True).forest.select("lo", "hi", "w"), oracle.forest(oracle.EDGES["trade"]))
+for _g in ("supply", "basket", "returns", "nation", "lattice", "nearcopy", "links"):
+    add(f"forest_{_g}", lambda s, d, g=_g: grow(s, d, g).forest.select("lo", "hi", "w"), oracle.forest(oracle.EDGES[_g]))
+for _g in ("sessions", "turns", "geo"):
+    add(f"forest_{_g}", lambda s, d, g=_g: grow(s, d, g).forest.select("lo", "hi", "w"), oracle.EDGES[_g])

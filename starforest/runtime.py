@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import tempfile
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -29,5 +29,12 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def cut_observing(df: DataFrame, **measures: Column) -> tuple[DataFrame, dict]:
+    """:func:`cut`, and aggregates over the rows from the same job."""
+    seen = Observation()
+    out = cut(df.observe(seen, *[c.alias(n) for n, c in measures.items()]))
+    return out, seen.get
+
+
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
