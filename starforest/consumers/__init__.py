@@ -1 +1,79 @@
+"""What a forest is used for: bottlenecks, clusters, rooted trees, repairs, reports."""
 
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+from starforest.components.links import link_components
+from starforest.graph.order import directed, vertices_of
+from starforest.runtime import cut, cut_observing
+
+
+def root_forest(forest: DataFrame, roots: DataFrame, *, max_levels: int = 100_000) -> DataFrame:
+    """``(v, parent, depth, w, rank)``: the forest's edges directed towards ``roots(v)``, level by level."""
+    d = cut(directed(forest).select("i", "j", "rank", "w"))
+    level = cut(roots.select("v", F.lit(None).cast("long").alias("parent"), F.lit(0).alias("depth"), F.lit(None).cast("long").alias("w"), F.lit(None).cast("long").alias("rank")))
+    out = level
+    for k in range(1, max_levels):
+        nxt = d.join(level.select(F.col("v").alias("i"), F.col("parent").alias("up")), "i").where("up is null or j <> up").select(F.col("j").alias("v"), F.col("i").alias("parent"), F.lit(k).alias("depth"), "w", "rank")
+        level, seen = cut_observing(nxt, n=F.count(F.lit(1)))
+        if not seen["n"]:
+            return out
+        out = cut(out.union(level)) if k % 16 == 0 else out.union(level)
+    raise RuntimeError("the forest is deeper than max_levels")
+
+
+def bottleneck_between(forest: DataFrame, pairs: DataFrame) -> DataFrame:
+    """``(a, b, rank)``: the heaviest edge between the ends of ``pairs(a, b)`` on the forest; none if not connected.
+
+    Every vertex's path to its root is climbed in both ends together, deeper end first.
+    """
+    parts = link_components(forest, "lo", "hi")
+    tree = cut(root_forest(forest, parts.select(F.col("component").alias("v")).distinct()))
+    up = tree.select(F.col("v").alias("x"), F.col("parent").alias("px"), F.col("depth").alias("dx"), F.col("rank").alias("rx"))
+    cur = cut(pairs.select("a", "b", F.col("a").alias("x"), F.col("b").alias("y"), F.lit(-1).cast("long").alias("m")))
+    done = None
+    while True:
+        two = cur.join(up, "x").join(up.withColumnsRenamed({"x": "y", "px": "py", "dx": "dy", "rx": "ry"}), "y")
+        goes_x, goes_y = F.col("dx") >= F.col("dy"), F.col("dy") >= F.col("dx")
+        nxt = two.select("a", "b", F.when(goes_x, F.col("px")).otherwise(F.col("x")).alias("x"), F.when(goes_y, F.col("py")).otherwise(F.col("y")).alias("y"), F.greatest("m", F.when(goes_x, F.col("rx")), F.when(goes_y, F.col("ry"))).alias("m"))
+        nxt = nxt.where("x is not null and y is not null")
+        nxt, seen = cut_observing(nxt, n=F.count_if(F.col("x") != F.col("y")))
+        met = nxt.where("x = y").select("a", "b", F.col("m").alias("rank"))
+        done = met if done is None else done.union(met)
+        cur = nxt.where("x <> y")
+        if not seen["n"]:
+            return done
+
+
+def single_linkage(forest: DataFrame, vertices: DataFrame, *, threshold: int) -> DataFrame:
+    """``(v, cluster)``: components of the forest's edges of weight at most ``threshold``."""
+    parts = link_components(forest.where(F.col("w") <= threshold), "lo", "hi")
+    return vertices.join(parts, F.col("v") == F.col("node"), "left").select("v", F.coalesce("component", "v").alias("cluster"))
+
+
+def replace_edge(forest: DataFrame, edges: DataFrame, removed: int) -> DataFrame:
+    """``(rank, lo, hi, w)``: the lightest edge that reconnects the forest without rank ``removed`` (no row if none does)."""
+    rest = forest.where(F.col("rank") != removed)
+    parts = vertices_of(forest).join(link_components(rest, "lo", "hi"), F.col("v") == F.col("node"), "left").select("v", F.coalesce("component", "v").alias("c"))
+    a, b = (parts.select(F.col("v").alias(s), F.col("c").alias(f"c_{s}")) for s in ("lo", "hi"))
+    return edges.where(F.col("rank") != removed).join(a, "lo").join(b, "hi").where("c_lo <> c_hi").orderBy("rank").limit(1).select("rank", "lo", "hi", "w")
+
+
+def insert_edge(forest: DataFrame, new: DataFrame) -> DataFrame:
+    """``(rank)`` of the one edge that leaves when ``new(rank, lo, hi, w)`` (one row) joins the forest, which may be itself."""
+    ends = new.select(F.col("lo").alias("a"), F.col("hi").alias("b"))
+    heavy = bottleneck_between(forest, ends).select("rank")
+    return heavy.union(new.select("rank")).agg(F.max("rank").alias("rank"))
+
+
+def network_report(forest: DataFrame, edges: DataFrame) -> DataFrame:
+    """One row: cost of the forest against building every link."""
+    f, e = forest.agg(F.count("*").alias("links"), F.sum("w").alias("cost")), edges.agg(F.count("*").alias("all_links"), F.sum("w").alias("all_cost"))
+    return f.crossJoin(e).select("links", "cost", "all_links", "all_cost", (F.col("all_cost") - F.col("cost")).alias("saving"))
+
+
+def tour_upper_bound(forest: DataFrame) -> DataFrame:
+    """One row: twice the tree's weight, a bound on the shortest closed tour of a metric graph."""
+    return forest.agg((F.sum("w") * 2).alias("tour_bound"))

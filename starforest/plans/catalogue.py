@@ -3,15 +3,24 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from starforest.components.connectivity import connected_components
-from starforest.forest.loop import ForestResult, minimum_spanning_forest
-from starforest.graph import builders
-from starforest.graph.order import rank_edges
-from starforest.plans import oracle
+from starforest import baselines, consumers, operators, sources, sqlapi, streaming
+from starforest.algebra.kernel import gather, scatter_reduce, spmm, spmv, triple_kernel, two_pass_kernel
+from starforest.algebra.monoid import ALL, ANY, CONCAT, COUNT, MAX, MAX_MIN, MIN, MIN_PLUS, MIN_SELECT, MINWEIGHT, OR_AND, PLUS_TIMES, SUM, monoid_reduce
+from starforest.components.connectivity import conditional_hook, connected_components, min_neighbour_parent, unconditional_hook
+from starforest.components.links import link_components
+from starforest.forest import shortcut, steps
+from starforest.forest.loop import ForestResult, check_bounds, minimum_spanning_forest, minimum_spanning_tree
+from starforest.forest.measures import graph_stats, kernel_writes, lightest_outgoing_edge, min_outgoing_per_tree, min_outgoing_per_vertex, outgoing_edges, verify_forest
+from starforest.graph import builders, generators
+from starforest.graph.order import canonical_edges, directed, rank_edges, vertices_of, with_random_weights
+from starforest.paths import bellman_ford, tense_edges
+from starforest.plans import oracle, parents
+from starforest.runtime import read_table
 
 Query = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Query] = {}
@@ -51,3 +60,273 @@ for _g in ("supply", "basket", "returns", "nation", "lattice", "nearcopy", "link
     add(f"forest_{_g}", lambda s, d, g=_g: grow(s, d, g).forest.select("lo", "hi", "w"), oracle.forest(oracle.EDGES[_g]))
 for _g in ("sessions", "turns", "geo"):
     add(f"forest_{_g}", lambda s, d, g=_g: grow(s, d, g).forest.select("lo", "hi", "w"), oracle.EDGES[_g])
+
+def _micros(s: SparkSession, d: str) -> DataFrame:
+    return read_table(s, d, "events").withColumn("us", F.expr("timestampdiff(MICROSECOND, timestamp_ntz'1970-01-01 00:00:00', ts)"))
+
+
+# ---- single steps ---------------------------------------------------------------------------------------------------
+def _flags_sql(p: str) -> str:
+    return f"""WITH p AS ({p}), g AS (SELECT a.v, a.p, b.p AS g FROM p a JOIN p b ON a.p = b.v),
+        bad AS (SELECT v FROM g WHERE p <> g UNION SELECT g FROM g WHERE p <> g),
+        o AS (SELECT v, p, v NOT IN (SELECT v FROM bad) AS own FROM g)
+        SELECT a.v, a.p, a.own AND b.own AS is_star FROM o a JOIN o b ON a.p = b.v"""
+
+
+def _steps_sql(p: str, rounds: int) -> str:
+    ctes = [f"p0 AS MATERIALIZED ({p})", *(f"p{k + 1} AS MATERIALIZED (SELECT a.v, b.p FROM p{k} a JOIN p{k} b ON a.p = b.v)" for k in range(rounds))]
+    return f"WITH {', '.join(ctes)} SELECT v, p FROM p{rounds}"
+
+
+for _p in ("geo", "mixed", "nation_only"):
+    _f = getattr(parents, _p)
+    add(f"star_flags_{_p}", lambda s, d, f=_f: steps.star_flags(f(s, d)), _flags_sql(parents.SQL[_p]))
+    add(f"shortcut_step_{_p}", lambda s, d, f=_f: shortcut.shortcut_step(f(s, d)), _steps_sql(parents.SQL[_p], 1))
+    add(f"grandparents_{_p}", lambda s, d, f=_f: steps.grandparents(f(s, d)), f"WITH p AS ({parents.SQL[_p]}) SELECT a.v, a.p, b.p AS g FROM p a JOIN p b ON a.p = b.v")
+add("shortcut_step_flagged_mixed", lambda s, d: shortcut.shortcut_step(parents.mixed(s, d), steps.star_flags(parents.mixed(s, d))), _steps_sql(parents.SQL["mixed"], 1))
+for _m in (True, False):
+    add(f"shortcut_queried_chain{'' if _m else '_plain'}", lambda s, d, m=_m: shortcut.shortcut_queried(parents.chain(s, d), merge=m)[0], f"SELECT v, root AS p FROM ({parents.CHAIN_ROOTS})")
+add("heights_chain", lambda s, d: steps.tree_heights(parents.chain(s, d)), parents.CHAIN_ROOTS)
+add("heights_geo", lambda s, d: steps.tree_heights(parents.geo(s, d)), f"WITH p AS ({parents.SQL['geo']}), g AS (SELECT a.v, a.p, b.p AS g FROM p a JOIN p b ON a.p = b.v) SELECT v, g AS root, CAST(CASE WHEN v = p THEN 0 WHEN p = g THEN 1 ELSE 2 END AS BIGINT) AS depth FROM g")
+add("height_potential_geo", lambda s, d: s.createDataFrame([(steps.height_potential(parents.geo(s, d)),)], "height_sum long"), "SELECT CAST(2 * count(*) AS BIGINT) AS height_sum FROM region")
+add("shortcut_query_counts_chain", lambda s, d: shortcut.shortcut_queries(parents.chain(s, d), 8), f"WITH p AS ({parents.SQL['chain']}) SELECT count(*) AS queries, count(DISTINCT (a.v % 8, a.p)) AS merged FROM p a JOIN p b ON a.p = b.v WHERE a.p <> b.p")
+
+
+def _first(s: SparkSession, d: str, graph: str = "trade") -> tuple[DataFrame, DataFrame, DataFrame]:
+    e = rank_edges(builders.GRAPHS[graph](s, d), dense=True)
+    p = steps.initial_parents(vertices_of(e))
+    return e, p, steps.root_candidates(e, steps.all_stars(p))
+
+
+_R0 = f"{oracle.forest_ctes(oracle.EDGES['trade'], 1)}"
+add("root_candidates_first", lambda s, d: _first(s, d)[2], f"WITH {_R0} SELECT root, rank, parent FROM r0")
+add("vertex_candidates_first", lambda s, d: steps.vertex_candidates(_first(s, d)[0], steps.all_stars(_first(s, d)[1])), f"WITH {_R0} SELECT root AS v, rank, parent FROM r0")
+add("projected_candidates_first", lambda s, d: (lambda e, p, r: steps.project_to_root(steps.vertex_candidates(e, steps.all_stars(p)), p))(*_first(s, d)), f"WITH {_R0} SELECT root, rank, parent FROM r0")
+add("hook_first", lambda s, d: (lambda e, p, r: steps.hook(p, r))(*_first(s, d)), f"WITH {_R0} SELECT v, coalesce(parent, p) AS p FROM p0 LEFT JOIN r0 ON v = root")
+add("undone_first", lambda s, d: steps.undone_roots(_first(s, d)[2]), f"WITH {_R0} SELECT root FROM h0 WHERE undone")
+add("tie_break_first", lambda s, d: (lambda e, p, r: steps.break_ties(steps.hook(p, r), r))(*_first(s, d)), f"WITH {_R0} SELECT v, CASE WHEN undone THEN v ELSE coalesce(parent, p) END AS p FROM p0 LEFT JOIN h0 ON v = root")
+add("accepted_first", lambda s, d: steps.accepted_hooks(_first(s, d)[2]), f"WITH {_R0} SELECT root, rank, parent FROM h0 WHERE NOT undone")
+add("changed_roots_first", lambda s, d: (lambda e, p, r: steps.changed_roots(steps.break_ties(steps.hook(p, r), r), p))(*_first(s, d)), f"WITH {_R0} SELECT root, parent FROM h0 WHERE NOT undone")
+add("shortcut_prefetched_first", lambda s, d: (lambda e, p, r: shortcut.shortcut_prefetched(p, steps.accepted_hooks(r))[0])(*_first(s, d)), f"WITH {_R0} SELECT v, p FROM p1")
+add("shortcut_prefetched_shuffled", lambda s, d: (lambda e, p, r: shortcut.shortcut_prefetched(p, steps.accepted_hooks(r), ship="shuffle")[0])(*_first(s, d)), f"WITH {_R0} SELECT v, p FROM p1")
+add("closed_map_first", lambda s, d: shortcut.close_changed(steps.accepted_hooks(_first(s, d)[2]))[0], f"WITH {_R0} SELECT v AS root, p AS parent FROM m0_5")
+add("trace_trade", lambda s, d: grow(s, d, "trade", shortcut="full").trace_frame().where("hooks > 0").select("iteration", "hooks"), f"WITH {oracle.forest_ctes(oracle.EDGES['trade'])} SELECT round AS iteration, count(*) AS hooks FROM f GROUP BY round")
+add("trace_lattice", lambda s, d: grow(s, d, "lattice").trace_frame().where("hooks > 0").select("iteration", "hooks", "candidates", "undone"), f"WITH {oracle.forest_ctes(oracle.EDGES['lattice'])} SELECT * FROM ({' UNION ALL '.join(f'SELECT {k + 1} AS iteration, count(*) FILTER (NOT undone) AS hooks, count(*) AS candidates, count(*) FILTER (undone) AS undone FROM h{k}' for k in range(9))}) WHERE hooks > 0")
+add("forest_weight_nation", lambda s, d: grow(s, d, "nation").weight().select("total_weight", "n_edges"), f"WITH {oracle.forest_ctes(oracle.EDGES['nation'])} SELECT CAST(sum(w) AS BIGINT) AS total_weight, count(*) AS n_edges FROM f JOIN e USING (rank)")
+add("mst_trade", lambda s, d: minimum_spanning_tree(ranked(s, d, "trade")).forest.select("lo", "hi", "w"), oracle.forest(oracle.EDGES["trade"]))
+add("verify_forest_trade", lambda s, d: (lambda r: s.createDataFrame([tuple(verify_forest(r.forest, r.edges, vertices_of(r.edges)).values())], "counted boolean, spans boolean, acyclic boolean"))(grow(s, d, "trade")), "SELECT true AS counted, true AS spans, true AS acyclic")
+add("bounds_trade", lambda s, d: s.createDataFrame([tuple(check_bounds(grow(s, d, "trade")).values())], "iterations boolean, half_hook boolean, sub_iterations boolean"), "SELECT true AS iterations, true AS half_hook, true AS sub_iterations")
+
+# ---- kernel and algebra ---------------------------------------------------------------------------------------------
+def _entries(s: SparkSession, d: str, graph: str = "trade") -> DataFrame:
+    return directed(rank_edges(builders.GRAPHS[graph](s, d), dense=True))
+
+
+def _vec(s: SparkSession, d: str, e: DataFrame, value: str = "v") -> DataFrame:
+    return e.select(F.col("i").alias("v")).distinct().select("v", F.expr(value).cast("long").alias("x"))
+
+
+def _lightest(s: SparkSession, d: str, plan: str = "auto", **more) -> DataFrame:
+    e = _entries(s, d)
+    x = _vec(s, d, e)
+    f = lambda xi, a, yj: F.struct(a.alias("rank"), yj.alias("parent"))
+    out = triple_kernel(e, x, x.withColumnRenamed("x", "y"), f, MINWEIGHT, keep=F.col("_x") != F.col("_y"), plan=plan, value="rank", **more)
+    return out.select("v", F.col("value.rank").alias("rank"), F.col("value.parent").alias("parent"))
+
+
+_LIGHT = f"WITH {_R0} SELECT root AS v, rank, parent FROM r0"
+for _p in ("auto", "shuffle", "broadcast", "grid"):
+    add(f"kernel_lightest_{_p}", lambda s, d, p=_p: _lightest(s, d, p), _LIGHT)
+add("kernel_masked", lambda s, d: _lightest(s, d, row_mask=s.range(400).select((F.col("id") * 16).alias("v"))), _LIGHT + " WHERE root % 16 = 0 AND root < 6400")
+
+
+def _two_pass(s: SparkSession, d: str) -> DataFrame:
+    e = _entries(s, d)
+    x = _vec(s, d, e)
+    out, _ = two_pass_kernel(e, x, x.withColumnRenamed("x", "y"), lambda a, y: F.struct(a.alias("rank"), y.alias("parent")), lambda xi, g: g, MINWEIGHT, value="rank")
+    return out.select("v", F.col("value.rank").alias("rank"), F.col("value.parent").alias("parent"))
+
+
+add("kernel_two_pass", _two_pass, _LIGHT)
+_SYM = f"{oracle.RANKED.format(oracle.EDGES['trade'])}, a AS (SELECT lo AS i, hi AS j, rank, w FROM e UNION ALL SELECT hi, lo, rank, w FROM e)"
+
+
+def _bilinear(s: SparkSession, d: str) -> DataFrame:
+    e = _entries(s, d)
+    return triple_kernel(e, _vec(s, d, e, "v % 7"), _vec(s, d, e, "v % 5").withColumnRenamed("x", "y"), lambda x, a, y: x * a * y, SUM, value="w")
+
+
+add("kernel_bilinear_trade", _bilinear, f"WITH {_SYM} SELECT i AS v, CAST(sum((i % 7) * w * (j % 5)) AS BIGINT) AS value FROM a GROUP BY i")
+add("kernel_quadratic_form", lambda s, d: _bilinear(s, d).agg(F.sum("value").alias("value")), f"WITH {_SYM} SELECT CAST(sum((i % 7) * w * (j % 5)) AS BIGINT) AS value FROM a")
+
+
+def _by_nation(s: SparkSession, d: str, **more) -> DataFrame:
+    e = _entries(s, d)
+    lab = parents.nation_only(s, d).select("v", F.col("p").alias("x"))
+    out = triple_kernel(e, lab, lab.withColumnRenamed("x", "y"), lambda x, a, y: a, MIN, keep=F.col("_x") != F.col("_y"), value="rank", **more)
+    return out.select("v", F.col("value").alias("rank"))
+
+
+_LAB = f"WITH {_SYM}, l AS ({parents.SQL['nation_only']}), c AS MATERIALIZED (SELECT a.i, a.j, a.rank, a.w, x.p AS pi, y.p AS pj FROM a JOIN l x ON x.v = i JOIN l y ON y.v = j)"
+add("kernel_member_nationlabels", _by_nation, f"{_LAB} SELECT i AS v, min(rank) AS rank FROM c WHERE pi <> pj GROUP BY i")
+add("kernel_root_nationlabels", lambda s, d: _by_nation(s, d, reduce_to="x"), f"{_LAB} SELECT pi AS v, min(rank) AS rank FROM c WHERE pi <> pj GROUP BY pi")
+add("outgoing_edges_nationlabels", lambda s, d: outgoing_edges(rank_edges(builders.trade(s, d), dense=True), parents.nation_only(s, d)).select("rank", "p_lo", "p_hi"), f"{_LAB} SELECT rank, pi AS p_lo, pj AS p_hi FROM c WHERE i < j AND pi <> pj")
+add("min_outgoing_per_tree", lambda s, d: min_outgoing_per_tree(rank_edges(builders.trade(s, d), dense=True), parents.nation_only(s, d)), f"{_LAB} SELECT pi AS root, min(rank) AS rank FROM c WHERE pi <> pj GROUP BY pi")
+add("min_outgoing_per_vertex", lambda s, d: min_outgoing_per_vertex(rank_edges(builders.trade(s, d), dense=True), parents.nation_only(s, d)), f"{_LAB} SELECT i AS v, min(rank) AS rank FROM c WHERE pi <> pj GROUP BY i")
+add("cut_edge_segment", lambda s, d: lightest_outgoing_edge(rank_edges(builders.trade(s, d), dense=True), read_table(s, d, "customer").where("c_mktsegment = 'BUILDING'").select(builders.vertex("c_custkey", "customer").alias("v"))), f"WITH {_SYM} SELECT rank, lo, hi, w FROM e WHERE lo IN (SELECT c_custkey * 16 FROM customer WHERE c_mktsegment = 'BUILDING') ORDER BY rank LIMIT 1")
+add("spmv_plus_times", lambda s, d: (lambda e: spmv(e, _vec(s, d, e, "v % 11"), PLUS_TIMES, value="w"))(_entries(s, d)), f"WITH {_SYM} SELECT j AS v, CAST(sum((i % 11) * w) AS BIGINT) AS value FROM a GROUP BY j")
+add("spmv_min_plus", lambda s, d: (lambda e: spmv(e, _vec(s, d, e, "v % 11"), MIN_PLUS, value="w"))(_entries(s, d)), f"WITH {_SYM} SELECT j AS v, min(i % 11 + w) AS value FROM a GROUP BY j")
+add("spmv_max_min", lambda s, d: (lambda e: spmv(e, _vec(s, d, e, "v * 1000"), MAX_MIN, value="w"))(_entries(s, d)), f"WITH {_SYM} SELECT j AS v, max(least(i * 1000, w)) AS value FROM a GROUP BY j")
+add("spmv_or_and", lambda s, d: (lambda e: spmv(e.withColumn("a", F.col("w") > 2_000_000), _vec(s, d, e).select("v", (F.col("v") % 3 == 0).alias("x")), OR_AND))(_entries(s, d)), f"WITH {_SYM} SELECT j AS v, bool_or(i % 3 = 0 AND w > 2000000) AS value FROM a GROUP BY j")
+add("spmv_column_direction", lambda s, d: (lambda e: spmv(e, _vec(s, d, e, "v % 11"), MIN_SELECT, direction="col", value="w"))(_entries(s, d)), f"WITH {_SYM} SELECT i AS v, min(j % 11) AS value FROM a GROUP BY i")
+add("spmm_nation", lambda s, d: (lambda e: spmm(e, e, MIN_PLUS, value="w"))(_entries(s, d, "nation")), f"WITH {oracle.RANKED.format(oracle.EDGES['nation'])}, a AS (SELECT lo AS i, hi AS j, w FROM e UNION ALL SELECT hi, lo, w FROM e) SELECT x.i, y.j, min(x.w + y.w) AS value FROM a x JOIN a y ON x.j = y.i GROUP BY 1, 2")
+add("gather_geo", lambda s, d: (lambda p: gather(p.select("v", F.col("p").alias("value")), p.select("v", F.col("p").alias("idx"))))(parents.geo(s, d)), f"WITH p AS ({parents.SQL['geo']}) SELECT a.v, a.p AS idx, b.p AS value FROM p a JOIN p b ON a.p = b.v")
+add("scatter_min_geo", lambda s, d: scatter_reduce(parents.geo(s, d), "p", "v", MIN), f"WITH p AS ({parents.SQL['geo']}) SELECT p AS v, min(v) AS value FROM p GROUP BY p")
+add("monoid_concat_events", lambda s, d: monoid_reduce(read_table(s, d, "events"), ["user_id"], F.struct(F.col("ts").alias("place"), F.substring("event_type", 1, 1).alias("text")), CONCAT), "SELECT user_id, string_agg(substr(event_type, 1, 1), '' ORDER BY ts) AS value FROM events GROUP BY user_id")
+for _n, _mo, _c in (("min", MIN, "min(value_c)"), ("max", MAX, "max(value_c)"), ("sum", SUM, "CAST(sum(value_c) AS BIGINT)"), ("count", COUNT, "count(value_c)")):
+    add(f"monoid_{_n}_events", lambda s, d, m=_mo: monoid_reduce(read_table(s, d, "events").withColumn("value_c", F.round(F.col("value") * 100).cast("long")), ["event_type"], F.col("value_c"), m), f"SELECT event_type, {_c} AS value FROM (SELECT event_type, CAST(round(value * 100) AS BIGINT) AS value_c FROM events) GROUP BY event_type")
+for _n, _mo, _c in (("any", ANY, "bool_or"), ("all", ALL, "bool_and")):
+    add(f"monoid_{_n}_events", lambda s, d, m=_mo: monoid_reduce(read_table(s, d, "events"), ["user_id"], F.col("event_type") == "view", m), f"SELECT user_id, {_c}(event_type = 'view') AS value FROM events GROUP BY user_id")
+add("cut_weight_per_part", lambda s, d: (lambda e, l: triple_kernel(e, l, l.withColumnRenamed("x", "y"), lambda x, a, y: a, SUM, keep=F.col("_x") != F.col("_y"), value="w", reduce_to="x"))(_entries(s, d), parents.nation_only(s, d).select("v", F.col("p").alias("x"))), f"{_LAB} SELECT pi AS v, CAST(sum(w) AS BIGINT) AS value FROM c WHERE pi <> pj GROUP BY pi")
+add("kernel_write_model", lambda s, d: (lambda n, m: s.createDataFrame([(p, round(kernel_writes(n, m, p)["all_at_once"]), round(kernel_writes(n, m, p)["pairwise"])) for p in (1, 4, 16, 64, 256)], "p long, all_at_once long, pairwise long"))(1600, 48518), "SELECT CAST(p AS BIGINT) AS p, CAST(round(1600 / sqrt(p)) AS BIGINT) AS all_at_once, CAST(round(1600 / sqrt(p) + 2 * 48518) AS BIGINT) AS pairwise FROM (VALUES (1), (4), (16), (64), (256)) t(p)")
+add("graph_stats_trade", lambda s, d: graph_stats(rank_edges(builders.trade(s, d))), f"WITH {_SYM}, d AS (SELECT i, count(*) AS c FROM a GROUP BY i), x AS (SELECT count(*) AS n, CAST(sum(c) AS BIGINT) AS ends, max(c) AS max_degree FROM d) SELECT n, ends // 2 AS m, ends * 100 // n AS degree_x100, max_degree, ends * 50000000 // (n * n) AS percent_ppm, (SELECT min(w) FROM e) AS min_w, (SELECT max(w) FROM e) AS max_w, (SELECT count(DISTINCT w) FROM e) AS distinct_w FROM x")
+add("degree_histogram_trade", lambda s, d: _entries(s, d).groupBy("i").agg(F.count("*").alias("degree")).groupBy("degree").agg(F.count("*").alias("n")), f"WITH {_SYM}, d AS (SELECT i, count(*) AS degree FROM a GROUP BY i) SELECT degree, count(*) AS n FROM d GROUP BY degree")
+add("rank_edges_trade", lambda s, d: rank_edges(builders.trade(s, d), dense=True), f"WITH {oracle.RANKED.format(oracle.EDGES['trade'])} SELECT rank, lo, hi, w FROM e")
+
+# ---- components and paths -------------------------------------------------------------------------------------------
+for _g in ("returns", "nearcopy", "turns"):
+    add(f"components_{_g}", lambda s, d, g=_g: connected_components(builders.GRAPHS[g](s, d)), oracle.components(oracle.EDGES[_g]))
+add("components_step_turns", lambda s, d: connected_components(builders.turns(s, d), shortcut="step"), oracle.components(oracle.EDGES["turns"]))
+add("components_conditional_turns", lambda s, d: connected_components(builders.turns(s, d), hooking="conditional"), oracle.components(oracle.EDGES["turns"]))
+add("components_via_forest_returns", lambda s, d: grow(s, d, "returns").components(), oracle.components(oracle.EDGES["returns"]))
+add("components_links_sessions", lambda s, d: link_components(builders.sessions(s, d), "lo", "hi").select(F.col("node").alias("v"), "component"), oracle.components(oracle.EDGES["sessions"]))
+_NB = f"WITH {oracle.RANKED.format(oracle.EDGES['nation'])}, a AS (SELECT lo AS i, hi AS j FROM e UNION ALL SELECT hi, lo FROM e), h AS (SELECT i AS v, min(j) AS h FROM a GROUP BY i)"
+add("min_neighbour_parent_nation", lambda s, d: (lambda e: min_neighbour_parent(e, steps.all_stars(steps.initial_parents(vertices_of(e)))))(ranked(s, d, "nation")), f"{_NB} SELECT v, h FROM h")
+add("conditional_hook_nation", lambda s, d: (lambda e: (lambda f: conditional_hook(f, min_neighbour_parent(e, f)))(steps.all_stars(steps.initial_parents(vertices_of(e)))))(ranked(s, d, "nation")), f"{_NB} SELECT v AS root, h AS parent FROM h WHERE h < v")
+add("unconditional_hook_nation", lambda s, d: (lambda e: (lambda f: unconditional_hook(f, min_neighbour_parent(e, f), f.where("v = 4").select(F.col("v").alias("root"))))(steps.all_stars(steps.initial_parents(vertices_of(e)))))(ranked(s, d, "nation")), f"{_NB} SELECT v AS root, h AS parent FROM h WHERE v = 4")
+
+
+def _paths_sql(edges: str, source: int, rounds: int) -> str:
+    out = [f"a AS MATERIALIZED (SELECT lo AS i, hi AS j, w FROM ({edges}) UNION ALL SELECT hi, lo, w FROM ({edges}))", f"d0 AS (SELECT CAST({source} AS BIGINT) AS v, CAST(0 AS BIGINT) AS dist)"]
+    out += [f"d{k + 1} AS MATERIALIZED (SELECT v, min(dist) AS dist FROM (SELECT v, dist FROM d{k} UNION ALL SELECT j, dist + w FROM d{k} JOIN a ON v = i) GROUP BY v)" for k in range(rounds)]
+    return f"WITH {', '.join(out)} SELECT v, dist FROM d{rounds}"
+
+
+add("sssp_nation", lambda s, d: bellman_ford(ranked(s, d, "nation"), 4).select("v", "dist"), _paths_sql(oracle.EDGES["nation"], 4, 12))
+add("sssp_frontier_nation", lambda s, d: bellman_ford(ranked(s, d, "nation"), 4, frontier=True).select("v", "dist"), _paths_sql(oracle.EDGES["nation"], 4, 12))
+add("sssp_trade_hops2", lambda s, d: bellman_ford(ranked(s, d, "trade"), 0, max_hops=2).select("v", "dist"), _paths_sql(oracle.EDGES["trade"], 0, 2))
+add("tense_edges_nation", lambda s, d: (lambda e: tense_edges(e, bellman_ford(e, 4, max_hops=1)))(ranked(s, d, "nation")), f"WITH a AS (SELECT lo AS i, hi AS j, w FROM ({oracle.EDGES['nation']}) UNION ALL SELECT hi, lo, w FROM ({oracle.EDGES['nation']})), d AS (SELECT CAST(4 AS BIGINT) AS v, CAST(0 AS BIGINT) AS dist UNION ALL SELECT j, w FROM a WHERE i = 4) SELECT i, j, w FROM a JOIN d x ON i = x.v LEFT JOIN d y ON j = y.v WHERE y.dist IS NULL OR y.dist > x.dist + w")
+
+# ---- baselines ------------------------------------------------------------------------------------------------------
+def _named(e: DataFrame, kept: DataFrame) -> DataFrame:
+    return e.join(kept.select("rank"), "rank").select("lo", "hi", "w")
+
+
+_TRADE = oracle.forest(oracle.EDGES["trade"])
+add("kruskal_trade", lambda s, d: (lambda e: _named(e, baselines.kruskal(e)))(ranked(s, d, "trade")), _TRADE)
+add("prim_trade", lambda s, d: baselines.prim(builders.trade(s, d)), _TRADE)
+add("boruvka_trade", lambda s, d: (lambda e: _named(e, baselines.boruvka(e)))(ranked(s, d, "trade")), _TRADE)
+add("vertex_centric_trade", lambda s, d: (lambda e: _named(e, baselines.vertex_centric_forest(e)[0]))(ranked(s, d, "trade")), _TRADE)
+add("divide_merge_trade", lambda s, d: (lambda e: _named(e, baselines.divide_and_merge_forest(e)))(ranked(s, d, "trade")), _TRADE)
+add("closure_nation", lambda s, d: (lambda e: _named(e, baselines.bottleneck_closure_forest(e)))(ranked(s, d, "nation")), oracle.forest(oracle.EDGES["nation"]))
+
+# ---- generators -----------------------------------------------------------------------------------------------------
+def _uniform_sql(n: int, m: int, seed: int = 1) -> str:
+    a, b, w = (oracle.mixed_sql(str(seed), "id", str(k)) for k in (1, 2, 3))
+    return f"SELECT least(a, b) AS lo, greatest(a, b) AS hi, min(w) AS w FROM (SELECT {a} % {n} AS a, {b} % {n} AS b, {w} % 255 + 1 AS w FROM range({m}) t(id)) WHERE a <> b GROUP BY 1, 2"
+
+
+def _rmat_sql(scale: int, degree: int, seed: int = 1) -> str:
+    digits = ", ".join(f"{oracle.mixed_sql(str(seed), 'id', str(k + 10))} % 100 AS d{k}" for k in range(scale))
+    a = " + ".join(f"(CASE WHEN d{k} >= 76 THEN {1 << (scale - 1 - k)} ELSE 0 END)" for k in range(scale))
+    b = " + ".join(f"(CASE WHEN (d{k} >= 57 AND d{k} < 76) OR d{k} >= 95 THEN {1 << (scale - 1 - k)} ELSE 0 END)" for k in range(scale))
+    return f"SELECT CAST(least(a, b) AS BIGINT) AS lo, CAST(greatest(a, b) AS BIGINT) AS hi, min(w) AS w FROM (SELECT {a} AS a, {b} AS b, {oracle.mixed_sql(str(seed), 'id', '3')} % 255 + 1 AS w FROM (SELECT id, {digits} FROM range({degree << scale}) t(id))) WHERE a <> b GROUP BY 1, 2"
+
+
+add("gen_uniform", lambda s, d: generators.uniform_graph(s, 1000, 4000), _uniform_sql(1000, 4000))
+add("gen_rmat", lambda s, d: generators.rmat_graph(s, 10, 8), _rmat_sql(10, 8))
+add("gen_grid", lambda s, d: generators.grid_graph(s, 30, 40).select("lo", "hi"), "SELECT r * 40 + c AS lo, r * 40 + c + 1 AS hi FROM range(30) a(r), range(39) b(c) UNION ALL SELECT r * 40 + c, r * 40 + c + 40 FROM range(29) a(r), range(40) b(c)")
+add("gen_weights", lambda s, d: with_random_weights(builders.links(s, d), 7), f"SELECT lo, hi, {oracle.mixed_sql('7', 'lo', 'hi')} % 255 + 1 AS w FROM ({oracle.EDGES['links']})")
+add("forest_uniform", lambda s, d: minimum_spanning_forest(rank_edges(generators.uniform_graph(s, 1000, 4000))).forest.select("lo", "hi", "w"), oracle.forest(_uniform_sql(1000, 4000)))
+add("forest_rmat", lambda s, d: minimum_spanning_forest(rank_edges(generators.rmat_graph(s, 10, 8))).forest.select("lo", "hi", "w"), oracle.forest(_rmat_sql(10, 8)))
+
+# ---- sources and relational operators -------------------------------------------------------------------------------
+add("tables_row_counts", lambda s, d: reduce(DataFrame.union, [read_table(s, d, t).agg(F.lit(t).alias("name"), F.count("*").alias("n")) for t in sources.TABLES]), " UNION ALL ".join(f"SELECT '{t}' AS name, count(*) AS n FROM {t}" for t in sources.TABLES))
+add("range_join_prices", lambda s, d: operators.range_join(read_table(s, d, "part").select("p_partkey", "p_retailprice"), read_table(s, d, "supplier").select("s_suppkey", "s_acctbal"), "p_retailprice", "s_acctbal", 5.0).select("p_partkey", "s_suppkey"), "SELECT p_partkey, s_suppkey FROM part JOIN supplier ON abs(p_retailprice - s_acctbal) <= 5.0")
+_EV = "(SELECT *, epoch_us(ts) AS us FROM events)"
+add("interval_join_events", lambda s, d: (lambda e: operators.interval_join(e.where("event_type = 'click'").select("user_id", F.col("event_id").alias("click"), F.col("us").alias("t0")), e.where("event_type = 'purchase'").select("user_id", F.col("event_id").alias("buy"), F.col("us").alias("t1")), ["user_id"], "t0", "t1", 3_600_000_000).select("user_id", "click", "buy"))(_micros(s, d)), f"SELECT a.user_id, a.event_id AS click, b.event_id AS buy FROM {_EV} a JOIN {_EV} b ON a.user_id = b.user_id AND b.us >= a.us AND b.us < a.us + 3600000000 WHERE a.event_type = 'click' AND b.event_type = 'purchase'")
+add("asof_last_event", lambda s, d: (lambda e: operators.asof_join(e.where("event_type = 'purchase'").select("user_id", "event_id", "us"), e.where("event_type = 'view'").select("user_id", F.col("us").alias("vus"), F.col("event_id").alias("view")), ["user_id"], "us", "vus", "view").select("event_id", "last_view"))(_micros(s, d)), f"SELECT a.event_id, b.event_id AS last_view FROM (SELECT * FROM {_EV} WHERE event_type = 'purchase') a ASOF LEFT JOIN (SELECT * FROM {_EV} WHERE event_type = 'view') b ON a.user_id = b.user_id AND a.us >= b.us")
+add("lightest_three_per_vertex", lambda s, d: operators.lightest_per_vertex(_entries(s, d), 3), f"WITH {_SYM} SELECT i, j, rank, w FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY rank) AS k FROM a) WHERE k <= 3")
+add("salted_supplier_degree", lambda s, d: operators.salted_join(read_table(s, d, "lineitem").select("l_suppkey", "l_orderkey"), read_table(s, d, "supplier").select(F.col("s_suppkey").alias("l_suppkey"), "s_nationkey"), ["l_suppkey"], 4, F.col("l_orderkey")).groupBy("s_nationkey").agg(F.count("*").alias("n")), "SELECT s_nationkey, count(*) AS n FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1")
+add("diff_parents_geo_mixed", lambda s, d: operators.diff_parents(parents.geo(s, d), parents.mixed(s, d)), f"SELECT coalesce(a.v, b.v) AS v, a.p, b.p AS q FROM ({parents.SQL['geo']}) a FULL JOIN ({parents.SQL['mixed']}) b ON a.v = b.v WHERE a.p IS DISTINCT FROM b.p")
+for _h in ("broadcast", "shuffle_hash", "merge"):
+    add(f"join_{_h}_orders", lambda s, d, h=_h: read_table(s, d, "lineitem").join(read_table(s, d, "orders").select(F.col("o_orderkey").alias("l_orderkey"), "o_orderpriority").hint(h), "l_orderkey").groupBy("o_orderpriority").agg(F.count("*").alias("n")), "SELECT o_orderpriority, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1")
+add("anti_isolated_customers", lambda s, d: read_table(s, d, "customer").select("c_custkey").join(read_table(s, d, "orders").select(F.col("o_custkey").alias("c_custkey")), "c_custkey", "left_anti"), "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)")
+add("semi_active_customers", lambda s, d: read_table(s, d, "customer").select("c_custkey").join(read_table(s, d, "orders").where("o_totalprice > 100000").select(F.col("o_custkey").alias("c_custkey")), "c_custkey", "left_semi"), "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders WHERE o_totalprice > 100000)")
+
+
+def _placed(s: SparkSession, d: str) -> DataFrame:
+    f = grow(s, d, "trade").forest.select((F.col("lo") / 16).cast("long").alias("c_custkey"), "w")
+    c, n = read_table(s, d, "customer").select("c_custkey", "c_nationkey", "c_mktsegment"), read_table(s, d, "nation").select(F.col("n_nationkey").alias("c_nationkey"), "n_regionkey")
+    return f.join(c, "c_custkey").join(n, "c_nationkey")
+
+
+_PLACED = f"WITH {oracle.forest_ctes(oracle.EDGES['trade'])}, p AS (SELECT w, c_mktsegment, c_nationkey, n_regionkey FROM f JOIN e USING (rank) JOIN customer ON c_custkey = lo // 16 JOIN nation ON n_nationkey = c_nationkey)"
+add("forest_by_region_rollup", lambda s, d: _placed(s, d).rollup("n_regionkey", "c_nationkey").agg(F.sum("w").alias("w")), f"{_PLACED} SELECT n_regionkey, c_nationkey, CAST(sum(w) AS BIGINT) AS w FROM p GROUP BY ROLLUP (n_regionkey, c_nationkey)")
+add("forest_by_segment_cube", lambda s, d: _placed(s, d).cube("n_regionkey", "c_mktsegment").agg(F.sum("w").alias("w"), F.count("*").alias("n")), f"{_PLACED} SELECT n_regionkey, c_mktsegment, CAST(sum(w) AS BIGINT) AS w, count(*) AS n FROM p GROUP BY CUBE (n_regionkey, c_mktsegment)")
+add("topk_forest_edges", lambda s, d: grow(s, d, "trade").forest.orderBy(F.desc("rank")).limit(20).select("lo", "hi", "w"), f"WITH {oracle.forest_ctes(oracle.EDGES['trade'])} SELECT lo, hi, w FROM f JOIN e USING (rank) ORDER BY rank DESC LIMIT 20")
+add("weight_bands_ntile", lambda s, d: builders.trade(s, d).join(read_table(s, d, "customer").select((F.col("c_custkey") * 16).alias("lo"), "c_nationkey"), "lo").withColumn("band", F.ntile(4).over(Window.partitionBy("c_nationkey").orderBy("w", "lo", "hi"))).groupBy("c_nationkey", "band").agg(F.max("w").alias("w")), f"SELECT c_nationkey, band, max(w) AS w FROM (SELECT c_nationkey, w, ntile(4) OVER (PARTITION BY c_nationkey ORDER BY w, lo, hi) AS band FROM ({oracle.EDGES['trade']}) JOIN customer ON lo = c_custkey * 16) GROUP BY 1, 2")
+add("scalar_json_props", lambda s, d: read_table(s, d, "events").groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count("*").alias("n")), "SELECT CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1")
+add("scalar_array_distance", lambda s, d: (lambda v: v.where("vec_id < 400").select("vec_id", F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")) * 1000).cast("long").alias("norm")))(read_table(s, d, "embeddings")), "SELECT vec_id, CAST(round(list_sum(list_transform(embedding, x -> CAST(x AS DOUBLE) * CAST(x AS DOUBLE))) * 1000) AS BIGINT) AS norm FROM embeddings WHERE vec_id < 400")
+
+# ---- consumers ------------------------------------------------------------------------------------------------------
+_NF = f"WITH {oracle.forest_ctes(oracle.EDGES['nation'])}"
+add("network_report_trade", lambda s, d: (lambda r: consumers.network_report(r.forest, r.edges))(grow(s, d, "trade")), f"WITH {oracle.forest_ctes(oracle.EDGES['trade'])}, t AS (SELECT count(*) AS links, CAST(sum(w) AS BIGINT) AS cost FROM f JOIN e USING (rank)) SELECT links, cost, (SELECT count(*) FROM e) AS all_links, (SELECT CAST(sum(w) AS BIGINT) FROM e) AS all_cost, (SELECT CAST(sum(w) AS BIGINT) FROM e) - cost AS saving FROM t")
+add("tour_bound_nation", lambda s, d: consumers.tour_upper_bound(grow(s, d, "nation").forest), f"{_NF} SELECT CAST(2 * sum(w) AS BIGINT) AS tour_bound FROM f JOIN e USING (rank)")
+add("single_linkage_nation", lambda s, d: (lambda r: consumers.single_linkage(r.forest, vertices_of(r.edges), threshold=600_000_000))(grow(s, d, "nation")), oracle.components(oracle.EDGES["nation"]).replace("AS component", "AS cluster").replace(f"({oracle.EDGES['nation']})", f"(SELECT * FROM ({oracle.EDGES['nation']}) WHERE w <= 600000000)"))
+
+
+def _pairs(s: SparkSession, d: str) -> DataFrame:
+    e = rank_edges(builders.nation(s, d), dense=True)
+    v = vertices_of(e)
+    return consumers.bottleneck_between(minimum_spanning_forest(e).forest, v.select(F.col("v").alias("a")).join(v.select(F.col("v").alias("b")), F.expr("a < b")))
+
+
+_CLOSE = ["c0 AS MATERIALIZED (SELECT lo AS i, hi AS j, rank AS b FROM e UNION ALL SELECT hi, lo, rank FROM e)", *(f"c{k + 1} AS MATERIALIZED (SELECT i, j, min(b) AS b FROM (SELECT * FROM c{k} UNION ALL SELECT x.i, y.j, greatest(x.b, y.b) FROM c{k} x JOIN c{k} y ON x.j = y.i WHERE x.i <> y.j) GROUP BY 1, 2)" for k in range(5))]
+add("bottleneck_pairs_nation", _pairs, f"WITH {oracle.RANKED.format(oracle.EDGES['nation'])}, {', '.join(_CLOSE)} SELECT i AS a, j AS b, b AS rank FROM c5 WHERE i < j")
+add("replace_edge_nation", lambda s, d: (lambda r: consumers.replace_edge(r.forest, r.edges, r.forest.agg(F.min("rank")).first()[0]).select("lo", "hi", "w"))(grow(s, d, "nation")), f"WITH {oracle.forest_ctes('SELECT * FROM (' + oracle.EDGES['nation'] + ') ORDER BY w, lo, hi OFFSET 1')}, {oracle.RANKED.format(oracle.EDGES['nation']).replace('e AS', 'e2 AS', 1)}, g AS (SELECT lo, hi, w FROM f JOIN e USING (rank)) SELECT lo, hi, w FROM g WHERE (lo, hi) NOT IN (SELECT (lo, hi) FROM ({oracle.forest(oracle.EDGES['nation'])}))")
+
+# ---- SQL surface and streams ----------------------------------------------------------------------------------------
+_CONV = "SELECT conv_id, lo, hi, w FROM (SELECT conv_id, {v} AS lo, lead({v}) OVER (PARTITION BY conv_id ORDER BY turn) AS hi, CAST(length(text) AS BIGINT) AS w FROM conversations) WHERE hi IS NOT NULL".format(v=oracle.vid("conv_id * 1000 + turn", 12))
+
+
+def _conv(s: SparkSession, d: str) -> DataFrame:
+    return builders.turns(s, d).select(F.expr("lo div 16000").alias("conv_id"), "lo", "hi", "w")
+
+
+add("forest_per_conversation", lambda s, d: sqlapi.forest_per_group(_conv(s, d), "conv_id"), _CONV)
+add("udaf_forest_weight_per_conversation", lambda s, d: _conv(s, d).groupBy("conv_id").agg(sqlapi.forest_weight("lo", "hi", "w").alias("weight")), f"SELECT conv_id, CAST(sum(w) AS BIGINT) AS weight FROM ({_CONV}) GROUP BY conv_id")
+
+
+def _udtf(s: SparkSession, d: str) -> DataFrame:
+    sqlapi.register_all(s)
+    _conv(s, d).createOrReplaceTempView("_conv_edges")
+    return s.sql("SELECT lo, hi, w FROM spanning_forest_edges(TABLE(SELECT conv_id, lo, hi, w FROM _conv_edges) PARTITION BY conv_id ORDER BY w)")
+
+
+add("udtf_forest_per_conversation", _udtf, f"SELECT lo, hi, w FROM ({_CONV})")
+
+
+def _sql_forest(s: SparkSession, d: str) -> DataFrame:
+    builders.nation(s, d).createOrReplaceTempView("_nation_edges")
+    sqlapi.forest_views(s, "SELECT lo AS a, hi AS b, w FROM _nation_edges", prefix="nation_")
+    return s.sql("SELECT lo, hi, w FROM nation_forest_edges")
+
+
+add("sql_forest_view", _sql_forest, oracle.forest(oracle.EDGES["nation"]))
+add("arrow_local_forest", lambda s, d: (lambda e: _named(e, baselines.kruskal(baselines.local_forest(e))))(ranked(s, d, "supply")), oracle.forest(oracle.EDGES["supply"]))
+add("stream_incremental_forest", lambda s, d: streaming.stream_forest(streaming.user_type_edges(streaming.event_stream(s, d))))
+add("stream_static_forest", lambda s, d: minimum_spanning_forest(rank_edges(canonical_edges(streaming.user_type_edges(read_table(s, d, "events")), "lo", "hi", "w"))).forest.select("lo", "hi", "w"))
+add("stream_window_activity", lambda s, d: streaming.replay(streaming.windowed_activity(streaming.event_stream(s, d))).select("user_id", "n").groupBy("n").agg(F.count("*").alias("windows")))
+add("stream_stateful_sequence", lambda s, d: streaming.replay(streaming.sequence_stream(streaming.event_stream(s, d))), "SELECT lag(event_id) OVER w AS a, event_id AS b, epoch_us(ts) - lag(epoch_us(ts)) OVER w AS w FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id) QUALIFY a IS NOT NULL")
+add("stream_session_activity", lambda s, d: streaming.replay(streaming.session_activity(streaming.event_stream(s, d)), mode="complete").groupBy("n").agg(F.count("*").alias("sessions")), "WITH e AS (SELECT user_id, epoch_us(ts) AS us, event_id FROM events), s AS (SELECT *, CASE WHEN us - lag(us) OVER (PARTITION BY user_id ORDER BY us, event_id) < 7200000000 THEN 0 ELSE 1 END AS new FROM e), g AS (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY us, event_id) AS k FROM s), c AS (SELECT user_id, k, count(*) AS n FROM g GROUP BY 1, 2) SELECT n, count(*) AS sessions FROM c GROUP BY n")

@@ -1 +1,123 @@
+"""Forests and edges on streams: incremental, per window, stateful sequences. ``events`` replays as a file stream."""
 
+from __future__ import annotations
+
+import tempfile
+import uuid
+from collections.abc import Iterator
+
+import pandas as pd
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from starforest.forest.loop import minimum_spanning_forest
+from starforest.graph.builders import vertex
+from starforest.graph.order import canonical_edges, rank_edges
+from starforest.runtime import cut, read_table, shared_dir
+
+
+def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """``events`` as a stream; ``at`` is the event time as TIMESTAMP, which watermarks need."""
+    batch = read_table(spark, sf_dir, "events")
+    lines = spark.readStream.schema(batch.schema).option("pathGlobFilter", "events.parquet").parquet(sf_dir)
+    return lines.withColumn("at", F.col("ts").cast("timestamp"))
+
+
+def replay(stream: DataFrame, *, mode: str = "append", each=None) -> DataFrame:
+    """Runs a stream over what is there now; its output (or what ``each(batch, id)`` does to it) is materialised."""
+    spark = stream.sparkSession
+    folder = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    if each is None and mode == "append":
+        w = stream.writeStream.format("parquet").option("path", f"{folder}/out").outputMode("append")
+    else:
+        def keep(batch: DataFrame, k: int) -> None:
+            batch.write.mode("overwrite").parquet(f"{folder}/out")
+
+        w = stream.writeStream.outputMode(mode).foreachBatch(each or keep)
+    w.option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{folder}/out") if each is None else stream
+
+
+class IncrementalForest:
+    """Keeps the forest of all edges seen: each batch's forest is that of the old forest and the new edges.
+
+    Nothing but the forest (fewer edges than vertices) is carried from batch to batch, as a new version in the
+    shared folder; a batch that is delivered twice changes nothing.
+    """
+
+    def __init__(self, spark: SparkSession, **options) -> None:
+        self.folder = f"{shared_dir(spark)}/forest-{uuid.uuid4().hex}"
+        self.version, self.options = -1, options
+
+    def current(self, spark: SparkSession) -> DataFrame:
+        if self.version < 0:
+            return spark.createDataFrame([], "lo long, hi long, w long")
+        return spark.read.parquet(f"{self.folder}/v{self.version}")
+
+    def add(self, edges: DataFrame, batch: int) -> None:
+        spark = edges.sparkSession
+        both = self.current(spark).union(edges.select("lo", "hi", "w"))
+        found = minimum_spanning_forest(rank_edges(canonical_edges(both, "lo", "hi", "w")), **self.options).forest
+        found.select("lo", "hi", "w").write.mode("overwrite").parquet(f"{self.folder}/v{batch}")
+        self.version = batch  # the version counts once it is whole
+
+
+def stream_forest(edges: DataFrame, **options) -> DataFrame:
+    """Forest of an edge stream ``(lo, hi, w)``."""
+    keeper = IncrementalForest(edges.sparkSession, **options)
+    replay(edges, each=keeper.add)
+    return keeper.current(edges.sparkSession)
+
+
+def merge_forests(forests: list[DataFrame], **options) -> DataFrame:
+    """Forest of a union from the forests of its parts: window slices merge this way."""
+    spark = forests[0].sparkSession
+    every = forests[0].select("lo", "hi", "w")
+    for f in forests[1:]:
+        every = every.union(f.select("lo", "hi", "w"))
+    return minimum_spanning_forest(rank_edges(canonical_edges(every, "lo", "hi", "w")), **options).forest.select("lo", "hi", "w")
+
+
+def user_type_edges(events: DataFrame) -> DataFrame:
+    """Stateless edges of an event: its user and its type, weighing the value in cents."""
+    kind = F.crc32(F.col("event_type").cast("binary"))
+    return events.select(F.least(vertex("user_id", "user"), vertex(kind, "event")).alias("lo"), F.greatest(vertex("user_id", "user"), vertex(kind, "event")).alias("hi"), F.round(F.col("value") * 100).cast("long").alias("w"))
+
+
+def windowed_activity(events: DataFrame, *, length: str = "1 day", late: str = "1 hour") -> DataFrame:
+    """``(start, user_id, n)`` of closed windows; rows later than the watermark are dropped."""
+    return events.withWatermark("at", late).groupBy(F.window("at", length).alias("win"), "user_id").agg(F.count("*").alias("n")).select(F.col("win.start").alias("start"), "user_id", "n")
+
+
+def session_activity(events: DataFrame, *, gap: str = "2 hours") -> DataFrame:
+    """``(start, user_id, n)`` of sessions that a pause of ``gap`` ends."""
+    return events.withWatermark("at", "1 hour").groupBy(F.session_window("at", gap).alias("win"), "user_id").agg(F.count("*").alias("n")).select(F.col("win.start").alias("start"), "user_id", "n")
+
+
+def sequence_stream(events: DataFrame) -> DataFrame:
+    """``(a, b, w)``: each event of a user with the one before, across batches, by state per user."""
+
+    def step(key: tuple, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        rows = pd.concat(list(batches)).sort_values(["us", "event_id"])
+        ids, at = rows["event_id"].tolist(), rows["us"].tolist()
+        if state.exists:
+            last = state.get
+            ids, at = [last[0], *ids], [last[1], *at]
+        state.update((ids[-1], at[-1]))
+        yield pd.DataFrame({"a": ids[:-1], "b": ids[1:], "w": [y - x for x, y in zip(at, at[1:], strict=False)]})
+
+    timed = events.select("user_id", "event_id", F.unix_micros("at").alias("us"))
+    return timed.groupBy("user_id").applyInPandasWithState(step, "a long, b long, w long", "last long, us long", "append", "NoTimeout")
+
+
+def running_components(edges: DataFrame, vertices: int, **options) -> int:
+    """Number of trees after a stream: vertices less accepted edges."""
+    return vertices - stream_forest(edges, **options).count()
+
+
+def local_folder() -> str:
+    """A scratch folder for tests."""
+    return tempfile.mkdtemp(prefix="starforest-stream-")
+
+
+__all__ = ["IncrementalForest", "cut", "event_stream", "merge_forests", "replay", "running_components", "sequence_stream", "session_activity", "stream_forest", "user_type_edges", "windowed_activity"]
