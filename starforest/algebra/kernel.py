@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from starforest.algebra.monoid import Monoid, Semiring
-from starforest.runtime import cut
+from starforest.runtime import cut_state
 
 #: Rows of a vector that may be broadcast (two LONGs each).
 BROADCAST_ROWS = 1_000_000
@@ -62,7 +62,7 @@ def triple_kernel(entries: DataFrame, x: DataFrame, y: DataFrame, f: Callable[[C
 
 def two_pass_kernel(entries: DataFrame, x: DataFrame, y: DataFrame, g: Callable[[Column, Column], Column], f: Callable[[Column, Column], Column], monoid: Monoid, *, keep: Column | None = None, value: str = "a") -> tuple[DataFrame, DataFrame]:
     """The pairwise alternative: writes g(a_ij, y_j) for every entry, then combines with x. Returns (result, written)."""
-    written = cut(entries.join(y.select(F.col("v").alias("j"), F.col("y").alias("_y")), "j").select("i", "j", g(F.col(value), F.col("_y")).alias("_g")))
+    written = cut_state(entries.join(y.select(F.col("v").alias("j"), F.col("y").alias("_y")), "j").select("i", "j", g(F.col(value), F.col("_y")).alias("_g")))
     joined = written.join(x.select(F.col("v").alias("i"), F.col("x").alias("_x")), "i")
     if keep is not None:
         joined = joined.where(keep)

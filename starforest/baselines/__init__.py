@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from starforest.forest.shortcut import close_changed
 from starforest.forest.steps import accepted_hooks
 from starforest.graph.order import directed, vertices_of
-from starforest.runtime import cut, cut_observing
+from starforest.runtime import cut_observing, cut_state
 
 
 def _kruskal(rank: np.ndarray, lo: np.ndarray, hi: np.ndarray) -> np.ndarray:
@@ -97,10 +97,10 @@ def divide_and_merge_forest(edges: DataFrame, *, parts: int = 8, fan_in: int = 4
 
     An edge that is not in the forest of its share is in no forest of the whole (cycle property).
     """
-    cur = cut(local_forest(edges.select("rank", "lo", "hi").repartition(parts, F.xxhash64("rank"))))
+    cur = cut_state(local_forest(edges.select("rank", "lo", "hi").repartition(parts, F.xxhash64("rank"))))
     while parts > 1:
         parts = -(-parts // fan_in)
-        cur = cut(local_forest(cur.repartition(parts, F.xxhash64("rank"))))
+        cur = cut_state(local_forest(cur.repartition(parts, F.xxhash64("rank"))))
     return cur
 
 
@@ -126,27 +126,27 @@ def boruvka(edges: DataFrame, *, max_rounds: int = 64) -> DataFrame:
     found: DataFrame | None = None
     for _ in range(max_rounds):
         both = cur.select("rank", F.explode(F.array(F.struct(F.col("a").alias("root"), F.col("b").alias("parent")), F.struct(F.col("b").alias("root"), F.col("a").alias("parent")))).alias("e")).select("rank", "e.*")
-        best = cut(both.groupBy("root").agg(F.min("rank").alias("rank"), F.min_by("parent", "rank").alias("parent")))
+        best = cut_state(both.groupBy("root").agg(F.min("rank").alias("rank"), F.min_by("parent", "rank").alias("parent")))
         hooks, seen = cut_observing(accepted_hooks(best), n=F.count(F.lit(1)))
         if not seen["n"]:
             return found.select("rank") if found is not None else edges.select("rank").limit(0)
         found = hooks.select("rank") if found is None else found.union(hooks.select("rank"))
         to, _ = close_changed(hooks)
         a, b = (to.select(F.col("root").alias(s), F.col("parent").alias(f"_{s}")) for s in "ab")
-        cur = cut(cur.join(a, "a", "left").join(b, "b", "left").select("rank", F.coalesce("_a", "a").alias("a"), F.coalesce("_b", "b").alias("b")).where("a <> b"))
+        cur = cut_state(cur.join(a, "a", "left").join(b, "b", "left").select("rank", F.coalesce("_a", "a").alias("a"), F.coalesce("_b", "b").alias("b")).where("a <> b"))
     raise RuntimeError(f"not contracted within {max_rounds} rounds")
 
 
 def vertex_centric_forest(edges: DataFrame, *, max_rounds: int = 64) -> tuple[DataFrame, list[dict]]:
     """``(rank)`` and messages by superstep: vertices tell neighbours their component, leaders reduce, members ask leaders for theirs."""
-    state = cut(vertices_of(edges).select("v", F.col("v").alias("c")))
+    state = cut_state(vertices_of(edges).select("v", F.col("v").alias("c")))
     entries = directed(edges).select("i", "j", "rank")
     found: DataFrame | None = None
     log: list[dict] = []
     for _ in range(max_rounds):
         told, seen = cut_observing(entries.join(state.withColumnsRenamed({"v": "i", "c": "ci"}), "i").select("j", "ci", "rank"), n=F.count(F.lit(1)))
         heard = told.join(state.withColumnsRenamed({"v": "j", "c": "cj"}), "j").where("ci <> cj").groupBy(F.col("cj").alias("root")).agg(F.min("rank").alias("rank"), F.min_by("ci", "rank").alias("parent"))
-        heard = cut(heard)
+        heard = cut_state(heard)
         hooks, got = cut_observing(accepted_hooks(heard), n=F.count(F.lit(1)))
         log.append({"neighbour_messages": seen["n"], "leaders": got["n"]})
         if not got["n"]:
@@ -154,16 +154,16 @@ def vertex_centric_forest(edges: DataFrame, *, max_rounds: int = 64) -> tuple[Da
         found = hooks.select("rank") if found is None else found.union(hooks.select("rank"))
         to, rounds = close_changed(hooks)
         log[-1]["pointer_rounds"] = rounds
-        state = cut(state.join(to.select(F.col("root").alias("c"), F.col("parent").alias("_c")), "c", "left").select("v", F.coalesce("_c", "c").alias("c")))
+        state = cut_state(state.join(to.select(F.col("root").alias("c"), F.col("parent").alias("_c")), "c", "left").select("v", F.coalesce("_c", "c").alias("c")))
     raise RuntimeError(f"no forest within {max_rounds} rounds")
 
 
 def bottleneck_closure(edges: DataFrame, *, max_rounds: int = 32) -> DataFrame:
     """``(i, j, b)``: the smallest possible largest rank on a path from i to j; small graphs only."""
-    cur = cut(directed(edges).select("i", "j", F.col("rank").alias("b")))
+    cur = cut_state(directed(edges).select("i", "j", F.col("rank").alias("b")))
     for _ in range(max_rounds):
         step = cur.select("i", F.col("j").alias("k"), F.col("b").alias("x")).join(cur.select(F.col("i").alias("k"), "j", F.col("b").alias("y")), "k").where("i <> j").select("i", "j", F.greatest("x", "y").alias("b"))
-        nxt = cut(cur.union(step).groupBy("i", "j").agg(F.min("b").alias("b")))
+        nxt = cut_state(cur.union(step).groupBy("i", "j").agg(F.min("b").alias("b")))
         if not nxt.exceptAll(cur).limit(1).count():
             return nxt
         cur = nxt

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from starforest.forest import shortcut as sc
 from starforest.forest import steps
 from starforest.graph.order import directed, vertices_of
-from starforest.runtime import cut
+from starforest.runtime import cut_state
 
 
 def _entries(edges: DataFrame) -> DataFrame:
@@ -38,29 +38,29 @@ def unconditional_hook(flags: DataFrame, low: DataFrame, stagnant: DataFrame) ->
 def connected_components(edges: DataFrame, vertices: DataFrame | None = None, *, hooking: str = "both", shortcut: str = "full", max_iterations: int = 10_000) -> DataFrame:
     """``(v, component)``, named by the smallest member. ``hooking``: ``both`` or ``conditional`` only."""
     e = edges.select("lo", "hi")
-    parents = cut(steps.initial_parents(vertices_of(e, vertices)))
+    parents = cut_state(steps.initial_parents(vertices_of(e, vertices)))
     for _ in range(max_iterations):
         stepwise = shortcut == "step"
-        flags = cut(steps.star_flags(parents)) if stepwise else steps.all_stars(parents)
-        first = cut(conditional_hook(flags, min_neighbour_parent(e, flags)))
+        flags = cut_state(steps.star_flags(parents)) if stepwise else steps.all_stars(parents)
+        first = cut_state(conditional_hook(flags, min_neighbour_parent(e, flags)))
         hooked = steps.hook(parents, first)
         moved = first.count()
         if hooking == "both":
             # Stars that took no part: not a root that hooked, nor a tree that was hooked onto. Their members keep
             # their parents, so flags still hold for them.
-            hooked = cut(hooked)
+            hooked = cut_state(hooked)
             busy = first.select(F.col("root").alias("v")).union(first.select(F.col("parent").alias("v"))).join(hooked.select("v", "p"), "v").select(F.explode(F.array("v", "p")).alias("root")).distinct()
             idle = flags.where("is_star and v = p").select(F.col("v").alias("root")).join(busy, "root", "left_anti")
             now = hooked.join(flags.select("v", "is_star"), "v")
-            second = cut(unconditional_hook(now.select("v", "p", "is_star"), min_neighbour_parent(e, now), idle))
+            second = cut_state(unconditional_hook(now.select("v", "p", "is_star"), min_neighbour_parent(e, now), idle))
             moved += second.count()
             hooked = steps.hook(hooked, second)
         if stepwise:
-            nxt = cut(sc.shortcut_step(hooked))
+            nxt = cut_state(sc.shortcut_step(hooked))
             moved += nxt.join(parents.select("v", F.col("p").alias("o")), "v").where("p <> o").limit(1).count()
             parents = nxt
         else:
-            parents = cut(sc.shortcut_queried(cut(hooked))[0])
+            parents = cut_state(sc.shortcut_queried(cut_state(hooked))[0])
         if not moved:
             break
     low = parents.groupBy("p").agg(F.min("v").alias("component"))

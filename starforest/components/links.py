@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from starforest.runtime import cut
+from starforest.runtime import cut_state
 
 
 def _large_star(e: DataFrame) -> DataFrame:
@@ -32,10 +32,10 @@ def link_components(links: DataFrame, a: str = "a", b: str = "b", max_rounds: in
     """
     x, y = F.col(a).cast("long"), F.col(b).cast("long")
     e = links.where(x != y).select(F.greatest(x, y).alias("a"), F.least(x, y).alias("b")).distinct()
-    e = cut(e)
+    e = cut_state(e)
     seen = None
     for _ in range(max_rounds):
-        e = cut(_small_star(_large_star(e)))
+        e = cut_state(_small_star(_large_star(e)))
         now = e.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if now == seen:
             break

@@ -7,20 +7,20 @@ from pyspark.sql import functions as F
 
 from starforest.components.links import link_components
 from starforest.graph.order import directed, vertices_of
-from starforest.runtime import cut, cut_observing
+from starforest.runtime import cut_observing, cut_state
 
 
 def root_forest(forest: DataFrame, roots: DataFrame, *, max_levels: int = 100_000) -> DataFrame:
     """``(v, parent, depth, w, rank)``: the forest's edges directed towards ``roots(v)``, level by level."""
-    d = cut(directed(forest).select("i", "j", "rank", "w"))
-    level = cut(roots.select("v", F.lit(None).cast("long").alias("parent"), F.lit(0).alias("depth"), F.lit(None).cast("long").alias("w"), F.lit(None).cast("long").alias("rank")))
+    d = cut_state(directed(forest).select("i", "j", "rank", "w"))
+    level = cut_state(roots.select("v", F.lit(None).cast("long").alias("parent"), F.lit(0).alias("depth"), F.lit(None).cast("long").alias("w"), F.lit(None).cast("long").alias("rank")))
     out = level
     for k in range(1, max_levels):
         nxt = d.join(level.select(F.col("v").alias("i"), F.col("parent").alias("up")), "i").where("up is null or j <> up").select(F.col("j").alias("v"), F.col("i").alias("parent"), F.lit(k).alias("depth"), "w", "rank")
         level, seen = cut_observing(nxt, n=F.count(F.lit(1)))
         if not seen["n"]:
             return out
-        out = cut(out.union(level)) if k % 16 == 0 else out.union(level)
+        out = cut_state(out.union(level)) if k % 16 == 0 else out.union(level)
     raise RuntimeError("the forest is deeper than max_levels")
 
 
@@ -30,9 +30,9 @@ def bottleneck_between(forest: DataFrame, pairs: DataFrame) -> DataFrame:
     Every vertex's path to its root is climbed in both ends together, deeper end first.
     """
     parts = link_components(forest, "lo", "hi")
-    tree = cut(root_forest(forest, parts.select(F.col("component").alias("v")).distinct()))
+    tree = cut_state(root_forest(forest, parts.select(F.col("component").alias("v")).distinct()))
     up = tree.select(F.col("v").alias("x"), F.col("parent").alias("px"), F.col("depth").alias("dx"), F.col("rank").alias("rx"))
-    cur = cut(pairs.select("a", "b", F.col("a").alias("x"), F.col("b").alias("y"), F.lit(-1).cast("long").alias("m")))
+    cur = cut_state(pairs.select("a", "b", F.col("a").alias("x"), F.col("b").alias("y"), F.lit(-1).cast("long").alias("m")))
     done = None
     while True:
         two = cur.join(up, "x").join(up.withColumnsRenamed({"x": "y", "px": "py", "dx": "dy", "rx": "ry"}), "y")

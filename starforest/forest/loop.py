@@ -19,7 +19,7 @@ from starforest.algebra.kernel import BROADCAST_ROWS
 from starforest.forest import shortcut as sc
 from starforest.forest import steps
 from starforest.graph.order import vertices_of
-from starforest.runtime import cut, cut_observing
+from starforest.runtime import cut_observing, cut_state
 
 SHORTCUTS = ("step", "full", "queried", "queried_plain", "prefetched", "thresholded", "adaptive", "scheduled")
 
@@ -94,7 +94,7 @@ def minimum_spanning_forest(edges: DataFrame, vertices: DataFrame | None = None,
     spent = {"queried": 0.0, "prefetched": 0.0}
     for k in range(1, max_iterations + 1):
         t0 = time.monotonic()
-        flags = cut(steps.star_flags(parents)) if stepwise else steps.all_stars(parents)
+        flags = cut_state(steps.star_flags(parents)) if stepwise else steps.all_stars(parents)
         written = 0
         if kernel == "two_pass":
             roots, written = steps.two_pass_candidates(work, flags)
@@ -113,7 +113,7 @@ def minimum_spanning_forest(edges: DataFrame, vertices: DataFrame | None = None,
         parts.append(hooks.select("rank", F.lit(k).alias("iteration")))
         t2 = time.monotonic()
         if stepwise:
-            stepped = sc.shortcut_step(cut(steps.hook(parents, hooks))).join(parents.select("v", F.col("p").alias("o")), "v")
+            stepped = sc.shortcut_step(cut_state(steps.hook(parents, hooks))).join(parents.select("v", F.col("p").alias("o")), "v")
             nxt, seen = cut_observing(stepped, m=F.bool_or(F.col("p") != F.col("o")))
             nxt, moved = nxt.select("v", "p"), seen["m"]
             row.strategy, row.sub_iterations, parents = "step", 1, nxt
@@ -125,10 +125,10 @@ def minimum_spanning_forest(edges: DataFrame, vertices: DataFrame | None = None,
                 ship = "broadcast" if changed * sc.ENTRY_BYTES <= budget_bytes else "shuffle"
                 nxt, row.sub_iterations = sc.shortcut_prefetched(parents, hooks, ship=ship, checked=True, n=changed)
                 row.gathered_bytes = changed * sc.ENTRY_BYTES
-                parents = cut(nxt)
+                parents = cut_state(nxt)
             else:
-                parents, row.sub_iterations = sc.shortcut_queried(cut(steps.hook(parents, hooks)), merge=shortcut != "queried_plain")
-                parents = cut(parents)
+                parents, row.sub_iterations = sc.shortcut_queried(cut_state(steps.hook(parents, hooks)), merge=shortcut != "queried_plain")
+                parents = cut_state(parents)
         t3 = time.monotonic()
         row.hook_s, row.shortcut_s = t2 - t1, t3 - t2
         if row.strategy in spent:
@@ -136,11 +136,11 @@ def minimum_spanning_forest(edges: DataFrame, vertices: DataFrame | None = None,
         trace.append(row)
         if compact:
             a, b = (parents.select(F.col("v").alias(s), F.col("p").alias(f"_{s}")) for s in ("lo", "hi"))
-            work = cut(work.join(a, "lo").join(b, "hi").where("_lo <> _hi").select("rank", "lo", "hi"))
+            work = cut_state(work.join(a, "lo").join(b, "hi").where("_lo <> _hi").select("rank", "lo", "hi"))
     else:
         raise RuntimeError(f"no forest within {max_iterations} iterations")
     nothing = spark.createDataFrame([], "rank long, iteration int")
-    accepted = cut(reduce(DataFrame.union, parts, nothing)) if parts else nothing
+    accepted = reduce(DataFrame.union, parts, nothing) if parts else nothing
     return ForestResult(edges, accepted, parents, trace)
 
 

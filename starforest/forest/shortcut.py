@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from starforest.algebra.kernel import BROADCAST_ROWS
 from starforest.forest.steps import grandparents, is_star_forest
-from starforest.runtime import cut, cut_observing
+from starforest.runtime import cut_observing, cut_state
 
 #: Fixed value: changed roots beyond which the thresholded form does not prefetch (20 MB at 16 bytes).
 THRESHOLD = 1_310_000
@@ -40,7 +40,7 @@ def shortcut_queried(parents: DataFrame, *, merge: bool = True, max_rounds: int
         moved, seen = cut_observing(cur.join(answer if merge else answer.distinct(), "p").select("v", F.col("g").alias("p"), (F.col("p") != F.col("g")).alias("m")), m=F.bool_or("m"))
         still = moved.where("m").select("v", "p")
         settled = moved.where("not m").select("v", "p")
-        done = settled if done is None else cut(done.union(settled))
+        done = settled if done is None else cut_state(done.union(settled))
         if not seen["m"]:
             return done, rounds
         cur, rounds = still, rounds + 1

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from starforest.algebra.kernel import grid_block
 from starforest.graph.order import directed
-from starforest.runtime import cut
+from starforest.runtime import cut_state
 
 
 def initial_parents(vertices: DataFrame) -> DataFrame:
@@ -84,7 +84,7 @@ def root_candidates(edges: DataFrame, flags: DataFrame, *, plan: str = "auto", g
 def two_pass_candidates(edges: DataFrame, flags: DataFrame) -> tuple[DataFrame, int]:
     """The pairwise form: writes (rank, far parent) for every entry of the matrix first. Returns rows written, too."""
     far = flags.select(F.col("v").alias("j"), F.col("p").alias("parent"))
-    written = cut(directed(edges).select("i", "j", "rank").join(far, "j").select("i", "rank", "parent"))
+    written = cut_state(directed(edges).select("i", "j", "rank").join(far, "j").select("i", "rank", "parent"))
     near = flags.where("is_star").select(F.col("v").alias("i"), F.col("p").alias("root"))
     out = written.join(near, "i").where("root <> parent").groupBy("root").agg(F.min("rank").alias("rank"), F.min_by("parent", "rank").alias("parent"))
     return out, written.count()
@@ -122,10 +122,10 @@ def changed_roots(parents: DataFrame, previous: DataFrame) -> DataFrame:
 
 def tree_heights(parents: DataFrame, max_rounds: int = 64) -> DataFrame:
     """``(v, root, depth)`` by pointer doubling; raises on a cycle."""
-    cur = cut(parents.select("v", "p", F.when(F.col("v") == F.col("p"), 0).otherwise(1).cast("long").alias("d")))
+    cur = cut_state(parents.select("v", "p", F.when(F.col("v") == F.col("p"), 0).otherwise(1).cast("long").alias("d")))
     for _ in range(max_rounds):
         up = cur.select(F.col("v").alias("p"), F.col("p").alias("g"), F.col("d").alias("e"))
-        nxt = cut(cur.join(up, "p").select("v", F.col("g").alias("p"), (F.col("d") + F.col("e")).alias("d"), (F.col("p") != F.col("g")).alias("m")))
+        nxt = cut_state(cur.join(up, "p").select("v", F.col("g").alias("p"), (F.col("d") + F.col("e")).alias("d"), (F.col("p") != F.col("g")).alias("m")))
         moved = nxt.agg(F.bool_or("m")).first()[0]
         cur = nxt.select("v", "p", "d")
         if not moved:

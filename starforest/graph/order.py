@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from starforest.runtime import cut
+from starforest.runtime import cut_state
 
 
 class GraphError(ValueError):
@@ -31,7 +31,7 @@ def rank_edges(edges: DataFrame, *, dense: bool = False) -> DataFrame:
     Ranks ascend with (w, lo, hi); ``dense`` makes them 0, 1, 2, ... at the price of one count for each partition.
     """
     ordered = edges.select("lo", "hi", "w").repartitionByRange("w", "lo", "hi").sortWithinPartitions("w", "lo", "hi")
-    ranked = cut(ordered.select(F.monotonically_increasing_id().alias("rank"), "lo", "hi", "w"))
+    ranked = cut_state(ordered.select(F.monotonically_increasing_id().alias("rank"), "lo", "hi", "w"))
     if not dense:
         return ranked
     part, place = F.shiftright("rank", 33), F.col("rank").bitwiseAND((1 << 33) - 1)
@@ -69,7 +69,7 @@ def mixed(*parts: Column | int) -> Column:
     for p in parts:
         p = p.cast("long") if isinstance(p, Column) else F.lit(p).cast("long")
         h = (h * 69_069 + p % 2_147_483_647 + 1) % 2_147_483_647
-        h = (h * 48_271) % 2_147_483_647
+        h = (h * h + 48_271) % 2_147_483_647  # the square keeps mixes of neighbouring integers from being shifts of each other
     return (h * 16_807 + F.floor(h / 8_191)) % 2_147_483_647
 
 

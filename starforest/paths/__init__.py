@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from starforest.algebra.kernel import spmv
 from starforest.algebra.monoid import MIN_PLUS
 from starforest.graph.order import directed
-from starforest.runtime import cut
+from starforest.runtime import cut_state
 
 
 def tense_edges(edges: DataFrame, dist: DataFrame) -> DataFrame:
@@ -38,7 +38,7 @@ def bellman_ford(edges: DataFrame, source: int, *, max_hops: int | None = None,
         start = new if frontier else dist
         step = spmv(entries, start.select("v", F.col("dist").alias("x")), MIN_PLUS).select("v", F.col("value").alias("_d"))
         # A vertex keeps its own distance: the diagonal of the matrix is not stored.
-        nxt = cut(dist.join(step, "v", "full").select("v", F.least("dist", "_d").alias("dist"), F.when(F.col("dist").isNull() | (F.col("_d") < F.col("dist")), k).otherwise(F.col("hops")).alias("hops")))
+        nxt = cut_state(dist.join(step, "v", "full").select("v", F.least("dist", "_d").alias("dist"), F.when(F.col("dist").isNull() | (F.col("_d") < F.col("dist")), k).otherwise(F.col("hops")).alias("hops")))
         new = nxt.where(F.col("hops") == k)
         dist = nxt
         if not new.limit(1).count():

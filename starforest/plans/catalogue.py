@@ -5,7 +5,7 @@ from __future__ import annotations
 from collections.abc import Callable
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from starforest import baselines, consumers, operators, sources, sqlapi, streaming
@@ -173,7 +173,7 @@ add("kernel_root_nationlabels", lambda s, d: _by_nation(s, d, reduce_to="x"), f"
 add("outgoing_edges_nationlabels", lambda s, d: outgoing_edges(rank_edges(builders.trade(s, d), dense=True), parents.nation_only(s, d)).select("rank", "p_lo", "p_hi"), f"{_LAB} SELECT rank, pi AS p_lo, pj AS p_hi FROM c WHERE i < j AND pi <> pj")
 add("min_outgoing_per_tree", lambda s, d: min_outgoing_per_tree(rank_edges(builders.trade(s, d), dense=True), parents.nation_only(s, d)), f"{_LAB} SELECT pi AS root, min(rank) AS rank FROM c WHERE pi <> pj GROUP BY pi")
 add("min_outgoing_per_vertex", lambda s, d: min_outgoing_per_vertex(rank_edges(builders.trade(s, d), dense=True), parents.nation_only(s, d)), f"{_LAB} SELECT i AS v, min(rank) AS rank FROM c WHERE pi <> pj GROUP BY i")
-add("cut_edge_segment", lambda s, d: lightest_outgoing_edge(rank_edges(builders.trade(s, d), dense=True), read_table(s, d, "customer").where("c_mktsegment = 'BUILDING'").select(builders.vertex("c_custkey", "customer").alias("v"))), f"WITH {_SYM} SELECT rank, lo, hi, w FROM e WHERE lo IN (SELECT c_custkey * 16 FROM customer WHERE c_mktsegment = 'BUILDING') ORDER BY rank LIMIT 1")
+add("cut_edge_segment", lambda s, d: lightest_outgoing_edge(rank_edges(builders.trade(s, d), dense=True), read_table(s, d, "customer").where("c_mktsegment = 'BUILDING'").select(builders.vertex("c_custkey", "customer").alias("v"))), f"WITH {_SYM} SELECT rank, lo, hi, w FROM e WHERE CASE WHEN lo % 16 = 0 THEN lo ELSE hi END IN (SELECT c_custkey * 16 FROM customer WHERE c_mktsegment = 'BUILDING') ORDER BY rank LIMIT 1")
 add("spmv_plus_times", lambda s, d: (lambda e: spmv(e, _vec(s, d, e, "v % 11"), PLUS_TIMES, value="w"))(_entries(s, d)), f"WITH {_SYM} SELECT j AS v, CAST(sum((i % 11) * w) AS BIGINT) AS value FROM a GROUP BY j")
 add("spmv_min_plus", lambda s, d: (lambda e: spmv(e, _vec(s, d, e, "v % 11"), MIN_PLUS, value="w"))(_entries(s, d)), f"WITH {_SYM} SELECT j AS v, min(i % 11 + w) AS value FROM a GROUP BY j")
 add("spmv_max_min", lambda s, d: (lambda e: spmv(e, _vec(s, d, e, "v * 1000"), MAX_MIN, value="w"))(_entries(s, d)), f"WITH {_SYM} SELECT j AS v, max(least(i * 1000, w)) AS value FROM a GROUP BY j")
@@ -265,19 +265,24 @@ add("anti_isolated_customers", lambda s, d: read_table(s, d, "customer").select(
 add("semi_active_customers", lambda s, d: read_table(s, d, "customer").select("c_custkey").join(read_table(s, d, "orders").where("o_totalprice > 100000").select(F.col("o_custkey").alias("c_custkey")), "c_custkey", "left_semi"), "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders WHERE o_totalprice > 100000)")
 
 
+def _customer() -> Column:
+    """The customer's end of a trade edge (suppliers' ids end in 1)."""
+    return F.when(F.col("lo") % 16 == 0, F.col("lo")).otherwise(F.col("hi"))
+
+
 def _placed(s: SparkSession, d: str) -> DataFrame:
-    f = grow(s, d, "trade").forest.select((F.col("lo") / 16).cast("long").alias("c_custkey"), "w")
+    f = grow(s, d, "trade").forest.select(F.shiftright(_customer(), 4).alias("c_custkey"), "w")
     c, n = read_table(s, d, "customer").select("c_custkey", "c_nationkey", "c_mktsegment"), read_table(s, d, "nation").select(F.col("n_nationkey").alias("c_nationkey"), "n_regionkey")
     return f.join(c, "c_custkey").join(n, "c_nationkey")
 
 
-_PLACED = f"WITH {oracle.forest_ctes(oracle.EDGES['trade'])}, p AS (SELECT w, c_mktsegment, c_nationkey, n_regionkey FROM f JOIN e USING (rank) JOIN customer ON c_custkey = lo // 16 JOIN nation ON n_nationkey = c_nationkey)"
+_PLACED = f"WITH {oracle.forest_ctes(oracle.EDGES['trade'])}, p AS (SELECT w, c_mktsegment, c_nationkey, n_regionkey FROM f JOIN e USING (rank) JOIN customer ON c_custkey * 16 = CASE WHEN lo % 16 = 0 THEN lo ELSE hi END JOIN nation ON n_nationkey = c_nationkey)"
 add("forest_by_region_rollup", lambda s, d: _placed(s, d).rollup("n_regionkey", "c_nationkey").agg(F.sum("w").alias("w")), f"{_PLACED} SELECT n_regionkey, c_nationkey, CAST(sum(w) AS BIGINT) AS w FROM p GROUP BY ROLLUP (n_regionkey, c_nationkey)")
 add("forest_by_segment_cube", lambda s, d: _placed(s, d).cube("n_regionkey", "c_mktsegment").agg(F.sum("w").alias("w"), F.count("*").alias("n")), f"{_PLACED} SELECT n_regionkey, c_mktsegment, CAST(sum(w) AS BIGINT) AS w, count(*) AS n FROM p GROUP BY CUBE (n_regionkey, c_mktsegment)")
 add("topk_forest_edges", lambda s, d: grow(s, d, "trade").forest.orderBy(F.desc("rank")).limit(20).select("lo", "hi", "w"), f"WITH {oracle.forest_ctes(oracle.EDGES['trade'])} SELECT lo, hi, w FROM f JOIN e USING (rank) ORDER BY rank DESC LIMIT 20")
-add("weight_bands_ntile", lambda s, d: builders.trade(s, d).join(read_table(s, d, "customer").select((F.col("c_custkey") * 16).alias("lo"), "c_nationkey"), "lo").withColumn("band", F.ntile(4).over(Window.partitionBy("c_nationkey").orderBy("w", "lo", "hi"))).groupBy("c_nationkey", "band").agg(F.max("w").alias("w")), f"SELECT c_nationkey, band, max(w) AS w FROM (SELECT c_nationkey, w, ntile(4) OVER (PARTITION BY c_nationkey ORDER BY w, lo, hi) AS band FROM ({oracle.EDGES['trade']}) JOIN customer ON lo = c_custkey * 16) GROUP BY 1, 2")
+add("weight_bands_ntile", lambda s, d: builders.trade(s, d).withColumn("c", _customer()).join(read_table(s, d, "customer").select((F.col("c_custkey") * 16).alias("c"), "c_nationkey"), "c").withColumn("band", F.ntile(4).over(Window.partitionBy("c_nationkey").orderBy("w", "lo", "hi")).cast("long")).groupBy("c_nationkey", "band").agg(F.max("w").alias("w")), f"SELECT c_nationkey, band, max(w) AS w FROM (SELECT c_nationkey, w, ntile(4) OVER (PARTITION BY c_nationkey ORDER BY w, lo, hi) AS band FROM ({oracle.EDGES['trade']}) JOIN customer ON c_custkey * 16 = CASE WHEN lo % 16 = 0 THEN lo ELSE hi END) GROUP BY 1, 2")
 add("scalar_json_props", lambda s, d: read_table(s, d, "events").groupBy(F.get_json_object("props", "$.k").cast("long").alias("k")).agg(F.count("*").alias("n")), "SELECT CAST(json_extract_string(props, '$.k') AS BIGINT) AS k, count(*) AS n FROM events GROUP BY 1")
-add("scalar_array_distance", lambda s, d: (lambda v: v.where("vec_id < 400").select("vec_id", F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")) * 1000).cast("long").alias("norm")))(read_table(s, d, "embeddings")), "SELECT vec_id, CAST(round(list_sum(list_transform(embedding, x -> CAST(x AS DOUBLE) * CAST(x AS DOUBLE))) * 1000) AS BIGINT) AS norm FROM embeddings WHERE vec_id < 400")
+add("scalar_array_distance", lambda s, d: (lambda v: v.where("vec_id < 400").select("vec_id", F.round(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double")) * 1000).cast("long").alias("norm")))(read_table(s, d, "embeddings")), "SELECT vec_id, CAST(round(list_sum(list_transform(embedding, lambda x: CAST(x AS DOUBLE) * CAST(x AS DOUBLE))) * 1000) AS BIGINT) AS norm FROM embeddings WHERE vec_id < 400")
 
 # ---- consumers ------------------------------------------------------------------------------------------------------
 _NF = f"WITH {oracle.forest_ctes(oracle.EDGES['nation'])}"

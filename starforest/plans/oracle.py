@@ -39,7 +39,8 @@ def mixed_sql(*parts: str) -> str:
     """The integer mixer of :func:`starforest.graph.order.mixed`."""
     h = "CAST(17 AS BIGINT)"
     for p in parts:
-        h = f"((({h} * 69069 + CAST({p} AS BIGINT) % 2147483647 + 1) % 2147483647) * 48271 % 2147483647)"
+        one = f"(({h} * 69069 + CAST({p} AS BIGINT) % 2147483647 + 1) % 2147483647)"
+        h = f"(({one} * {one} + 48271) % 2147483647)"
     return f"(({h} * 16807 + {h} // 8191) % 2147483647)"
 
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import tempfile
+import uuid
 
 from pyspark.sql import Column, DataFrame, Observation, SparkSession
 
@@ -29,10 +30,22 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def cut_state(df: DataFrame) -> DataFrame:
+    """The state of a loop as a table in the shared folder, read again.
+
+    Checkpoints keep a link to the plan they came from, and describing such plans takes time that doubles with
+    every reference; a written table starts afresh, in columns, and with a size the planner knows.
+    """
+    spark = df.sparkSession
+    path = f"{shared_dir(spark)}/state-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return spark.read.schema(df.schema).parquet(path)
+
+
 def cut_observing(df: DataFrame, **measures: Column) -> tuple[DataFrame, dict]:
-    """:func:`cut`, and aggregates over the rows from the same job."""
+    """:func:`cut_state`, and aggregates over the rows from the same job."""
     seen = Observation()
-    out = cut(df.observe(seen, *[c.alias(n) for n, c in measures.items()]))
+    out = cut_state(df.observe(seen, *[c.alias(n) for n, c in measures.items()]))
     return out, seen.get
 
 

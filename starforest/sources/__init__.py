@@ -52,9 +52,9 @@ def from_rows(spark: SparkSession, rows: list[tuple[int, int, int]]) -> DataFram
 def relabel_dense(spark: SparkSession, edges: DataFrame) -> tuple[DataFrame, DataFrame]:
     """String ids to LONG: ``(edges(lo, hi, w), names(v, name))``; ids ascend with the names' binary order."""
     names = edges.select(F.explode(F.array("a", "b")).alias("name")).distinct().repartitionByRange("name").sortWithinPartitions("name")
-    from starforest.runtime import cut
+    from starforest.runtime import cut_state
 
-    names = cut(names.select(F.monotonically_increasing_id().alias("v"), "name"))
+    names = cut_state(names.select(F.monotonically_increasing_id().alias("v"), "name"))
     x, y = (names.select(F.col("name").alias(c), F.col("v").alias(f"v{c}")) for c in "ab")
     return canonical_edges(edges.join(x, "a").join(y, "b").select(F.col("va").alias("a"), F.col("vb").alias("b"), "w")), names
 
@@ -92,7 +92,8 @@ class _UniformReader(DataSourceReader):
 def _mix(*parts: int) -> int:
     h = 17
     for p in parts:
-        h = (h * 69_069 + p % 2_147_483_647 + 1) % 2_147_483_647 * 48_271 % 2_147_483_647
+        h = (h * 69_069 + p % 2_147_483_647 + 1) % 2_147_483_647
+        h = (h * h + 48_271) % 2_147_483_647
     return (h * 16_807 + h // 8_191) % 2_147_483_647
 
 
