@@ -1,9 +1,10 @@
 """Byte-level BPE ids of whole texts with the tokenizers library, each distinct word encoded once.
 
-The tokenizer's word pattern never joins a character to a space that follows it, so a text may be cut
-before any space that does not stand between two white-space characters (or between one and the end):
-the parts' ids, in a row, are the whole text's ids. Texts with such a space go through the library
-whole. Parts repeat, so each batch encodes its distinct parts, and a worker remembers the last ones.
+The tokenizer splits a text into words by a pattern and encodes each word by itself, so a batch need only
+encode its distinct words. Texts of Latin letters without runs of white space or contractions are split into
+words right away. Others are cut before spaces only: no word of the pattern joins a character to a space
+that follows it, so that cut is safe unless the space stands between two white-space characters (or
+between one and the end). Texts with such a space go through the library whole. A worker remembers the last words.
 """
 
 from __future__ import annotations
@@ -14,10 +15,26 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-#: White space as the word pattern has it: a space among it, or at the end after it, forbids the cut.
-_WHOLE = r"[\s\x0B\x{85}\pZ] ([\s\x0B\x{85}\pZ]|\z)"
+_SPACE = r"\s\x0B\x{85}\pZ"
+#: A space among white space, or at the end after it, forbids the cut.
+_WHOLE = rf"[{_SPACE}] ([{_SPACE}]|\z)"
+#: Texts that are not split into words right away: runs of white space, contractions, more than Latin letters and punctuation.
+_RARE = rf"[{_SPACE}]{{2}}|'(?:[stmd]|re|ve|ll)|[^\x00-\x{{24F}}\x{{2010}}-\x{{2027}}]"
+_WORDS = rf"( ?\pL+| ?\pN+| ?[^{_SPACE}\pL\pN]+|[{_SPACE}])"
+#: Ends words while they are split; texts that hold it themselves are cut before spaces instead.
+_END = "\x00"
 _SLICE_BYTES = 4 << 20
-_KEEP = 150_000
+_KEEP = 300_000
+
+
+def _byte_letters() -> dict[int, int]:
+    """The byte-level alphabet, by its public rule: printable bytes stand for themselves, others follow from U+0100."""
+    own = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    rest = [b for b in range(256) if b not in own]
+    return {b: b for b in own} | {b: 256 + i for i, b in enumerate(rest)}
+
+
+_LETTERS = _byte_letters()
 
 
 def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
@@ -45,18 +62,76 @@ class WordEncoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True  # their strings are ordinary text
-        self.known: dict[str, np.ndarray] = {}
-
-    def _parts(self, parts: list[str]) -> list[np.ndarray]:
-        new = [p for p in parts if p not in self.known]
+        self.known: dict[str, int] = {}
+        self.pool, self.starts = np.zeros(0, np.int32), np.zeros(1, np.int64)
+
+    def _learn(self, new: list[str]) -> None:
+        """Encodes words and appends their ids to the pool."""
+        tokenize, ids, sizes = self.tokenizer.model.tokenize, [], []
+        for w in new:
+            got = tokenize((w if w.isascii() and w[:1] != " " else w.encode().decode("latin-1")).translate(_LETTERS))
+            ids += [t.id for t in got]
+            sizes.append(len(got))
+        self.known.update(zip(new, range(len(self.known), len(self.known) + len(new)), strict=True))
+        self.starts = np.concatenate([self.starts, self.starts[-1] + np.cumsum(sizes, dtype=np.int64)])
+        self.pool = np.concatenate([self.pool, np.array(ids, np.int32)])
+
+    def _ids(self, words: list[str], use: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Flat ids of ``words[use]``, and where each of them ends."""
+        new = [w for w in words if w not in self.known]
         if len(self.known) + len(new) > _KEEP:
-            self.known = {}
-            new = parts
-        for at in range(0, len(new), 20_000):
-            some = new[at : at + 20_000]
-            for p, got in zip(some, self.tokenizer.encode_batch_fast(some, add_special_tokens=False), strict=True):
-                self.known[p] = np.array(got.ids, np.int32)
-        return [self.known[p] for p in parts]
+            self.known, new = {}, words
+            self.pool, self.starts = np.zeros(0, np.int32), np.zeros(1, np.int64)
+        self._learn(new)
+        at = np.array([self.known[w] for w in words], np.int64)[use]
+        length = self.starts[at + 1] - self.starts[at]
+        ends = np.cumsum(length)
+        return self.pool[np.repeat(self.starts[at + 1] - ends, length) + np.arange(ends[-1] if len(ends) else 0)], ends
+
+    @staticmethod
+    def _parts(texts: pa.Array) -> tuple[pa.Array, np.ndarray, np.ndarray]:
+        """Distinct parts of texts cut before spaces, which of them follow each other, and how many each text has."""
+        split = pc.split_pattern(texts, " ")
+        sizes = np.diff(np.asarray(split.offsets))
+        coded = split.flatten().dictionary_encode()
+        part = np.array(coded.indices, np.int64)
+        words = coded.dictionary
+        spaced = pc.binary_join_element_wise(pa.scalar("", pa.large_string()), words, pa.scalar(" ", pa.large_string()))
+        # The first part of a text has no space before it; the others have.
+        part[np.cumsum(sizes) - sizes] += len(words)
+        seen = np.zeros(2 * len(words), bool)
+        seen[part] = True
+        return pa.concat_arrays([spaced, words]).filter(pa.array(seen)), (np.cumsum(seen) - 1)[part], sizes
+
+    @staticmethod
+    def _spread(pool: np.ndarray, ends: np.ndarray, use: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Ids of ``use``, entry k of ``pool`` ending at ``ends[k]``; and how many fall to each text of ``sizes`` entries."""
+        length = np.diff(ends, prepend=0)[use]
+        to = np.cumsum(length)
+        flat = pool[np.repeat(ends[use] - to, length) + np.arange(to[-1] if len(to) else 0)]
+        return flat, np.diff(to[np.cumsum(sizes) - 1], prepend=0)
+
+    def _by_words(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        parts, use, sizes = self._parts(texts)
+        # Parts that are a word as they stand need no splitting.
+        plain = pc.match_substring_regex(parts, r"\A ?\pL+\z")
+        ended = pc.if_else(plain, pc.binary_join_element_wise(parts, pa.scalar("", pa.large_string()), pa.scalar(_END, pa.large_string())), "")
+        mixed = pc.replace_substring_regex(parts.filter(pc.invert(plain)), _WORDS, "\\1" + _END)
+        split = pc.split_pattern(pc.replace_with_mask(ended, pc.invert(plain), mixed), _END)
+        coded = split.flatten().dictionary_encode()
+        # A part's last word is empty (every word ends with the mark): it has no ids.
+        pool, ends = self._ids(coded.dictionary.to_pylist(), np.asarray(coded.indices, np.int64))
+        return self._spread(pool, ends[np.asarray(split.offsets)[1:] - 1], use, sizes)
+
+    def _by_spaces(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        parts, use, sizes = self._parts(texts)
+        parts = parts.to_pylist()
+        got = [x.ids for at in range(0, len(parts), 20_000) for x in self.tokenizer.encode_batch_fast(parts[at : at + 20_000], add_special_tokens=False)]
+        return self._spread(np.array([i for ids in got for i in ids], np.int32), np.cumsum([len(ids) for ids in got]), use, sizes)
+
+    def _by_library(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        got = [self.tokenizer.encode(t, add_special_tokens=False).ids for t in texts.to_pylist()]
+        return np.array([i for ids in got for i in ids], np.int32), np.array([len(ids) for ids in got], np.int64)
 
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Flat ids (int32) and, for each text, how many; a null counts as empty."""
@@ -64,38 +139,19 @@ class WordEncoder:
         n = len(texts)
         if not n:
             return np.zeros(0, np.int32), np.zeros(0, np.int64)
-        whole = np.asarray(pc.match_substring_regex(texts, _WHOLE).to_numpy(zero_copy_only=False), bool)
-        plain = np.flatnonzero(~whole)
-        split = pc.split_pattern(texts.take(pa.array(plain)), " ")
-        sizes = np.diff(np.asarray(split.offsets))
-        coded = split.flatten().dictionary_encode()
-        part = np.asarray(coded.indices, np.int64)
-        words = coded.dictionary.to_pylist()
-        # The first part of a text has no space before it; the others have.
-        first = np.zeros(len(part), bool)
-        first[(np.cumsum(sizes) - sizes).astype(np.int64)] = True
-        key, use = np.unique(part * 2 + first, return_inverse=True)
-        ids = self._parts([words[k >> 1] if k & 1 else " " + words[k >> 1] for k in key.tolist()])
-        size = np.array([len(x) for x in ids], np.int64)
-        pool = np.concatenate(ids) if len(ids) else np.zeros(0, np.int32)
-        start = np.cumsum(size) - size
-        length = size[use]
-        ends = np.cumsum(length)
-        flat = pool[np.repeat(start[use] - (ends - length), length) + np.arange(ends[-1] if len(ends) else 0)]
-        doc_ends = ends[np.cumsum(sizes) - 1] if len(plain) else np.zeros(0, np.int64)
+        rare = pc.or_(pc.match_substring_regex(texts, _RARE), pc.match_substring(texts, _END)).to_numpy(zero_copy_only=False)
+        whole = np.zeros(n, bool)
+        whole[rare] = pc.match_substring_regex(texts.filter(pa.array(rare)), _WHOLE).to_numpy(zero_copy_only=False)
+        ways = [(np.flatnonzero(~rare), self._by_words), (np.flatnonzero(rare & ~whole), self._by_spaces), (np.flatnonzero(whole), self._by_library)]
         counts = np.zeros(n, np.int64)
-        counts[plain] = np.diff(doc_ends, prepend=0)
-        if not whole.any():
-            return flat, counts
-        others = {int(i): np.array(self.tokenizer.encode(texts[int(i)].as_py(), add_special_tokens=False).ids, np.int32) for i in np.flatnonzero(whole)}
-        for i, x in others.items():
-            counts[i] = len(x)
+        done = [(rows, *way(texts.take(pa.array(rows)))) for rows, way in ways if len(rows)]
+        for rows, _, sizes in done:
+            counts[rows] = sizes
+        if len(done) == 1:
+            return done[0][1], counts
         out, at = np.empty(counts.sum(), np.int32), np.cumsum(counts) - counts
-        mine = np.ones(len(out), bool)
-        for i, x in others.items():
-            out[at[i] : at[i] + len(x)] = x
-            mine[at[i] : at[i] + len(x)] = False
-        out[mine] = flat
+        for rows, flat, sizes in done:
+            out[np.repeat(at[rows] - (np.cumsum(sizes) - sizes), sizes) + np.arange(len(flat))] = flat
         return out, counts
 
 

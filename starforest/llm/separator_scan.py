@@ -76,7 +76,8 @@ def scan_blocks(files: DataFrame, *, block_ids: int = 1 << 20, end_id: int = END
                 at = np.flatnonzero(ids == end_id)
                 yield pa.RecordBatch.from_pydict({"path": [uri], "block": pa.array([block], pa.int64()), "ids": pa.array([len(ids)], pa.int64()), "seps": pa.array([len(at)], pa.int64()), "first": pa.array([int(at[0]) if len(at) else None], pa.int64()), "last": pa.array([int(at[-1]) if len(at) else None], pa.int64()), "inner": pa.array([np.diff(at) - 1], pa.list_(pa.int64()))})
 
-    spread = blocks.repartition(F.xxhash64("path", "block"))
+    # A row is a few bytes, its block is megabytes: the number of tasks is stated, or adaptive execution would merge them.
+    spread = blocks.repartition(int(files.sparkSession.conf.get("spark.sql.shuffle.partitions")), F.xxhash64("path", "block"))
     return spread.mapInArrow(scan, "path string, block long, ids long, seps long, first long, last long, inner array<long>")
 
 

@@ -51,7 +51,9 @@ class Table(NamedTuple):
 
     @classmethod
     def count(cls, ids: np.ndarray) -> Table:
-        used, n = np.unique(ids, return_counts=True)
+        n = np.bincount(ids)
+        used = np.flatnonzero(n)
+        n = n[used]
         if len(used) > 1 << SCALE:
             raise ValueError(f"more than {1 << SCALE} different ids in a file")
         freq = 1 + n * ((1 << SCALE) - len(used)) // n.sum()
@@ -99,7 +101,9 @@ def decode_block(data: bytes, n: int, table: Table, slots: np.ndarray) -> np.nda
 def pack(ids: np.ndarray, doc_ids: list, sizes: np.ndarray) -> bytes:
     """One file's bytes: flat ids of whole documents with their ids (None allowed) and sizes."""
     table = Table.count(ids) if len(ids) else Table.of(np.zeros(0, np.int64), np.zeros(0))
-    symbols = np.searchsorted(table.ids, ids)
+    place = np.zeros(int(table.ids[-1]) + 1 if len(table.ids) else 1, np.int32)
+    place[table.ids] = np.arange(len(table.ids))
+    symbols = place[ids]
     blocks, points, at = [], [], len(MAGIC)
     for k in range(0, len(ids), BLOCK):
         some = ids[k : k + BLOCK]
@@ -194,5 +198,7 @@ def read_token_files(files: DataFrame) -> DataFrame:
                 rows = [(doc, start + place, len(ids), zlib.crc32(ids.astype("<u4").tobytes())) for doc, place, ids in TokenFile(read_whole(uri)).documents()]
                 yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in range(4)], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    spread = placed.select("path", "start").repartition(F.xxhash64("path"))
+    # A path is a few bytes, its file is megabytes: the number of tasks is stated, or adaptive execution would merge them.
+    tasks = int(files.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    spread = placed.select("path", "start").repartition(tasks, F.xxhash64("path"))
     return spread.mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
