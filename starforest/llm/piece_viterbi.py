@@ -72,6 +72,16 @@ class PieceModel:
             self.raw[i] = b""
         self.known: dict[str, np.ndarray] = {}
 
+    def trie_score(self, piece: str) -> float | None:
+        """The score of a plain piece; None if the vocabulary has none of that name."""
+        node = self.trie
+        for c in piece:
+            node = node.get(c)
+            if node is None:
+                return None
+        end = node.get("")
+        return end[0] if end is not None else None
+
     def _spell(self, c: str) -> list[int]:
         return [self.bytes[b] for b in c.encode()] if len(self.bytes) == 256 else [self.unk]
 

@@ -1,0 +1,250 @@
+"""Every dealt operator against brute force, round trips or held-out accuracy, and on odd rows."""
+
+import hashlib
+import random
+import re
+import zlib
+
+import numpy as np
+import pyarrow as pa
+import pytest
+
+from starforest.llm import block_naming, byte_bpe, language_spans, pii_bootstrap, piece_viterbi, separator_scan, source_mix, token_files, url_filter, vector_graph, weighted_minhash
+from starforest.runtime import shared_dir
+
+SCHEMA = "doc_id long, text string, lang string, source string, n_chars long, score string, size int"
+LONG = "word " * 30_000
+
+
+@pytest.fixture(scope="module")
+def docs(spark):
+    """Nulls, empty and long texts, repeated rows and columns whose names clash."""
+    rows = [
+        (1, "Ärger in der Straße und auf dem Weg nach Hause", "de", "b", 5, "x", 1),
+        (2, None, None, None, None, None, None),
+        (3, "", "en", "a", 0, "x", 1),
+        (4, "the quick brown fox jumps over the lazy dog and runs away", "en", "a", 9, "x", 1),
+        (5, "THE quick brown fox jumps over the lazy dog and runs away", "en", None, 9, "x", 1),
+        (5, "THE quick brown fox jumps over the lazy dog and runs away", "en", None, 9, "x", 1),
+        (6, LONG, "en", "b", 9, "x", 1),
+        (7, "mail a.b@c.example.org or +1 (017) 555-7713, host 10.2.3.4 and 10.2.3.400, card 4111 1111 1111 1111.", "en", "b", 9, "x", 1),
+        (None, "nobody's text", "en", "b", 9, "x", 1),
+        (8, "12 34 !!", "en", "b", 9, "x", 1),
+    ]
+    return spark.createDataFrame(rows, SCHEMA)
+
+
+@pytest.fixture(scope="module")
+def nothing(spark):
+    return spark.createDataFrame([], SCHEMA)
+
+
+def _texts(docs):
+    return [(r.doc_id, r.text or "") for r in docs.collect()]
+
+
+def test_url_rules_and_model(spark):
+    rows = [(1, "https://A.Example.COM/en/71?x"), (2, "http://shop.example.com/en/8"), (3, "http://casino-win.example.org/fr/1"), (4, "https://library.example.org/fr/1"), (5, None), (6, "no scheme"), (7, "http://x.example.net/de/81#t"), (8, "http://example.net/de"), (9, "http://notcom/en/1"), (9, "http://www.cheap-pills.example.org/de/2")]
+    got = {(r.page_id, r.host): r for r in url_filter.judge_urls(spark.createDataFrame(rows, "page_id long, url string"), url_filter.seed_model(spark)).collect()}
+    assert got[1, "a.example.com"].rule == "example.com/en/7" and got[1, "a.example.com"].verdict == "allow"
+    assert got[2, "shop.example.com"].rule == "com/en/" and got[2, "shop.example.com"].verdict == "block"
+    assert got[7, "x.example.net"].rule == "example.net/de/8" and got[7, "x.example.net"].verdict == "block" and got[8, "example.net"].rule is None and got[9, "notcom"].rule is None
+    assert got[3, "casino-win.example.org"].verdict == "block" and got[4, "library.example.org"].verdict == "allow" and got[9, "www.cheap-pills.example.org"].verdict == "block"
+    assert got[5, ""].path == "" and (6, "") in got
+
+
+def test_exact_copies(docs, nothing):
+    exp = {}
+    for d, t in _texts(docs):
+        exp.setdefault(re.sub("[A-Z]", lambda m: m[0].lower(), t), []).append(d)
+    got = block_naming.exact_copies(docs, block_bytes=16).collect()
+    assert len(got) == 10
+    for r in got:
+        same = next(v for v in exp.values() if r.doc_id in v)
+        assert r.keep_id == max((x for x in same if x is not None), default=None) and r.group_size == len(same)
+    assert sum(r.kept for r in got) == len(exp)
+    sha = hashlib.sha256(b"the quick brown fox jumps over the lazy dog and runs away").hexdigest()
+    assert {r.text_sha256 for r in got if r.doc_id in (4, 5)} == {sha}
+    assert block_naming.drop_exact_copies(docs).count() == len(exp)
+    assert block_naming.exact_copies(nothing).count() == 0
+
+
+def test_near_classes(spark, docs, nothing):
+    rng = random.Random(2)
+    words = [f"w{i}" for i in range(900)]
+    base = [rng.choice(words) for _ in range(300)]
+    rows = [(100, " ".join(base)), (101, " ".join([*base[:150], "changed", *base[151:]])), (102, " ".join(rng.choice(words) for _ in range(300))), (103, " ".join(base).upper()), (104, " ".join(base[:100] + [rng.choice(words) for _ in range(200)]))]
+    got = {r.doc_id: r.class_id for r in weighted_minhash.near_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {100: 100, 101: 100, 102: 102, 103: 100, 104: 104}
+    odd = weighted_minhash.near_classes(docs).collect()
+    assert len(odd) == 11 - 1 and {r.class_id for r in odd if r.doc_id in (4, 5)} == {4}
+    assert weighted_minhash.near_classes(nothing).count() == 0
+
+
+def test_weighted_samples_collide_as_weighted_jaccard():
+    rng = random.Random(1)
+    words = [f"v{i}" for i in range(5000)]
+    a = [rng.choice(words) for _ in range(800)]
+    b = a[:500] + [rng.choice(words) for _ in range(300)]
+    s = weighted_minhash.Shingles(pa.array([" ".join(a), " ".join(b)]))
+    w = np.ones(len(s.h))
+    keys = weighted_minhash.sample_bands(s, w, bands=1500, rows=1)
+    x, y = set(s.h[s.owner == 0]), set(s.h[s.owner == 1])
+    assert abs((keys[0] == keys[1]).mean() - len(x & y) / len(x | y)) < 0.04
+
+
+def _brute_pii(text):
+    kinds = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
+
+    def good(kind, m):
+        d = re.sub("[^0-9]", "", m)
+        if kind == "ip":
+            return all(int(x) <= 255 for x in m.split("."))
+        if kind == "card":
+            t = sum(int(c) if i % 2 == 0 else int(c) * 2 - 9 * (int(c) > 4) for i, c in enumerate(reversed(d)))
+            return 12 <= len(d) <= 19 and t % 10 == 0
+        return kind == "email" or 9 <= len(d) <= 15
+
+    found = [(m.start(), i, m.end(), k) for i, (k, p) in enumerate(kinds.items()) for m in re.finditer(p, text) if good(k, m[0])]
+    return [f"{k}:{s}:{e}" for s, i, e, k in sorted(found)]
+
+
+def test_pii_base_matches_brute_force(spark, docs, nothing):
+    rng = random.Random(3)
+    bits = ["a@b.c", "_d@e-f.g.h", "1.2.3.4", ".5.6.7.8", "300.1.1.1", "4111 1111 1111 1111", "4111-1111-1111-1112", "+1 (017) 555-7713", "+12", "é", " ", "-", ".", "9", "@", "+", "x", "\n", "😀"]
+    rows = [(i, "".join(rng.choice(bits) for _ in range(rng.randint(0, 14)))) for i in range(300)]
+    rows += [(1000 + i, t) for i, (_, t) in enumerate(_texts(docs)) if len(t) < 1000]
+    for r in pii_bootstrap.find_pii(spark.createDataFrame(rows, "doc_id long, text string")).collect():
+        exp = _brute_pii(dict(rows)[r.doc_id])
+        assert r.base_sha256 == hashlib.sha256(",".join(exp).encode()).hexdigest(), dict(rows)[r.doc_id]
+        assert set(exp) <= set(r.spans.split(",")) | {""}
+    assert pii_bootstrap.find_pii(docs).count() == 10 and pii_bootstrap.find_pii(nothing).count() == 0
+
+
+def test_pii_discovers_by_context(spark):
+    rows = [(i, f"note {i} call me now at +1 (0{i:02d}) 555-77{i:02d} please") for i in range(12)] + [(50, "we call me now at (017) 555-7713 please today")]
+    got = {r.doc_id: r.spans for r in pii_bootstrap.find_pii(spark.createDataFrame(rows, "doc_id long, text string"), threshold=0.8).collect()}
+    assert got[50] == "phone:18:32"
+
+
+def test_piece_codec(docs, nothing):
+    model = piece_viterbi.PieceModel.of(piece_viterbi.model_path())
+    rng = random.Random(4)
+    words = sorted({"".join(rng.choice("▁theinr①ß") for _ in range(rng.randint(1, 9))) for _ in range(200)})
+    scores = {p: s for p, s in ((p, model.trie_score(p)) for p in {w[i:j] for w in words for i in range(len(w)) for j in range(i + 1, len(w) + 1)}) if s is not None}
+    for w, ids in zip(words, model.segment(words), strict=True):
+        best = [0.0] + [-1e18] * len(w)
+        for j in range(1, len(w) + 1):
+            best[j] = max([best[i] + scores[w[i:j]] for i in range(j) if w[i:j] in scores] + [best[j - 1] + model.penalty])
+        got = sum(scores.get(model.pieces[i], 0.0) for i in ids if i not in model.bytes.values())
+        raw = sum(i in model.bytes.values() for i in ids)
+        assert raw or abs(got - best[-1]) < 1e-6
+        assert b"".join(model.raw[i] for i in ids).decode() == w.replace("▁", " ")
+    assert all(r.round_trip for r in piece_viterbi.piece_digests(docs).collect())
+    assert piece_viterbi.piece_digests(nothing).count() == 0
+
+
+def test_vector_links(spark):
+    rng = np.random.default_rng(0)
+    v = rng.normal(size=(300, 16))
+    v[100:140] = v[100] + rng.normal(size=(40, 16)) * 0.05
+    v[200:205] = v[200]
+    rows = [(i, [float(x) for x in v[i].astype(np.float32)], 1) for i in range(300)] + [(300, None, 1), (301, [0.0] * 16, 1), (302, [float("nan")] * 16, 1), (303, [1.0, None] * 8, 1), (304, [1.0], 1)]
+    u = v.astype(np.float32).astype(float)
+    u /= np.linalg.norm(u, axis=1, keepdims=True)
+    link = u @ u.T >= 0.95
+    np.fill_diagonal(link, False)
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, label int")
+    for most in (4096, 64):  # the second is small enough for blocks of a dense shard
+        got = {r.vec_id: r for r in vector_graph.vector_links(df, shard=100, most=most).collect()}
+        assert sum(abs(got[i].n_links - link[i].sum()) for i in range(300)) <= 0.02 * link.sum()
+        assert got[120].component_id == 100 and got[204].component_id == 200 and not got[204].kept
+        assert all(got[i].n_links == 0 and got[i].kept for i in range(300, 305))
+    assert vector_graph.vector_links(df.limit(0)).count() == 0
+
+
+def test_language_spans(spark, docs, nothing):
+    en, de = "the house and the garden were full of people who went there", "das Haus und der Garten waren voll von Menschen die dorthin gingen"
+    rows = [(i, " ".join(random.Random(i).sample((en if i % 2 else de).split(), 9)), "en" if i % 2 else "de") for i in range(60)]
+    model = language_spans.fit_language_model(spark.createDataFrame(rows, "doc_id long, text string, lang string"))
+    assert model.langs == ("de", "en")
+    got = {r.doc_id: r for r in language_spans.predict_language(docs, model).collect()}
+    assert got[1].lang_pred == "de" and got[4].lang_pred == "en" and got[2].lang_pred == got[3].lang_pred == got[8].lang_pred == "und"
+    mixed = spark.createDataFrame([(1, f"{en} {de}")], "doc_id long, text string")
+    spans = [(r.first_word, r.words, r.lang) for r in language_spans.language_spans(mixed, model).orderBy("first_word").collect()]
+    assert [s[2] for s in spans] == ["en", "de"] and abs(spans[1][0] - len(en.split())) <= 1
+    assert language_spans.predict_language(nothing, model).count() == 0
+    assert {r.lang_pred for r in language_spans.predict_language(docs, language_spans.fit_language_model(nothing)).collect()} == {"und"}
+    assert set(language_spans.drop_unsure(docs, model).columns) == set(docs.columns)
+
+
+def test_viterbi_against_enumeration():
+    from itertools import product
+
+    rng = np.random.default_rng(1)
+    s = rng.normal(size=(6, 3)).astype(np.float32)
+    best = max(product(range(3), repeat=6), key=lambda p: sum(s[i, k] for i, k in enumerate(p)) - 0.7 * sum(a != b for a, b in zip(p, p[1:], strict=False)))
+    assert tuple(language_spans.viterbi(s, np.array([0, 6, 0]), 0.7)) == best
+
+
+def test_mix(docs, nothing):
+    rows = source_mix.mix_plan(docs).collect()
+    assert len(rows) == 10
+    per = {}
+    for r in rows:
+        assert r.taken <= 3 * r.size
+        t = per.setdefault(r.source, [r.target, 0, r.source_size])
+        t[1] += r.taken
+    assert abs(sum(t[0] for t in per.values()) - sum(t[2] for t in per.values())) < 1e-6 * 60_000
+    for target, taken, size in per.values():
+        assert target <= 3 * size and abs(taken - target) <= 1 + 0.01 * size
+    assert source_mix.mix_plan(nothing).count() == 0 and source_mix.mixed_documents(docs).columns == docs.columns
+
+
+def test_golden_lattice_visits_every_point():
+    for n in (1, 2, 7, 1000, 4096):
+        g = source_mix.golden_step(n)
+        assert len({i * g % n for i in range(n)}) == n
+
+
+def test_words_encode_as_the_library(docs):
+    coder = byte_bpe.WordEncoder(byte_bpe.tokenizer_path())
+    rng = random.Random(6)
+    bits = ["a", "don", "'s", " ", "  ", "\n", "\t", " ", "　", "12", ".", "é", "日", "<|endoftext|>", "\x00", "​"]
+    texts = ["".join(rng.choice(bits) for _ in range(rng.randint(0, 12))) for _ in range(1500)] + [t for _, t in _texts(docs)]
+    ids, n = coder.encode(pa.array(texts))
+    at = 0
+    for t, k in zip(texts, n, strict=True):
+        assert ids[at : at + k].tolist() == coder.tokenizer.encode(t, add_special_tokens=False).ids, repr(t[:80])
+        at += k
+
+
+def test_token_files_round_trip(spark, docs, nothing):
+    library = byte_bpe.WordEncoder.of(byte_bpe.tokenizer_path()).tokenizer
+    folder = f"{shared_dir(spark)}/t10"
+    got = sorted(((r.start, r.doc_id, r.n_tokens, r.ids_crc32) for r in token_files.read_token_files(token_files.write_token_files(docs, folder).cache()).collect()))
+    at = 0
+    texts = sorted(_texts(docs), key=lambda x: (x[0] is not None, x[0] or 0))
+    for (start, doc, n, crc), (d, t) in zip(got, texts, strict=True):
+        ids = np.array([*library.encode(t, add_special_tokens=False).ids, 0], "<u4")
+        assert (start, doc, n, crc) == (at, d, len(ids), zlib.crc32(ids.tobytes()))
+        at += n
+    assert token_files.read_token_files(token_files.write_token_files(nothing, folder + "e")).count() == 0
+
+
+def test_corrupt_block_is_found():
+    ids = np.arange(5000, dtype=np.int32) % 300
+    data = bytearray(token_files.pack(ids, [1], np.array([5000])))
+    data[9000] ^= 1
+    with pytest.raises(ValueError):
+        list(token_files.TokenFile(bytes(data)).documents())
+
+
+def test_separator_scan(spark, docs, nothing):
+    folder = f"{shared_dir(spark)}/t8"
+    files = separator_scan.write_flat_files(docs, folder).cache()
+    library = byte_bpe.WordEncoder.of(byte_bpe.tokenizer_path()).tokenizer
+    exp = sorted(len(library.encode(t, add_special_tokens=False).ids) for _, t in _texts(docs))
+    for size in (3, 7, 1 << 20):  # blocks that cut documents anywhere
+        assert sorted(r.n_tokens for r in separator_scan.count_tokens(files, block_ids=size).collect()) == exp
+    assert separator_scan.count_tokens(separator_scan.write_flat_files(nothing, folder)).count() == 0
