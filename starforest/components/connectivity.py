@@ -12,9 +12,7 @@ from starforest.runtime import cut_state
 
 
 def _entries(edges: DataFrame) -> DataFrame:
-    have = edges.columns
-    e = edges if "rank" in have else edges.withColumn("rank", F.lit(0).cast("long"))
-    return directed(e if "w" in have else e.withColumn("w", F.lit(0).cast("long"))).select("i", "j")
+    return directed(edges.select("lo", "hi"))
 
 
 def min_neighbour_parent(edges: DataFrame, flags: DataFrame) -> DataFrame:

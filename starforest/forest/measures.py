@@ -47,7 +47,7 @@ def verify_forest(forest: DataFrame, edges: DataFrame, vertices: DataFrame) -> d
 
 def graph_stats(edges: DataFrame, vertices: DataFrame | None = None) -> DataFrame:
     """One row: n, m, average degree (hundredths), largest degree, edge percentage (parts per million), weights."""
-    deg = directed(edges.withColumn("rank", F.lit(0)) if "rank" not in edges.columns else edges).groupBy("i").agg(F.count("*").alias("d"))
+    deg = directed(edges).groupBy("i").agg(F.count("*").alias("d"))
     if vertices is not None:
         deg = vertices.select(F.col("v").alias("i")).join(deg, "i", "left").select("i", F.coalesce("d", F.lit(0)).alias("d"))
     d = deg.agg(F.count("*").alias("n"), F.sum("d").alias("ends"), F.max("d").alias("max_degree"))

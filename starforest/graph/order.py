@@ -41,9 +41,10 @@ def rank_edges(edges: DataFrame, *, dense: bool = False) -> DataFrame:
 
 
 def directed(edges: DataFrame) -> DataFrame:
-    """Both directions ``(i, j, rank, w)`` of each edge, in one pass over the table."""
+    """Both directions ``(i, j, rank[, w])`` of each edge, in one pass over the table."""
+    more = [c for c in ("rank", "w") if c in edges.columns]
     both = F.explode(F.array(F.struct(F.col("lo").alias("i"), F.col("hi").alias("j")), F.struct(F.col("hi").alias("i"), F.col("lo").alias("j"))))
-    return edges.select("rank", "w", both.alias("e")).select("e.i", "e.j", "rank", "w")
+    return edges.select(*more, both.alias("e")).select("e.i", "e.j", *more)
 
 
 def vertices_of(edges: DataFrame, more: DataFrame | None = None) -> DataFrame:
