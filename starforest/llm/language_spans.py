@@ -32,6 +32,8 @@ from starforest.llm.byte_bpe import slices
 _STARTS = np.array([0, 0x41, 0x5B, 0x61, 0x7B, 0xAA, 0xAB, 0xB5, 0xB6, 0xBA, 0xBB, 0xC0, 0x250, 0x370, 0x400, 0x530, 0x590, 0x600, 0x700, 0x900, 0x980, 0xA00, 0xE00, 0xE80, 0x10A0, 0x1100, 0x1200, 0x1E00, 0x1F00, 0x2000, 0x3040, 0x30A0, 0x3100, 0x3400, 0xA000, 0xAC00, 0xD7B0, 0xF900, 0xFB00, 0x20000])
 _SCRIPTS = np.array([0, 1, 0, 1, 0, 1, 0, 1, 0, 1, 0, 1, 1, 2, 3, 4, 5, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15, 1, 2, 0, 16, 16, 0, 17, 18, 14, 0, 17, 19, 17])
 N_SCRIPTS = 20
+#: Languages that a model can have: bounds what is broadcast while it is fitted.
+MAX_LANGS = 10_000
 
 
 class LanguageModel(NamedTuple):
@@ -89,8 +91,12 @@ def fit_language_model(labelled: DataFrame, *, per_lang: int = 600, bits: int =
     """Fits on ``labelled(text, lang)``: about ``per_lang`` rows of each language at most, by the order of a hash."""
     rows = labelled.where("lang is not null and text is not null").select("lang", "text").withColumn("_h", F.xxhash64("text", F.monotonically_increasing_id()))
     # A threshold on the hash first, at twice the rows wanted: no language is ever sorted whole.
-    share = rows.groupBy("lang").agg((2.0 * per_lang / F.count("*")).alias("_share"))
-    near = rows.join(share, "lang").where(F.shiftrightunsigned("_h", 11) < F.col("_share") * float(1 << 53))
+    share = rows.groupBy("lang").agg((2.0 * per_lang / F.count("*")).alias("_share")).limit(MAX_LANGS + 1).collect()
+    if len(share) > MAX_LANGS:
+        raise ValueError(f"more than {MAX_LANGS} languages")
+    # One number for each language: broadcast, or the join would shuffle every text by its language.
+    shares = labelled.sparkSession.createDataFrame([tuple(r) for r in share], "lang string, _share double")
+    near = rows.join(F.broadcast(shares), "lang").where(F.shiftrightunsigned("_h", 11) < F.col("_share") * float(1 << 53))
     table = near.withColumn("_k", F.row_number().over(Window.partitionBy("lang").orderBy("_h"))).where(F.col("_k") <= per_lang).select("lang", F.lower("text").alias("text"))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
