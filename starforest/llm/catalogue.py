@@ -47,7 +47,8 @@ def op8_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     folder = f"{shared_dir(spark)}/flat-{uuid.uuid4().hex}"
     files = cut(separator_scan.write_flat_files(read_table(spark, sf_dir, "documents"), folder))
     counted = separator_scan.count_tokens(files)
-    named = files.select("path", F.posexplode("doc_ids").alias("ordinal", "doc_id"))
+    # As long as the documents: never broadcast, however small the planner takes it to be.
+    named = files.select("path", F.posexplode("doc_ids").alias("ordinal", "doc_id")).hint("merge")
     result = cut(counted.join(named, ["path", "ordinal"]).select("doc_id", "n_tokens"))
     remove_tree(folder)
     return result
