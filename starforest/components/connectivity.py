@@ -63,3 +63,22 @@ def connected_components(edges: DataFrame, vertices: DataFrame | None = None, *,
             break
     low = parents.groupBy("p").agg(F.min("v").alias("component"))
     return parents.join(low, "p").select("v", "component")
+
+
+def any_spanning_forest(edges: DataFrame, vertices: DataFrame | None = None, *, max_iterations: int = 200) -> DataFrame:
+    """``(lo, hi)``: some spanning forest, whatever the weights. Every star with a neighbour of smaller name hooks and
+    notes the edge; names fall along hooks, so no cycle can close, and no star but local minima is left over.
+    """
+    e = edges.select("lo", "hi")
+    parents = cut_state(steps.initial_parents(vertices_of(e, vertices)))
+    found = None
+    for _ in range(max_iterations):
+        a, b = (parents.select(F.col("v").alias(s), F.col("p").alias(f"p_{s}")) for s in ("lo", "hi"))
+        across = e.join(a, "lo").join(b, "hi").where("p_lo <> p_hi")
+        low = across.groupBy(F.greatest("p_lo", "p_hi").alias("root")).agg(F.min(F.struct(F.least("p_lo", "p_hi").alias("parent"), "lo", "hi")).alias("m"))
+        hooks = cut_state(low.select("root", "m.parent", "m.lo", "m.hi"))
+        if not hooks.limit(1).count():
+            return hooks.select("lo", "hi") if found is None else found
+        found = hooks.select("lo", "hi") if found is None else found.union(hooks.select("lo", "hi"))
+        parents = cut_state(sc.shortcut_queried(cut_state(steps.hook(parents, hooks.select("root", "parent"))))[0])
+    raise RuntimeError(f"no forest within {max_iterations} iterations")

@@ -7,8 +7,10 @@ from math import sqrt
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from starforest.baselines import divide_and_merge_forest
 from starforest.components.links import link_components
 from starforest.graph.order import directed
+from starforest.runtime import cut_state
 
 
 def outgoing_edges(edges: DataFrame, parents: DataFrame) -> DataFrame:
@@ -37,12 +39,16 @@ def lightest_outgoing_edge(edges: DataFrame, inside: DataFrame) -> DataFrame:
 
 
 def verify_forest(forest: DataFrame, edges: DataFrame, vertices: DataFrame) -> dict[str, bool]:
-    """Size, span and optimality of ``forest``; optimality by the cycle property, so for graphs of moderate size."""
+    """Size, span, acyclicity and optimality of ``forest``. The strict order makes the forest unique, so it is
+    optimal if the divide-and-merge method, which shares no step with the loop, keeps the same edges.
+    """
     n = vertices.count()
     of_graph, of_forest = link_components(edges, "lo", "hi"), link_components(forest, "lo", "hi")
     trees = n - of_graph.where("node <> component").count()
     same = of_graph.join(of_forest.withColumnRenamed("component", "c2"), "node", "left").where("c2 is null or c2 <> component").limit(1).count() == 0
-    return {"count": forest.count() == n - trees, "spans": same, "acyclic": forest.count() == of_forest.where("node <> component").count()}
+    size, other = forest.count(), cut_state(divide_and_merge_forest(edges).select("rank"))
+    optimal = other.count() == size and not other.join(forest, "rank", "left_anti").limit(1).count()
+    return {"count": size == n - trees, "spans": same, "acyclic": size == of_forest.where("node <> component").count(), "optimal": optimal}
 
 
 def graph_stats(edges: DataFrame, vertices: DataFrame | None = None) -> DataFrame:

@@ -58,6 +58,25 @@ def shared_token_edges(df: DataFrame, v: Column, tokens: Column, most: int = 100
     return pairs.groupBy(F.col("a").alias("lo"), F.col("b").alias("hi")).agg((F.lit(most) - F.count("*")).alias("w"))
 
 
+def radius_edges(df: DataFrame, v: Column, vector: str, radius: float) -> DataFrame:
+    """An edge between vectors at most ``radius`` apart (Euclidean), weighing the distance in thousandths.
+
+    Exact: two such vectors differ by at most ``radius`` in their distance from the origin and in their first
+    coordinate, so both are binned by ``radius`` and only neighbouring cells meet. What this leaves to compare
+    depends on the radius against the spread of the data; null vectors have no edge.
+    """
+    x = F.transform(vector, lambda c: c.cast("double"))
+    rows = df.where(F.col(vector).isNotNull()).select(v.alias("v"), x.alias("x"))
+    norm = F.sqrt(F.aggregate("x", F.lit(0.0), lambda s, c: s + c * c))
+    rows = rows.withColumns({"c0": F.floor(norm / radius), "c1": F.floor(F.try_element_at("x", F.lit(1)) / radius)})
+    near = F.sequence(F.lit(-1).cast("long"), F.lit(1).cast("long"))
+    a = rows.select(F.col("v").alias("a"), F.col("x").alias("xa"), "c1", F.explode(F.transform(near, lambda k: F.col("c0") + k)).alias("c0"))
+    a = a.select("a", "xa", "c0", F.explode(F.transform(near, lambda k: F.col("c1") + k)).alias("c1"))
+    far = F.sqrt(F.aggregate(F.zip_with("xa", "x", lambda p, q: (p - q) * (p - q)), F.lit(0.0), lambda s, c: s + c))
+    met = a.join(rows.withColumnRenamed("v", "b"), ["c0", "c1"]).where("a < b").select("a", "b", far.alias("d")).where(F.col("d") <= radius)
+    return met.select(F.col("a").alias("lo"), F.col("b").alias("hi"), F.round(F.col("d") * 1000).cast("long").alias("w"))
+
+
 def trade(spark: SparkSession, d: str) -> DataFrame:
     o = read_table(spark, d, "orders").select("o_orderkey", "o_custkey")
     li = read_table(spark, d, "lineitem").select("l_orderkey", "l_suppkey", "l_extendedprice")
@@ -130,4 +149,8 @@ def geo(spark: SparkSession, d: str) -> DataFrame:
     return canonical_edges(up)
 
 
+def vectors(spark: SparkSession, d: str, radius: float = 1.15) -> DataFrame:
+    return radius_edges(read_table(spark, d, "embeddings"), vertex("vec_id", "vec"), "embedding", radius)
+
+
 GRAPHS = {f.__name__: f for f in (trade, supply, basket, returns, nation, lattice, sessions, turns, nearcopy, links, geo)}

@@ -32,6 +32,9 @@ EDGES = {
     "geo": "SELECT least(a, b) AS lo, greatest(a, b) AS hi, CAST(min(w) AS BIGINT) AS w FROM (SELECT {n} AS a, {r} AS b, n_nationkey AS w FROM nation UNION ALL SELECT {c}, {cn}, c_custkey FROM customer UNION ALL SELECT {s}, {sn}, s_suppkey FROM supplier) GROUP BY 1, 2".format(n=vid("n_nationkey", 4), r=vid("n_regionkey", 5), c=vid("c_custkey", 0), cn=vid("c_nationkey", 4), s=vid("s_suppkey", 1), sn=vid("s_nationkey", 4)),
 }
 
+_APART = "sqrt(list_sum(list_transform(range(1, 65), lambda k: (CAST(x.embedding[k] AS DOUBLE) - y.embedding[k]) * (CAST(x.embedding[k] AS DOUBLE) - y.embedding[k]))))"
+VECTOR_EDGES = f"SELECT lo, hi, CAST(round(d * 1000) AS BIGINT) AS w FROM (SELECT {vid('x.vec_id', 8)} AS lo, {vid('y.vec_id', 8)} AS hi, {_APART} AS d FROM embeddings x JOIN embeddings y ON x.vec_id < y.vec_id) WHERE d <= 1.15"
+
 RANKED = "e AS MATERIALIZED (SELECT row_number() OVER (ORDER BY w, lo, hi) - 1 AS rank, lo, hi, w FROM ({}))"
 
 

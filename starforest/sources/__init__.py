@@ -28,8 +28,10 @@ def read_edge_list(spark: SparkSession, path: str, *, comment: str = "#", defaul
 
 def read_matrix_market(spark: SparkSession, path: str) -> DataFrame:
     """``(lo, hi, w)`` from a coordinate file; ids as in the file (from 1). The size line is the one after the comments."""
-    lines = spark.read.text(path).where(~F.col("value").startswith("%")).select(F.monotonically_increasing_id().alias("id"), F.split(F.trim("value"), r"\s+").alias("f"))
-    size = lines.agg(F.min("id")).first()[0]
+    lines = spark.read.text(path).select("value", F.col("_metadata.file_block_start").alias("at")).where(~F.col("value").startswith("%"))
+    lines = lines.select("at", F.monotonically_increasing_id().alias("id"), F.split(F.trim("value"), r"\s+").alias("f"))
+    # Blocks of a file need not be numbered in the file's order; the first one starts at 0.
+    size = lines.where("at = 0").agg(F.min("id")).first()[0]
     w = F.coalesce(F.try_element_at("f", F.lit(3)).cast("double").cast("long"), F.lit(1).cast("long"))
     return canonical_edges(lines.where(F.col("id") != (size if size is not None else -1)).select(F.col("f")[0].cast("long").alias("a"), F.col("f")[1].cast("long").alias("b"), w.alias("w")))
 
@@ -59,9 +61,10 @@ def relabel_dense(spark: SparkSession, edges: DataFrame) -> tuple[DataFrame, Dat
     return canonical_edges(edges.join(x, "a").join(y, "b").select(F.col("va").alias("a"), F.col("vb").alias("b"), "w")), names
 
 
-def write_edges(edges: DataFrame, table: str, *, buckets: int = 8) -> None:
-    """A table bucketed and sorted by ``lo``: later joins on it need no exchange."""
-    edges.write.mode("overwrite").bucketBy(buckets, "lo").sortBy("lo").saveAsTable(table)
+def write_edges(edges: DataFrame, table: str, *, buckets: int = 8, path: str | None = None) -> None:
+    """A table bucketed and sorted by ``lo``: later joins on it need no exchange. ``path``: its folder, else the warehouse's."""
+    w = edges.write.mode("overwrite").bucketBy(buckets, "lo").sortBy("lo")
+    (w.option("path", path) if path else w).saveAsTable(table)
 
 
 def write_forest(result, path: str) -> None:

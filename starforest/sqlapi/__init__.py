@@ -57,10 +57,10 @@ def register_all(spark: SparkSession) -> None:
     spark.udf.register("forest_weight", forest_weight)
 
 
-def reachable(spark: SparkSession, edges: DataFrame, source: int) -> DataFrame:
-    """``(v)``: what a recursive query reaches from ``source``; small graphs."""
+def reachable(spark: SparkSession, edges: DataFrame, source: int, *, hops: int) -> DataFrame:
+    """``(v)``: what a recursive query reaches from ``source`` over at most ``hops`` edges; small graphs (walks are counted one by one)."""
     edges.select("lo", "hi").union(edges.select("hi", "lo")).createOrReplaceTempView("_reach_edges")
-    return spark.sql(f"WITH RECURSIVE r(v, k) AS (SELECT CAST({int(source)} AS BIGINT), 0 UNION ALL SELECT e.hi, r.k + 1 FROM r JOIN _reach_edges e ON e.lo = r.v WHERE r.k < 3) SELECT DISTINCT v FROM r")
+    return spark.sql(f"WITH RECURSIVE r(v, k) AS (SELECT CAST({int(source)} AS BIGINT), 0 UNION ALL SELECT e.hi, r.k + 1 FROM r JOIN _reach_edges e ON e.lo = r.v WHERE r.k < {int(hops)}) SELECT DISTINCT v FROM r")
 
 
 @pandas_udf(DoubleType())

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from starforest.forest.loop import minimum_spanning_forest
 from starforest.graph.builders import vertex
 from starforest.graph.order import canonical_edges, rank_edges
-from starforest.runtime import cut, read_table, shared_dir
+from starforest.runtime import cut, cut_state, read_table, shared_dir
 
 
 def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -78,6 +78,41 @@ def merge_forests(forests: list[DataFrame], **options) -> DataFrame:
     return minimum_spanning_forest(rank_edges(canonical_edges(every, "lo", "hi", "w")), **options).forest.select("lo", "hi", "w")
 
 
+def _tagged_forest(edges: DataFrame, tag: str, **options) -> DataFrame:
+    """``(tag, lo, hi, w)``: the forests of all groups at once, as one forest of their disjoint union."""
+    most = edges.agg(F.max(tag), F.max("hi")).first()
+    if most[0] is None:
+        return edges.select(tag, "lo", "hi", "w")
+    span = most[0] + 1
+    if (most[1] + 1) * span >= 1 << 62:
+        raise ValueError("vertex ids times the number of groups exceed a LONG")
+    own = edges.select((F.col("lo") * span + F.col(tag)).alias("lo"), (F.col("hi") * span + F.col(tag)).alias("hi"), "w")
+    found = minimum_spanning_forest(rank_edges(canonical_edges(own, "lo", "hi", "w")), **options).forest
+    return found.select((F.col("lo") % span).alias(tag), F.expr(f"lo div {span}").alias("lo"), F.expr(f"hi div {span}").alias("hi"), "w")
+
+
+def sliding_forest(edges: DataFrame, length: int, **options) -> DataFrame:
+    """``(win, lo, hi, w)`` of ``edges(slice, lo, hi, w)`` with slices from 0: window ``win`` holds its slice and the
+    ``length - 1`` before. Each slice is thinned to its own forest first; only those rows are copied into windows.
+    """
+    thin = cut_state(_tagged_forest(edges, "slice", **options))
+    copied = thin.withColumn("win", F.explode(F.sequence(F.col("slice"), F.col("slice") + (length - 1))))
+    return _tagged_forest(copied.select("win", "lo", "hi", "w"), "win", **options)
+
+
+def daily_distinct(events: DataFrame, *, late: str = "1 hour") -> DataFrame:
+    """``(user_id, event_type, day)`` once each: repeats within the watermark are dropped by state."""
+    keyed = events.withWatermark("at", late).withColumn("day", F.to_date("ts"))
+    return keyed.dropDuplicates(["user_id", "event_type", "day"]).select("user_id", "event_type", "day")
+
+
+def follow_ups(clicks: DataFrame, buys: DataFrame, *, within: str = "1 hour", late: str = "1 hour") -> DataFrame:
+    """``(user_id, click, buy)``: purchases less than ``within`` after a click, stream against stream; state is bounded by the watermarks."""
+    a = clicks.where("event_type = 'click'").withWatermark("at", late).select("user_id", F.col("event_id").alias("click"), F.col("at").alias("t0"))
+    b = buys.where("event_type = 'purchase'").withWatermark("at", late).select(F.col("user_id").alias("u"), F.col("event_id").alias("buy"), F.col("at").alias("t1"))
+    return a.join(b, F.expr(f"user_id = u and t1 >= t0 and t1 < t0 + interval {within}")).select("user_id", "click", "buy")
+
+
 def user_type_edges(events: DataFrame) -> DataFrame:
     """Stateless edges of an event: its user and its type, weighing the value in cents."""
     kind = F.crc32(F.col("event_type").cast("binary"))
@@ -120,4 +155,4 @@ def local_folder() -> str:
     return tempfile.mkdtemp(prefix="starforest-stream-")
 
 
-__all__ = ["IncrementalForest", "cut", "event_stream", "merge_forests", "replay", "running_components", "sequence_stream", "session_activity", "stream_forest", "user_type_edges", "windowed_activity"]
+__all__ = ["IncrementalForest", "cut", "daily_distinct", "event_stream", "follow_ups", "merge_forests", "replay", "running_components", "sequence_stream", "session_activity", "sliding_forest", "stream_forest", "user_type_edges", "windowed_activity"]
