@@ -73,9 +73,12 @@ def _set_operations(s: SparkSession, d: str) -> DataFrame:
 add("forest_union_intersect_except", _set_operations, f"WITH {oracle.forest_ctes(oracle.EDGES['nation'])} SELECT what, CASE what WHEN 'except' THEN 0 ELSE (SELECT count(*) FROM f) END AS n FROM (VALUES ('union'), ('intersect'), ('except')) t(what)")
 
 # ---- windows --------------------------------------------------------------------------------------------------------
-_BY_USER = Window.partitionBy("user_id").orderBy("us", "event_id")
+def _by_user():
+    return Window.partitionBy("user_id").orderBy("us", "event_id")
+
+
 _EV = "(SELECT *, epoch_us(ts) AS us FROM events)"
-add("event_gaps_lead_lag", lambda s, d: cat._micros(s, d).select("event_id", (F.col("us") - F.lag("us").over(_BY_USER)).alias("before"), (F.lead("us").over(_BY_USER) - F.col("us")).alias("after"), F.first("event_id").over(_BY_USER).alias("first")), f"SELECT event_id, us - lag(us) OVER w AS before, lead(us) OVER w - us AS after, first_value(event_id) OVER w AS first FROM {_EV} WINDOW w AS (PARTITION BY user_id ORDER BY us, event_id)")
+add("event_gaps_lead_lag", lambda s, d: cat._micros(s, d).select("event_id", (F.col("us") - F.lag("us").over(_by_user())).alias("before"), (F.lead("us").over(_by_user()) - F.col("us")).alias("after"), F.first("event_id").over(_by_user()).alias("first")), f"SELECT event_id, us - lag(us) OVER w AS before, lead(us) OVER w - us AS after, first_value(event_id) OVER w AS first FROM {_EV} WINDOW w AS (PARTITION BY user_id ORDER BY us, event_id)")
 add("weight_curve_trade", lambda s, d: cat._placed(s, d).select("c_nationkey", "w", F.sum("w").over(Window.partitionBy("c_nationkey").orderBy("w").rangeBetween(Window.unboundedPreceding, 0)).alias("total")), f"{cat._PLACED} SELECT c_nationkey, w, CAST(sum(w) OVER (PARTITION BY c_nationkey ORDER BY w RANGE UNBOUNDED PRECEDING) AS BIGINT) AS total FROM p")
 add("events_per_interval", lambda s, d: cat._micros(s, d).select("event_id", F.count("*").over(Window.partitionBy("user_id").orderBy("us").rangeBetween(-3_600_000_000, 0)).alias("n")), f"SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY us RANGE BETWEEN 3600000000 PRECEDING AND CURRENT ROW) AS n FROM {_EV}")
 
