@@ -2,11 +2,13 @@
 
 Shingles are runs of five words (lower-cased runs of letters, marks and digits); a shorter text is one
 shingle. A shingle's weight is its count in the text times ``1 + ln(N / df) / ln(N)``, with document
-frequencies of the whole corpus from a count-mean sketch of fixed size. ``bands * rows`` consistent
+frequencies of the whole corpus, counted for every shingle. ``bands * rows`` consistent
 weighted samples make the band keys. Texts of one band bucket are candidates; candidates are verified by their exact weighted
 Jaccard similarity on whole texts, and verified links make the classes.
 
-Scale: three scans; what is shuffled are band keys, and the texts of candidates. Copies of the same words
+Scale: three scans; what is shuffled are shingle hashes (eight bytes each, packed by ranges of the hash), band
+keys, and the texts of candidates. The counts go back to units of documents as files in the shared folder, one for
+each unit, which the second scan forms again; rows of a plan that shuffles are written first. Copies of the same words
 are one representative before anything is banded. A bucket is split into blocks and every pair of
 blocks is a task of its own, so no task holds more than two blocks; a task hands on a spanning star of what it
 linked, never all pairs. Buckets with the same members are compared once.
@@ -18,7 +20,11 @@ are ignored by :func:`near_classes` and kept by :func:`drop_near_copies`.
 
 from __future__ import annotations
 
+import hashlib
+import uuid
+import zlib
 from collections.abc import Iterator
+from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
@@ -28,12 +34,14 @@ from pyspark.sql import functions as F
 from starforest.components.links import link_components
 from starforest.llm.arrow_text import hash_strings, mix64, split_words
 from starforest.llm.byte_bpe import slices
-from starforest.runtime import cut
+from starforest.llm.shared_files import read_whole, remove_tree, write_whole
+from starforest.runtime import cut, cut_state, shared_dir
 
 WORDS, THRESHOLD, BANDS, ROWS = 5, 0.8, 10, 3
 #: Documents in a block of a bucket.
 BLOCK = 128
-_SKETCHES, _BITS, _PIECE = 2, 18, 1 << 12
+#: Shingles of a unit, and documents to a range of hashes (2**14 ranges at most).
+_UNIT, _DOCS, _MAX_BITS = 1 << 20, 2048, 14
 _P = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -91,59 +99,87 @@ class Shingles:
         return total[ends] - total[starts]
 
 
-def _buckets(h: np.ndarray) -> np.ndarray:
-    return np.stack([(mix64(h + np.uint64(1 + j)) >> np.uint64(64 - _BITS)).astype(np.int64) for j in range(_SKETCHES)])
-
-
-class Idf:
-    """Document frequencies of all shingles in ``2 * 2**18`` counters, and the weights from them."""
-
-    def __init__(self, counters: np.ndarray, docs: int) -> None:
-        self.counters, self.docs = counters, docs
-        self.totals = counters.sum(1)
-
-    def weights(self, h: np.ndarray) -> np.ndarray:
-        if self.docs < 2:
-            return np.ones(len(h))
-        df = np.full(len(h), np.inf)
-        for j, b in enumerate(_buckets(h)):
-            c = self.counters[j, b]
-            df = np.minimum(df, c - (self.totals[j] - c) / ((1 << _BITS) - 1))
-        return 1 + np.log(self.docs / np.clip(np.round(df), 1, self.docs)) / np.log(self.docs)
-
-
-def fit_idf(docs: DataFrame) -> Idf:
-    """Counts over all documents; the driver gets the fixed-size sketch only."""
-
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        counters, n = np.zeros((_SKETCHES, 1 << _BITS), np.int64), 0
-        for batch in slices(batches, text=0):
-            n += batch.num_rows
-            for j, b in enumerate(_buckets(Shingles(batch.column(0)).h)):
-                counters[j] += np.bincount(b, minlength=1 << _BITS)
-        if n:
-            parts = counters.reshape(-1, _PIECE).astype(np.uint32)
-            yield pa.RecordBatch.from_arrays([pa.array(np.arange(-1, len(parts)), pa.int32()), pa.array([np.array([n]).tobytes(), *(p.tobytes() for p in parts)], pa.binary())], names=["part", "counts"])
-
-    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums: dict[int, np.ndarray] = {}
-        for batch in batches:
-            for part, raw in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                got = np.frombuffer(raw, np.int64 if part < 0 or len(raw) == 8 * _PIECE else np.uint32).astype(np.int64)
-                sums[part] = sums[part] + got if part in sums else got
-        if sums:
-            yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([v.tobytes() for v in sums.values()], pa.binary())], names=["part", "counts"])
-
-    kind = "part int, counts binary"
-    rows = docs.select(F.col("text").cast("string")).mapInArrow(count, kind).repartition("part").mapInArrow(add, kind).collect()
-    counters, n = np.zeros((_SKETCHES * (1 << _BITS) // _PIECE, _PIECE), np.int64), 0
-    for r in rows:
-        got = np.frombuffer(bytes(r.counts), np.int64)
-        if r.part < 0:
-            n += int(got[0])
-        else:
-            counters[r.part] += got
-    return Idf(counters.reshape(_SKETCHES, -1), n)
+class Counted(NamedTuple):
+    """Documents, their number, and the folder with the document frequencies of each unit's shingles."""
+
+    rows: DataFrame
+    docs: int
+    folder: str
+
+
+def idf_weights(df: np.ndarray, docs: int) -> np.ndarray:
+    return 1 + np.log(docs / df) / np.log(docs) if docs > 1 else np.ones(len(df))
+
+
+def pack_counts(n: np.ndarray) -> bytes:
+    """Counts from one on: a byte each, and those from 255 on at the end."""
+    return np.minimum(n, 255).astype(np.uint8).tobytes() + n[n >= 255].astype("<i8").tobytes()
+
+
+def unpack_counts(raw: bytes, size: int) -> np.ndarray:
+    n = np.frombuffer(raw, np.uint8, size).astype(np.int64)
+    n[n == 255] = np.frombuffer(raw, "<i8", offset=size)
+    return n
+
+
+def _units(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[str, list[tuple[pa.RecordBatch, Shingles]]]]:
+    """Documents ``(doc_id, text)`` in units of about ``_UNIT`` shingles, each named by what it holds."""
+    held: list[tuple[pa.RecordBatch, Shingles]] = []
+
+    def named() -> tuple[str, list[tuple[pa.RecordBatch, Shingles]]]:
+        name = hashlib.blake2b(digest_size=16)
+        for _, s in held:
+            name.update(s.key.tobytes() + s.sizes.tobytes())
+        return name.hexdigest(), held
+
+    for batch in slices(batches):
+        held.append((batch, Shingles(batch.column(1))))
+        if sum(len(s.h) for _, s in held) >= _UNIT:
+            yield named()
+            held = []
+    if held:
+        yield named()
+
+
+def count_shingles(docs: DataFrame) -> Counted:
+    """Exact document frequencies over all rows; no shingle meets the driver."""
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    # Both scans must form the same units: a plan that shuffles may deal its rows anew.
+    if "Exchange" in rows._jdf.queryExecution().executedPlan().toString():
+        rows = cut_state(rows)
+    n = rows.count()
+    folder = f"{shared_dir(docs.sparkSession)}/df-{uuid.uuid4().hex}"
+    bits = int(np.clip(np.ceil(np.log2(max(n, 1) / _DOCS)), 0, _MAX_BITS))
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        task = uuid.uuid4().hex  # equal units of two tasks, or of one, stay apart
+        for at, (name, unit) in enumerate(_units(batches)):
+            h, c = np.unique(np.concatenate([s.h for _, s in unit]), return_counts=True)
+            ends = np.searchsorted(h, np.arange(1 << bits, dtype=np.uint64) << np.uint64(64 - bits)) if bits else np.zeros(1, np.int64)
+            ends = np.append(ends, len(h))
+            used = np.flatnonzero(np.diff(ends))
+            cells = [(h[ends[p] : ends[p + 1]].tobytes(), pack_counts(c[ends[p] : ends[p + 1]])) for p in used]
+            yield pa.RecordBatch.from_arrays([pa.array(used, pa.int32()), pa.array([name] * len(used), pa.string()), pa.array([f"{task}{at}"] * len(used), pa.string()), pa.array([x for x, _ in cells], pa.binary()), pa.array([x for _, x in cells], pa.binary())], names=["part", "unit", "copy", "h", "n"])
+
+    def add(table: pa.Table) -> pa.Table:
+        hs = [np.frombuffer(x, np.uint64) for x in table.column("h").to_pylist()]
+        n = np.concatenate([unpack_counts(x, len(h)) for h, x in zip(hs, table.column("n").to_pylist(), strict=True)])
+        _, place = np.unique(np.concatenate(hs), return_inverse=True)
+        df = np.bincount(place, n).astype(np.int64)[place]
+        cells = [pack_counts(x) for x in np.split(df, np.cumsum([len(h) for h in hs])[:-1])]
+        return pa.table({"part": table.column("part"), "unit": table.column("unit"), "copy": table.column("copy"), "size": pa.array([len(h) for h in hs], pa.int64()), "df": pa.array(cells, pa.binary())})
+
+    def store(table: pa.Table) -> pa.Table:
+        order = np.argsort(np.asarray(table.column("part").combine_chunks()))
+        sizes, cells = table.column("size").to_pylist(), table.column("df").to_pylist()
+        df = np.concatenate([unpack_counts(cells[i], sizes[i]) for i in order])
+        # Units of one name hold the same shingles, so it does not matter whose file stays.
+        write_whole(f"{folder}/{table.column('unit')[0].as_py()}", pack_counts(df))
+        return pa.table({"size": pa.array([len(df)], pa.int64())})
+
+    summed = rows.mapInArrow(deal, "part int, unit string, copy string, h binary, n binary").groupBy("part").applyInArrow(add, "part int, unit string, copy string, size long, df binary")
+    summed.groupBy("unit", "copy").applyInArrow(store, "size long").agg(F.sum("size")).collect()
+    return Counted(rows, n, folder)
 
 
 def sample_bands(s: Shingles, weights: np.ndarray, bands: int = BANDS, rows: int = ROWS) -> np.ndarray:
@@ -173,28 +209,34 @@ def sample_bands(s: Shingles, weights: np.ndarray, bands: int = BANDS, rows: int
     return mix64(keys).view(np.int64)
 
 
-def signatures(docs: DataFrame, idf: Idf, *, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """``(doc_id, k1, k2, b0, b1, ...)`` of every text with a word."""
+def signatures(counted: Counted, *, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
+    """``(doc_id, k1, k2, df, b0, b1, ...)`` of every text with a word; df: packed counts in the order of its shingles."""
+    n, folder = counted.docs, counted.folder
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in slices(batches):
-            s = Shingles(batch.column(1))
-            keys = sample_bands(s, idf.weights(s.h), bands, rows)
-            keep = s.sizes > 0
-            yield pa.RecordBatch.from_arrays([batch.column(0).filter(pa.array(keep)), *(pa.array(c[keep]) for c in s.key.view(np.int64).T), *(pa.array(c[keep]) for c in keys.T)], names=["doc_id", "k1", "k2", *(f"b{i}" for i in range(bands))])
+        for name, unit in _units(batches):
+            h = np.unique(np.concatenate([s.h for _, s in unit]))
+            found = unpack_counts(read_whole(f"{folder}/{name}"), len(h)) if len(h) else np.zeros(0, np.int64)
+            for batch, s in unit:
+                df = found[np.searchsorted(h, s.h)]
+                keys = sample_bands(s, idf_weights(df, n), bands, rows)
+                ends = np.searchsorted(s.owner, np.arange(len(s.sizes) + 1))
+                keep = np.flatnonzero((s.sizes > 0) & np.asarray(batch.column(0).is_valid()))
+                cells = [zlib.compress(pack_counts(df[ends[i] : ends[i + 1]]), 1) for i in keep]
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(keep)), *(pa.array(c[keep]) for c in s.key.view(np.int64).T), pa.array(cells, pa.binary()), *(pa.array(c[keep]) for c in keys.T)], names=["doc_id", "k1", "k2", "df", *(f"b{i}" for i in range(bands))])
 
-    rows_in = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null")
-    return rows_in.mapInArrow(run, "doc_id long, k1 long, k2 long" + "".join(f", b{i} long" for i in range(bands)))
+    return counted.rows.mapInArrow(run, "doc_id long, k1 long, k2 long, df binary" + "".join(f", b{i} long" for i in range(bands)))
 
 
 def candidate_units(reps: DataFrame, *, bands: int = BANDS, block: int = BLOCK) -> DataFrame:
-    """``(bucket, i, j, mine, rep)``: rows of each pair of blocks of each bucket."""
-    keyed = reps.select("rep", F.posexplode(F.array(*[F.col(f"b{i}") for i in range(bands)])).alias("band", "key")).select("rep", F.xxhash64("band", "key").alias("bucket"))
-    full = keyed.groupBy("bucket").agg(F.count("*").alias("n"), F.min("rep").alias("lo"), F.max("rep").alias("hi"), F.bit_xor(F.xxhash64("rep")).alias("x"), F.bit_xor(F.xxhash64("rep", F.lit(1))).alias("y")).where("n > 1")
+    """``(bucket, i, j, mine, rep, k1, k2)``: rows of each pair of blocks of each bucket."""
+    node = F.xxhash64("rep", "k1", "k2")
+    keyed = reps.select("rep", "k1", "k2", F.posexplode(F.array(*[F.col(f"b{i}") for i in range(bands)])).alias("band", "key")).select("rep", "k1", "k2", F.xxhash64("band", "key").alias("bucket"))
+    full = keyed.groupBy("bucket").agg(F.count("*").alias("n"), F.min("rep").alias("lo"), F.max("rep").alias("hi"), F.bit_xor(node).alias("x"), F.bit_xor(F.xxhash64("rep", "k1", "k2", F.lit(1))).alias("y")).where("n > 1")
     once = full.groupBy("n", "lo", "hi", "x", "y").agg(F.min("bucket").alias("bucket")).select("bucket", F.ceil(F.col("n") / block).cast("int").alias("blocks"))
     rows = keyed.join(once, "bucket").withColumn("mine", F.pmod(F.xxhash64("rep", F.lit(2)), F.col("blocks").cast("long")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    return rows.select("bucket", "rep", "mine", other.alias("o")).select("bucket", F.least("mine", "o").alias("i"), F.greatest("mine", "o").alias("j"), "mine", "rep")
+    return rows.select("bucket", "rep", "k1", "k2", "mine", other.alias("o")).select("bucket", F.least("mine", "o").alias("i"), F.greatest("mine", "o").alias("j"), "mine", "rep", "k1", "k2")
 
 
 def _linked(s: Shingles, weights: np.ndarray, lo: int, hi: int, side: np.ndarray, threshold: float) -> np.ndarray:
@@ -233,19 +275,26 @@ def _linked(s: Shingles, weights: np.ndarray, lo: int, hi: int, side: np.ndarray
         label = low
 
 
-def verified_links(units: DataFrame, docs: DataFrame, idf: Idf, *, threshold: float = THRESHOLD) -> DataFrame:
+def verified_links(units: DataFrame, reps: DataFrame, counted: Counted, *, threshold: float = THRESHOLD) -> DataFrame:
     """``(a, b)``: stars that span what is linked in each pair of blocks."""
-    texts = docs.select(F.col("doc_id").cast("long").alias("rep"), F.col("text").cast("string").alias("text"))
-    rows = units.join(texts, "rep").select("bucket", "i", "j", "mine", "rep", "text")
+    n = counted.docs
+    texts = counted.rows.select(F.col("doc_id").alias("rep"), "text")
+    rows = units.join(reps.select("rep", "k1", "k2", "df"), ["rep", "k1", "k2"]).join(texts, "rep").select("bucket", "i", "j", "mine", "rep", "text", "k1", "k2", "df")
     rows = rows.repartition("bucket", "i", "j").sortWithinPartitions("bucket", "i", "j", "rep")
 
     def check(table: pa.Table) -> pa.RecordBatch:
+        s = Shingles(table.column(5).combine_chunks())
+        # A doc_id may stand on rows of other words: the candidate is the text with the representative's keys.
+        own = (s.key.view(np.int64) == np.stack([np.asarray(table.column(k)) for k in (6, 7)], 1)).all(1)
+        if not own.all():
+            return check(table.filter(pa.array(own)))
         unit = np.stack([np.asarray(table.column(k)) for k in range(3)], 1)
         side, rep = np.asarray(table.column(3)), np.asarray(table.column(4))
-        s = Shingles(table.column(5).combine_chunks())
-        weights = idf.weights(s.h)
-        at = np.flatnonzero(np.append(True, (unit[1:] != unit[:-1]).any(1)))
-        out_a, out_b = [], []
+        sizes = np.bincount(s.owner, minlength=len(own))
+        df = [unpack_counts(zlib.decompress(x), k) for x, k in zip(table.column(8).to_pylist(), sizes, strict=True)]
+        weights = idf_weights(np.concatenate(df), n) if df else np.zeros(0)
+        at = np.flatnonzero(np.append(True, (unit[1:] != unit[:-1]).any(1)))[: len(unit)]
+        out_a, out_b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
         for lo, hi in zip(at, np.append(at[1:], len(unit)), strict=True):
             label = _linked(s, weights, lo, hi, side[lo:hi], threshold)
             moved = np.flatnonzero(label != np.arange(hi - lo))
@@ -278,11 +327,12 @@ def verified_links(units: DataFrame, docs: DataFrame, idf: Idf, *, threshold: fl
 
 def near_classes(docs: DataFrame, *, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, block: int = BLOCK) -> DataFrame:
     """``(doc_id, class_id, kept)`` of every row: class_id is the smallest doc_id of its class, which is kept."""
-    idf = fit_idf(docs)
-    sig = cut(signatures(docs, idf, bands=bands, rows=rows))
-    reps = sig.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), *[F.min(f"b{i}").alias(f"b{i}") for i in range(bands)])
+    counted = count_shingles(docs)
+    sig = cut(signatures(counted, bands=bands, rows=rows))
+    remove_tree(counted.folder)
+    reps = sig.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.min("df").alias("df"), *[F.min(f"b{i}").alias(f"b{i}") for i in range(bands)])
     reps = cut(reps)
-    links = verified_links(candidate_units(reps, bands=bands, block=block), docs, idf, threshold=threshold)
+    links = verified_links(candidate_units(reps, bands=bands, block=block), reps, counted, threshold=threshold)
     # A doc_id that stands on several rows joins what its rows' words join.
     same = sig.select("doc_id", "k1", "k2").join(reps.select("k1", "k2", "rep"), ["k1", "k2"]).select("doc_id", "rep")
     same = cut(same)

@@ -81,6 +81,27 @@ def test_near_classes(spark, docs, nothing):
     assert weighted_minhash.near_classes(nothing).count() == 0
 
 
+def test_near_document_frequencies_are_exact_beside_a_hot_group(spark):
+    hot = " ".join(f"h{i}" for i in range(404))
+    shared = " ".join(f"p{i}" for i in range(104))
+    rows = [(i, hot) for i in range(3000)] + [(9000 + i, f"{shared} " + " ".join(f"u{i}x{k}" for k in range(12))) for i in range(4)]
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    # 100 shingles of four documents weigh 1.83 each, 12 + 12 of one document 2: 0.79 < 0.8; at df 1 it would be 0.81.
+    got = {r.doc_id: r.class_id for r in weighted_minhash.near_classes(df).where("doc_id >= 9000").collect()}
+    assert got == {9000 + i: 9000 + i for i in range(4)}
+    s = weighted_minhash.Shingles(pa.array([t for _, t in rows]))
+    h, n = np.unique(s.h, return_counts=True)
+    ends = np.searchsorted(s.owner, np.arange(len(rows) + 1))
+    dealt = df.repartition(7, "doc_id")  # units of a plan that shuffles
+    counted = weighted_minhash.count_shingles(dealt)
+    seen = weighted_minhash.signatures(counted).select("doc_id", "df").collect()
+    place = {d: i for i, (d, _) in enumerate(rows)}
+    for r in seen:
+        mine = s.h[ends[place[r.doc_id]] : ends[place[r.doc_id] + 1]]
+        assert (weighted_minhash.unpack_counts(zlib.decompress(bytes(r.df)), len(mine)) == n[np.searchsorted(h, mine)]).all()
+    assert len(seen) == len(rows)
+
+
 def test_weighted_samples_collide_as_weighted_jaccard():
     rng = random.Random(1)
     words = [f"v{i}" for i in range(5000)]
