@@ -5,16 +5,19 @@ Centroids are fitted on a bounded sample (``sample`` rows, in the order of a has
 candidates, with reverse edges and with edges that make every node reachable from the medoid. A vector's adjacency lists of
 all its shards are united. Greedy beam search from each shard's medoid then finds every member's
 neighbourhood, and range expansion walks on through everything within the threshold. Links are
-verified by cosine in double precision. Recall is audited against brute force over all rows for a fixed
-number of query vectors; below ``recall`` the shards are made to overlap more.
+verified by cosine in double precision. Recall is audited against brute force over all rows, as the mean over a
+fixed number of query vectors that are drawn whatever was found; below ``recall`` the shards are made to overlap more,
+and when no overlap passes, all pairs are compared exactly, in blocks.
 
 Scale: shards hold about ``shard`` vectors; one that is larger than ``most`` (a dense group) is split into
 blocks whose pairs are compared exactly, each pair of blocks a task. A pair that several shards share is
 counted in the first of them only, so links are counted without being listed; for components a task hands
 on a spanning star. Equal vectors are one representative with a count.
 
-Edge cases: vectors that are null, zero, or hold null or non-finite components link with nothing, nor do
-vectors whose length is not the most frequent one; rows with the same vec_id are one node; an empty table gives
+Vectors of each length are linked among themselves: the most frequent length and those of more than ``most`` vectors one
+after the other by the graph, all others exactly in one pass.
+
+Edge cases: vectors that are null, zero, or hold null or non-finite components link with nothing; rows with the same vec_id are one node; an empty table gives
 an empty result; other columns (labels) are ignored.
 """
 
@@ -259,19 +262,20 @@ def _group(fn, df: DataFrame, key: str, kind: str) -> DataFrame:
     return df.groupBy(key).applyInArrow(fn, kind)
 
 
-def found_links(placed: DataFrame, *, threshold: float, most: int) -> DataFrame:
-    """``(vec_id, links, low)`` from every shard."""
+def found_links(placed: DataFrame, *, threshold: float, most: int, exact_only: bool = False) -> DataFrame:
+    """``(vec_id, links, low)`` from every shard; ``exact_only``: without a graph."""
     sizes = placed.groupBy("shard").agg(F.count("*").alias("n"))
     placed = placed.join(sizes, "shard")
-    usual, dense = placed.where(F.col("n") <= most), placed.where(F.col("n") > most)
+    usual, dense = placed.where(F.col("n") <= most), placed if exact_only else placed.where(F.col("n") > most)
 
     def build(table: pa.Table) -> pa.Table:
         ids = np.asarray(table.column("vec_id").combine_chunks())
         adj = build_graph(_matrix(table.column("v")))
         return pa.table({"vec_id": ids, "near": pa.array([ids[a] for a in adj], pa.list_(pa.int64()))})
 
-    flat = _group(build, usual, "shard", "vec_id long, near array<long>").groupBy("vec_id").agg(F.array_distinct(F.flatten(F.collect_list("near"))).alias("near"))
-    flat = cut(flat)
+    if not exact_only:
+        flat = _group(build, usual, "shard", "vec_id long, near array<long>").groupBy("vec_id").agg(F.array_distinct(F.flatten(F.collect_list("near"))).alias("near"))
+        flat = cut(flat)
 
     def search(table: pa.Table) -> pa.Table:
         ids = np.asarray(table.column("vec_id").combine_chunks())
@@ -289,7 +293,6 @@ def found_links(placed: DataFrame, *, threshold: float, most: int) -> DataFrame:
         links, low = _tally(found, ids, np.asarray(table.column("copies").combine_chunks()), _ints(table.column("shards")), table.column("shard")[0].as_py())
         return pa.table({"vec_id": ids, "links": links, "low": low})
 
-    got = _group(search, usual.join(flat, "vec_id"), "shard", "vec_id long, links long, low long")
     blocks = dense.withColumn("blocks", F.ceil(F.col("n") * 2 / most).cast("int")).withColumn("mine", F.pmod(F.xxhash64("vec_id"), F.col("blocks").cast("long")).cast("int"))
     other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
     units = blocks.withColumn("o", other).withColumns({"i": F.least("mine", "o"), "j": F.greatest("mine", "o")})
@@ -304,7 +307,8 @@ def found_links(placed: DataFrame, *, threshold: float, most: int) -> DataFrame:
             found &= side[:, None] != side[None, :]
         return tallied(table, found)
 
-    return got.union(units.groupBy("shard", "i", "j").applyInArrow(exact, "vec_id long, links long, low long"))
+    compared = units.groupBy("shard", "i", "j").applyInArrow(exact, "vec_id long, links long, low long")
+    return compared if exact_only else _group(search, usual.join(flat, "vec_id"), "shard", "vec_id long, links long, low long").union(compared)
 
 
 def _ints(column: pa.ChunkedArray) -> np.ndarray:
@@ -313,9 +317,10 @@ def _ints(column: pa.ChunkedArray) -> np.ndarray:
 
 
 def audit_recall(reps: DataFrame, counted: DataFrame, *, threshold: float, queries: int) -> float:
-    """Links found over links there are, for ``queries`` vectors against all rows."""
-    asked = reps.join(counted, "vec_id", "left").select("vec_id", "v", "copies", F.coalesce("links", F.lit(0)).alias("links"))
-    picked = asked.orderBy(F.xxhash64("vec_id", F.lit(5)), "vec_id").limit(queries).union(asked.where("links > 0").orderBy(F.xxhash64("vec_id", F.lit(6)), "vec_id").limit(queries)).toArrow()
+    """Mean share of its links that was found, over those of ``queries`` vectors that have a link among all rows."""
+    # Drawn by a hash, whatever was found; every query counts alike, however many links it has.
+    drawn = reps.orderBy(F.xxhash64("vec_id", F.lit(5)), "vec_id").limit(queries)
+    picked = drawn.join(counted, "vec_id", "left").select("vec_id", "v", F.coalesce("links", F.lit(0)).alias("links")).toArrow()
     q, ids, n = _unit(_matrix(picked.column("v"))), np.asarray(picked.column("vec_id")), picked.num_rows
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -332,24 +337,55 @@ def audit_recall(reps: DataFrame, counted: DataFrame, *, threshold: float, queri
     true = {r.q: r.hits for r in reps.select("vec_id", "copies", "v").mapInArrow(count, "q long, hits long").groupBy("q").agg(F.sum("hits").alias("hits")).collect()}
     there = np.array([true[i] for i in range(n)], float)
     got = np.asarray(picked.column("links")).astype(float)
-    return float(np.minimum(got, there).sum() / there.sum()) if there.sum() else 1.0
+    has = there > 0
+    return float((np.minimum(got, there)[has] / there[has]).mean()) if has.any() else 1.0
 
 
-def vector_links(vectors: DataFrame, *, threshold: float = THRESHOLD, shard: int = 1000, most: int = 4096, overlap: int = 2, recall: float = 0.95, queries: int = 64, tries: int = 3) -> DataFrame:
-    """``(vec_id, n_links, component_id, kept)`` of every row."""
-    rows = usable(vectors)
-    reps = cut(rows.groupBy("v").agg(F.min("vec_id").alias("vec_id"), F.count("*").alias("copies")).select("vec_id", "copies", "v"))
-    n = reps.count()
-    every = vectors.select(F.col("vec_id").cast("long").alias("vec_id"))
-    if not n:
-        return every.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
+def whole_shards(reps: DataFrame) -> DataFrame:
+    """As :func:`assign_shards`, with all vectors of a length in one shard, named by the length."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            size = np.diff(np.asarray(batch.column(2).offsets))
+            for n in np.unique(size):
+                some = batch.filter(pa.array(size == n))
+                x, at = _unit(_matrix(some.column(2))), np.arange(some.num_rows + 1, dtype=np.int32)
+                shard = pa.array(np.full(some.num_rows, n, np.int32))
+                yield pa.RecordBatch.from_arrays([shard, some.column(0), some.column(1), pa.ListArray.from_arrays(pa.array(at), shard), pa.ListArray.from_arrays(pa.array(at * np.int32(n)), pa.array(x.ravel()))], names=["shard", "vec_id", "copies", "shards", "v"])
+
+    return reps.select("vec_id", "copies", "v").mapInArrow(run, "shard int, vec_id long, copies long, shards array<int>, v array<double>")
+
+
+def _links_of_length(reps: DataFrame, n: int, *, threshold: float, shard: int, most: int, overlap: int, recall: float, queries: int, tries: int) -> DataFrame:
+    """``(vec_id, links, low)`` of vectors of one length: no attempt is taken without its audit."""
     centroids = fit_centroids(reps, n, shard=shard)
     for k in range(tries):
         placed = cut(assign_shards(reps, centroids, overlap + k))
         found = cut(found_links(placed, threshold=threshold, most=most))
         counted = found.groupBy("vec_id").agg(F.sum("links").alias("links"))
-        if k + 1 == tries or audit_recall(reps, counted, threshold=threshold, queries=queries) >= recall:
-            break
+        if audit_recall(reps, counted, threshold=threshold, queries=queries) >= recall:
+            return found
+    return cut(found_links(cut(whole_shards(reps)), threshold=threshold, most=most, exact_only=True))
+
+
+def vector_links(vectors: DataFrame, *, threshold: float = THRESHOLD, shard: int = 1000, most: int = 4096, overlap: int = 2, recall: float = 0.95, queries: int = 512, tries: int = 3) -> DataFrame:
+    """``(vec_id, n_links, component_id, kept)`` of every row."""
+    rows = usable(vectors)
+    reps = cut(rows.groupBy("v").agg(F.min("vec_id").alias("vec_id"), F.count("*").alias("copies")).select("vec_id", "copies", "v"))
+    every = vectors.select(F.col("vec_id").cast("long").alias("vec_id"))
+    lengths = reps.groupBy(F.size("v").alias("size")).agg(F.count("*").alias("n"))
+    top = [(r["size"], r["n"]) for r in lengths.orderBy(F.desc("n"), "size").limit(1).collect()]
+    if not top:
+        return every.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
+    large = top + [(r["size"], r["n"]) for r in lengths.where((F.col("n") > most) & (F.col("size") != top[0][0])).collect()]
+    found = None
+    for size, n in large:
+        part = _links_of_length(reps.where(F.size("v") == size), n, threshold=threshold, shard=shard, most=most, overlap=overlap, recall=recall, queries=queries, tries=tries)
+        found = part if found is None else found.union(part)
+    small = reps.where(~F.size("v").isin([size for size, _ in large]))
+    if not small.isEmpty():
+        found = found.union(cut(found_links(cut(whole_shards(small)), threshold=threshold, most=most, exact_only=True)))
+    counted = found.groupBy("vec_id").agg(F.sum("links").alias("links"))
     parts = link_components(found.where("low < vec_id").select(F.col("vec_id").alias("a"), F.col("low").alias("b")))
     of_rep = reps.select(F.col("vec_id").alias("rep"), "copies", "v").join(counted.withColumnRenamed("vec_id", "rep"), "rep", "left").join(parts, F.col("rep") == F.col("node"), "left")
     named = rows.join(of_rep, "v").groupBy("vec_id").agg(F.max(F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n"), F.min(F.coalesce("component", "rep")).alias("c"))

@@ -184,6 +184,18 @@ def test_vector_links(spark):
     assert vector_graph.vector_links(df.limit(0)).count() == 0
 
 
+def test_vector_links_are_exact_when_no_attempt_passes_its_audit(spark):
+    rng = np.random.default_rng(5)
+    v = rng.normal(size=(60, 8))[np.repeat(np.arange(60), 5)] + rng.normal(size=(300, 8)) * 0.04
+    u = v / np.linalg.norm(v, axis=1, keepdims=True)
+    link = u @ u.T >= 0.95
+    np.fill_diagonal(link, False)
+    df = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "vec_id long, embedding array<double>")
+    # Shards of two vectors without overlap lose most links, and there is one attempt.
+    got = {r.vec_id: r.n_links for r in vector_graph.vector_links(df, shard=2, overlap=1, tries=1, most=64).collect()}
+    assert [got[i] for i in range(300)] == link.sum(1).tolist()
+
+
 def test_language_spans(spark, docs, nothing):
     en, de = "the house and the garden were full of people who went there", "das Haus und der Garten waren voll von Menschen die dorthin gingen"
     rows = [(i, " ".join(random.Random(i).sample((en if i % 2 else de).split(), 9)), "en" if i % 2 else "de") for i in range(60)]
