@@ -41,9 +41,7 @@ def usable(vectors: DataFrame) -> DataFrame:
     """``(vec_id, v)`` of the rows that can link, components as double."""
     v = F.transform("embedding", lambda x: x.cast("double"))
     ok = F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) != float("inf"))) & F.exists("v", lambda x: x != 0)
-    rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), v.alias("v")).where("vec_id is not null").where(ok)
-    top = rows.groupBy(F.size("v").alias("n")).count().orderBy(F.desc("count"), "n").limit(1).collect()
-    return rows.where(F.size("v") == (top[0].n if top else 0))
+    return vectors.select(F.col("vec_id").cast("long").alias("vec_id"), v.alias("v")).where("vec_id is not null").where(ok)
 
 
 def _unit(v: np.ndarray) -> np.ndarray:

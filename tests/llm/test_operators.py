@@ -196,6 +196,16 @@ def test_vector_links_are_exact_when_no_attempt_passes_its_audit(spark):
     assert [got[i] for i in range(300)] == link.sum(1).tolist()
 
 
+def test_vector_links_of_every_length(spark):
+    rng = np.random.default_rng(6)
+    rows = [(100 * k + i, x.tolist()) for k, (n, d) in enumerate([(60, 8), (50, 5), (40, 3)]) for i, x in enumerate(rng.normal(size=(n, d)))]
+    rows += [(900 + k, [2.0 * y for y in rows[at][1]]) for k, at in enumerate((0, 60, 110))] + [(950, rows[60][1])]
+    for most in (4096, 45):  # the second takes the second length by the graph
+        got = {r.vec_id: r for r in vector_graph.vector_links(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), most=most).collect()}
+        assert [got[i].component_id for i in (900, 901, 902, 950)] == [0, 100, 200, 100]
+        assert got[100].n_links >= 2 and not got[950].kept and got[200].n_links >= 1
+
+
 def test_language_spans(spark, docs, nothing):
     en, de = "the house and the garden were full of people who went there", "das Haus und der Garten waren voll von Menschen die dorthin gingen"
     rows = [(i, " ".join(random.Random(i).sample((en if i % 2 else de).split(), 9)), "en" if i % 2 else "de") for i in range(60)]
