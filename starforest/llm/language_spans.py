@@ -135,10 +135,10 @@ def viterbi(scores: np.ndarray, sizes: np.ndarray, penalty: float) -> np.ndarray
     starts, longest = (np.cumsum(sizes) - sizes)[docs], int(sizes.max()) if len(docs) else 0
     size, live = sizes[docs], np.zeros(longest + 1, np.int64)
     if not longest:
-        return np.zeros(0, np.int8)
+        return np.zeros(0, np.int16)
     live[:longest] = np.searchsorted(-size, -np.arange(longest), "left")
-    came = np.zeros(scores.shape, np.int8)
-    stay = np.arange(scores.shape[1], dtype=np.int8)
+    came = np.zeros(scores.shape, np.int16)
+    stay = np.arange(scores.shape[1], dtype=np.int16)
     v = scores[starts].astype(np.float64)
     for t in range(1, longest):
         k = live[t]
@@ -146,9 +146,9 @@ def viterbi(scores: np.ndarray, sizes: np.ndarray, penalty: float) -> np.ndarray
         best = old.argmax(1)
         jump = old[np.arange(k), best] - penalty
         switch = jump[:, None] > old
-        came[at] = np.where(switch, best[:, None].astype(np.int8), stay)
+        came[at] = np.where(switch, best[:, None].astype(np.int16), stay)
         v[:k] = np.where(switch, jump[:, None], old) + scores[at]
-    out = np.zeros(len(scores), np.int8)
+    out = np.zeros(len(scores), np.int16)
     label = v.argmax(1)
     for t in range(longest - 1, -1, -1):
         k = live[t]

@@ -221,6 +221,13 @@ def test_language_spans(spark, docs, nothing):
     assert set(language_spans.drop_unsure(docs, model).columns) == set(docs.columns)
 
 
+def test_viterbi_of_more_labels_than_a_byte_holds():
+    want = np.array([0, 127, 128, 199, 199, 255, 256, 299])
+    s = np.zeros((8, 300), np.float32)
+    s[np.arange(8), want] = 9
+    assert language_spans.viterbi(s, np.array([5, 3]), 0.5).tolist() == want.tolist()
+
+
 def test_viterbi_against_enumeration():
     from itertools import product
 
