@@ -5,7 +5,8 @@ the words around each seed become lexical patterns (two words before, one word b
 after). All identifier-like strings are the instances. Patterns and instances form a bipartite graph
 that is scored in rounds: a pattern's score for a kind is the mean score of its instances, smoothed;
 an instance's score is the noisy-or of its patterns that have enough support. Unlabelled instances whose
-score passes ``threshold`` by at least two patterns become additional spans. Base spans always stay.
+score passes ``threshold`` by at least two patterns become additional spans, and so do unlabelled occurrences of
+a string that is a seed elsewhere (its score is one). Base spans always stay.
 
 Scale: texts are scanned once and never shuffled; what is shuffled are identifier-like strings with
 their contexts and pre-aggregated (pattern, instance) pairs. Nothing is collected or broadcast by hand.
@@ -135,7 +136,8 @@ def discover(found: DataFrame, *, rounds: int = 3, support: int = 3, threshold:
         by_pattern = pairs.join(scores, "key").groupBy("pattern", "k").agg((F.sum("score") / (F.first("instances") + 1)).alias("trust"))
         raised = pairs.select("pattern", "key").join(by_pattern, "pattern").groupBy("key", "k").agg((1 - F.exp(F.sum(F.log(F.greatest(1 - F.col("trust"), F.lit(1e-9)))))).alias("score"), F.countDistinct("pattern").alias("by"))
         scores = cut(raised.join(known, ["key", "k"], "full").select("key", "k", F.coalesce("seed", F.when(F.col("by") >= 2, F.col("score")).otherwise(0.0)).alias("score"), "seed"))
-    best = scores.where("seed is null").where(F.col("score") >= threshold).groupBy("key").agg(F.max_by("k", F.struct("score", -F.col("k"))).alias("k"))
+    # Seeds too: a string that is a base span in one document may stand in another without what makes it one there.
+    best = scores.where(F.col("score") >= threshold).groupBy("key").agg(F.max_by("k", F.struct("score", -F.col("k"))).alias("k"))
     return inst.where("label is null").join(best, "key").where(_form(F.col("k"), F.col("hit"))).select("rid", "s", "k", "e")
 
 

@@ -148,6 +148,12 @@ def test_pii_discovers_by_context(spark):
     assert got[50] == "phone:18:32"
 
 
+def test_pii_finds_a_seed_elsewhere_in_its_bare_form(spark):
+    rows = [(i, f"note {i} call me now at +49 170 12345{i:02d} please") for i in range(12)] + [(50, "we call me now at 49 170 1234507 please today")]
+    got = {r.doc_id: r.spans for r in pii_bootstrap.find_pii(spark.createDataFrame(rows, "doc_id long, text string"), threshold=0.8).collect()}
+    assert got[50] == "phone:18:32"
+
+
 def test_piece_codec(docs, nothing):
     model = piece_viterbi.PieceModel.of(piece_viterbi.model_path())
     rng = random.Random(4)
