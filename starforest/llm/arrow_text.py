@@ -45,13 +45,84 @@ def hash_strings(values: pa.Array) -> np.ndarray:
     return mix64(out ^ size.astype(np.uint64))
 
 
+def _spaced(kept: str) -> bytes:
+    """Translation that lower-cases A-Z and blanks all ASCII that is not of the kept classes; other bytes stay."""
+    digits = r"\pN" in kept
+    return bytes(c if c >= 128 or chr(c).isalpha() or (digits and chr(c).isdigit()) else 32 for c in ASCII_LOWER)
+
+
+def word_bytes(texts: pa.Array, kept: str = r"\pL\pM") -> tuple[bytes, np.ndarray]:
+    """:func:`flat`, in lower case of A-Z, with a space for whatever is not of the kept character classes."""
+    texts = pc.fill_null(texts.cast(pa.large_string()), "")
+    # One search tells which texts have more than ASCII to blank; replacing is slow.
+    rare = pc.match_substring_regex(texts, rf"[^\x00-\x7F{kept}]")
+    if pc.any(rare).as_py():
+        texts = pc.replace_with_mask(texts, rare, pc.replace_substring_regex(texts.filter(rare), f"[^{kept}]+", " "))
+    data, ends = flat(texts)
+    return data.translate(_spaced(kept)), ends
+
+
+_POWERS = np.ones(1, np.uint64)
+_ODD = np.uint64(0x9E3779B97F4A7C15)
+#: A 64-bit number for each byte.
+_BYTES = mix64(np.arange(1, 257))
+
+
+def _powers(n: int) -> np.ndarray:
+    """Powers of the odd number's inverse modulo 2**64."""
+    global _POWERS
+    if len(_POWERS) < n:
+        inverse = np.full(n + n // 2, pow(int(_ODD), -1, 1 << 64), np.uint64)
+        inverse[0] = 1
+        _POWERS = np.cumprod(inverse, dtype=np.uint64)
+    return _POWERS
+
+
+def hash_words(texts: pa.Array, kept: str = r"\pL\pM\pN") -> tuple[np.ndarray, np.ndarray]:
+    """A 64-bit hash of every word (runs of the kept classes), and how many each text has.
+
+    Polynomials over the bytes of a word, taken from one running sum over all bytes: no word is ever built.
+    """
+    data, ends = word_bytes(texts, kept)
+    raw = np.frombuffer(data, np.uint8)
+    inside = raw != 32
+    before, after = np.concatenate([[False], inside[:-1]]), np.concatenate([inside[1:], [False]])
+    edges = ends[1:-1]
+    edges = edges[(edges > 0) & (edges < len(raw))]
+    before[edges] = after[edges - 1] = False
+    first, last = np.flatnonzero(inside & ~before), np.flatnonzero(inside & ~after)
+    sizes = np.diff(np.searchsorted(first, ends))
+    if not len(first):
+        return np.zeros(0, np.uint64), sizes
+    # Sum of byte value times power of the inverse: the difference, times the power of the word's end, is its polynomial.
+    total = np.cumsum(_BYTES[raw] * _powers(len(raw))[: len(raw)], dtype=np.uint64)
+    before_word = np.where(first > 0, total[first - 1], np.uint64(0))
+    length = (last - first + 1).astype(np.uint64)
+    return mix64((total[last] - before_word) * _raised(last) ^ length), sizes.astype(np.int64)
+
+
+_RAISED = np.ones(1, np.uint64)
+
+
+def _raised(at: np.ndarray) -> np.ndarray:
+    """Powers of the odd number at ascending places."""
+    global _RAISED
+    n = int(at[-1]) + 1
+    if len(_RAISED) < n:
+        base = np.full(n + n // 2, _ODD, np.uint64)
+        base[0] = 1
+        _RAISED = np.cumprod(base, dtype=np.uint64)
+    return _RAISED[at]
+
+
 def split_words(texts: pa.Array, kept: str = r"\pL\pM") -> tuple[pa.Array, np.ndarray]:
-    """All words (runs of the kept character classes) and how many each text has; a null counts as empty."""
-    clean = pc.replace_substring_regex(pc.fill_null(texts.cast(pa.large_string()), ""), f"[^{kept}]+", " ")
-    split = pc.split_pattern(pc.utf8_trim(clean, " "), " ")
+    """All words (runs of the kept character classes), A-Z in lower case, and how many each text has; a null counts as empty."""
+    data, ends = word_bytes(texts, kept)
+    spaced = pa.LargeStringArray.from_buffers(len(ends) - 1, pa.py_buffer(ends.astype(np.int64)), pa.py_buffer(data))
+    split = pc.ascii_split_whitespace(spaced)
     sizes = np.diff(np.asarray(split.offsets))
     words = split.flatten()
-    # A text without a word splits into one empty string.
+    # White space at either end of a text splits off an empty string.
     empty = pc.equal(words, "").to_numpy(zero_copy_only=False).astype(bool)
     if empty.any():
         owner = np.repeat(np.arange(len(sizes)), sizes)

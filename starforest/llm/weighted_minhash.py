@@ -6,12 +6,14 @@ frequencies of the whole corpus, counted for every shingle. ``bands * rows`` con
 weighted samples make the band keys. Texts of one band bucket are candidates; candidates are verified by their exact weighted
 Jaccard similarity on whole texts, and verified links make the classes.
 
-Scale: three scans; what is shuffled are shingle hashes (eight bytes each, packed by ranges of the hash), band
-keys, and the texts of candidates. The counts go back to units of documents as files in the shared folder, one for
+Scale: three scans; what is shuffled are shingle hashes (sorted, as differences of six bytes, packed by ranges of the
+hash), band keys, and the texts of candidates. The counts go back to units of documents as files in the shared folder, one for
 each unit, which the second scan forms again; rows of a plan that shuffles are written first. Copies of the same words
-are one representative before anything is banded. A bucket is split into blocks and every pair of
-blocks is a task of its own, so no task holds more than two blocks; a task hands on a spanning star of what it
-linked, never all pairs. Buckets with the same members are compared once.
+are one representative before anything is banded. Buckets with the same members are compared once. A bucket is cut into
+blocks of bounded rows and words. First each block is compared within itself and with its bucket's leader (the smallest
+representative), so a text travels once for each bucket and a group of near copies comes together in work that grows
+with its size. Only where a bucket's members are then still of several components are its blocks compared across, and of
+those only blocks of different components. A task hands on a spanning star of what it linked, never all pairs.
 
 Edge cases: a null text counts as empty; a text without a word is in a class of its own; rows with the same
 doc_id are one node; a null doc_id is never linked; an empty table gives an empty result; other columns
@@ -28,18 +30,18 @@ from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from starforest.components.links import link_components
-from starforest.llm.arrow_text import hash_strings, mix64, split_words
+from starforest.llm.arrow_text import hash_words, mix64
 from starforest.llm.byte_bpe import slices
 from starforest.llm.shared_files import read_whole, remove_tree, write_whole
 from starforest.runtime import cut, cut_state, shared_dir
 
 WORDS, THRESHOLD, BANDS, ROWS = 5, 0.8, 10, 3
-#: Documents in a block of a bucket.
-BLOCK = 128
+#: Documents in a block of a bucket, and words.
+BLOCK, BLOCK_WORDS = 128, 400_000
 #: Shingles of a unit, and documents to a range of hashes (2**14 ranges at most).
 _UNIT, _DOCS, _MAX_BITS = 1 << 20, 2048, 14
 _P = np.uint64(0x9E3779B97F4A7C15)
@@ -55,8 +57,10 @@ def _gamma_quantiles(bits: int = 16) -> np.ndarray:
     return x
 
 
-_R = _gamma_quantiles().astype(np.float32)
-_INV_R, _LN_C = (1 / _R).astype(np.float32), np.log(_R).astype(np.float32)
+_R = _gamma_quantiles(12).astype(np.float32)
+_INV_R, _LN_C = (1 / _R).astype(np.float32), np.log(_gamma_quantiles()).astype(np.float32)
+#: Shingles that are sampled at a time: their arrays stay in a core's cache.
+_CHUNK = 1 << 14
 
 
 class Shingles:
@@ -65,9 +69,7 @@ class Shingles:
     def __init__(self, texts: pa.Array, words: int = WORDS) -> None:
         import pyarrow.compute as pc
 
-        found, self.sizes = split_words(pc.utf8_lower(pc.fill_null(texts.cast(pa.large_string()), "")), r"\pL\pM\pN")
-        coded = found.dictionary_encode()
-        w = hash_strings(coded.dictionary)[np.asarray(coded.indices, np.int64)] if len(found) else np.zeros(0, np.uint64)
+        w, self.sizes = hash_words(pc.utf8_lower(pc.fill_null(texts.cast(pa.large_string()), "")), r"\pL\pM\pN")
         n = len(self.sizes)
         starts = np.cumsum(self.sizes) - self.sizes
         owner = np.repeat(np.arange(n), self.sizes)
@@ -85,7 +87,9 @@ class Shingles:
             has = self.sizes[short] > k
             brief[has] = brief[has] * _P + w[starts[short[has]] + k]
         h, own = np.concatenate([mix64(h[whole]), mix64(brief ^ _P)]), np.concatenate([own[whole], short])
-        order = np.lexsort((h, own))
+        order = np.argsort(h)
+        # By owner, in order of h within: a stable sort of 16-bit numbers is a radix sort.
+        order = order[np.argsort(own[order].astype(np.uint16 if n <= 1 << 16 else np.int64), kind="stable")]
         h, own = h[order], own[order]
         new = np.ones(len(h), bool)
         new[1:] = (h[1:] != h[:-1]) | (own[1:] != own[:-1])
@@ -111,6 +115,25 @@ def idf_weights(df: np.ndarray, docs: int) -> np.ndarray:
     return 1 + np.log(docs / df) / np.log(docs) if docs > 1 else np.ones(len(df))
 
 
+def pack_hashes(h: np.ndarray) -> bytes:
+    """Ascending hashes as differences of six bytes; larger ones stand as zero, their places and values at the end."""
+    d = np.diff(h, prepend=np.uint64(0))
+    far = np.flatnonzero(d >> np.uint64(48))
+    near = d.copy()
+    near[far] = 0
+    return np.array([len(h)], "<i8").tobytes() + near.astype("<u8").view(np.uint8).reshape(-1, 8)[:, :6].tobytes() + far.astype("<i8").tobytes() + d[far].astype("<u8").tobytes()
+
+
+def unpack_hashes(raw: bytes) -> np.ndarray:
+    n = int(np.frombuffer(raw, "<i8", 1)[0])
+    d = np.zeros((n, 8), np.uint8)
+    d[:, :6] = np.frombuffer(raw, np.uint8, 6 * n, 8).reshape(n, 6)
+    d = d.reshape(-1).view("<u8")
+    far = np.frombuffer(raw, "<i8", offset=8 + 6 * n)
+    d[far[: len(far) // 2]] = far[len(far) // 2 :].view("<u8")
+    return np.cumsum(d, dtype=np.uint64)
+
+
 def pack_counts(n: np.ndarray) -> bytes:
     """Counts from one on: a byte each, and those from 255 on at the end."""
     return np.minimum(n, 255).astype(np.uint8).tobytes() + n[n >= 255].astype("<i8").tobytes()
@@ -158,11 +181,11 @@ def count_shingles(docs: DataFrame) -> Counted:
             ends = np.searchsorted(h, np.arange(1 << bits, dtype=np.uint64) << np.uint64(64 - bits)) if bits else np.zeros(1, np.int64)
             ends = np.append(ends, len(h))
             used = np.flatnonzero(np.diff(ends))
-            cells = [(h[ends[p] : ends[p + 1]].tobytes(), pack_counts(c[ends[p] : ends[p + 1]])) for p in used]
+            cells = [(pack_hashes(h[ends[p] : ends[p + 1]]), pack_counts(c[ends[p] : ends[p + 1]])) for p in used]
             yield pa.RecordBatch.from_arrays([pa.array(used, pa.int32()), pa.array([name] * len(used), pa.string()), pa.array([f"{task}{at}"] * len(used), pa.string()), pa.array([x for x, _ in cells], pa.binary()), pa.array([x for _, x in cells], pa.binary())], names=["part", "unit", "copy", "h", "n"])
 
     def add(table: pa.Table) -> pa.Table:
-        hs = [np.frombuffer(x, np.uint64) for x in table.column("h").to_pylist()]
+        hs = [unpack_hashes(x) for x in table.column("h").to_pylist()]
         n = np.concatenate([unpack_counts(x, len(h)) for h, x in zip(hs, table.column("n").to_pylist(), strict=True)])
         _, place = np.unique(np.concatenate(hs), return_inverse=True)
         df = np.bincount(place, n).astype(np.int64)[place]
@@ -184,63 +207,118 @@ def count_shingles(docs: DataFrame) -> Counted:
 
 def sample_bands(s: Shingles, weights: np.ndarray, bands: int = BANDS, rows: int = ROWS) -> np.ndarray:
     """int64[text, band]: keys of consistent weighted samples; texts without shingles get zeros."""
-    n = len(s.sizes)
-    keys = np.zeros((n, bands), np.uint64)
+    keys = np.zeros((len(s.sizes), bands), np.uint64)
     if not len(s.h):
         return keys.view(np.int64)
     has, first = np.unique(s.owner, return_index=True)
-    length = np.diff(np.append(first, len(s.h)))
-    ln_s = np.log(s.tf * weights).astype(np.float32)
-    base = s.h ^ (s.h >> np.uint64(32))
-    for k in range(bands * rows):
-        z = base * (mix64(np.array([k + 1]))[0] | np.uint64(1))
-        z ^= z >> np.uint64(29)
-        i = (z >> np.uint64(48)).astype(np.int64)
-        j = ((z >> np.uint64(32)) & np.uint64(0xFFFF)).astype(np.int64)
-        beta = ((z >> np.uint64(16)) & np.uint64(0xFFFF)).astype(np.float32) * np.float32(2**-16)
-        t = np.floor(ln_s * _INV_R[i] + beta)
-        a = _LN_C[j] - _R[i] * (t - beta + 1)
-        least = np.minimum.reduceat(a, first)
-        at = np.flatnonzero(a == np.repeat(least, length))
-        own = s.owner[at]
-        at = at[np.append(True, own[1:] != own[:-1])]
-        sample = mix64(s.h[at] + t[at].astype(np.int64).astype(np.uint64) * _P + np.uint64(k))
-        keys[has, k // rows] = keys[has, k // rows] * _P + sample
+    ends = np.append(first, len(s.h))
+    at = 0
+    while at < len(has):
+        to = max(at + 1, int(np.searchsorted(ends, ends[at] + _CHUNK, "right")) - 1)
+        lo, hi = ends[at], ends[to]
+        keys[has[at:to]] = _sampled(s.h[lo:hi], s.tf[lo:hi] * weights[lo:hi], ends[at : to + 1] - lo, bands, rows)
+        at = to
     return mix64(keys).view(np.int64)
 
 
+def _sampled(h: np.ndarray, weights: np.ndarray, ends: np.ndarray, bands: int, rows: int) -> np.ndarray:
+    """Keys of texts with one shingle at least; text i has the shingles ``ends[i]`` to ``ends[i + 1]``."""
+    first, length, m = ends[:-1], np.diff(ends), len(h)
+    owner = np.repeat(np.arange(len(first)), length)
+    keys = np.zeros((len(first), bands), np.uint64)
+    ln_s = np.log(weights).astype(np.float32)
+    base = h ^ (h >> np.uint64(32))
+    z, y = np.empty(m, np.uint64), np.empty(m, np.uint64)
+    r, inv, a, beta, t = (np.empty(m, np.float32) for _ in range(5))
+    parts, scale = z.view(np.uint16).reshape(-1, 4), np.float32(2**-16)
+    for k in range(bands * rows):
+        np.multiply(base, mix64(np.array([k + 1]))[0] | np.uint64(1), out=z)
+        np.bitwise_xor(z, np.right_shift(z, np.uint64(29), out=y), out=z)
+        high = np.right_shift(z, np.uint64(52), out=y).view(np.int64)
+        np.take(_R, high, out=r, mode="wrap")
+        np.take(_INV_R, high, out=inv, mode="wrap")
+        np.take(_LN_C, parts[:, 2], out=a, mode="wrap")
+        np.multiply(parts[:, 1], scale, out=beta)
+        np.floor(np.add(np.multiply(ln_s, inv, out=t), beta, out=t), out=t)
+        # a = ln c - r (t - beta + 1)
+        np.multiply(np.add(np.subtract(t, beta, out=beta), np.float32(1), out=beta), r, out=beta)
+        np.subtract(a, beta, out=a)
+        at = np.flatnonzero(a == np.repeat(np.minimum.reduceat(a, first), length))
+        if len(at) > len(first):  # a tie: the smaller hash
+            own = owner[at]
+            at = at[np.append(True, own[1:] != own[:-1])]
+        sample = mix64(h[at] + t[at].astype(np.int64).astype(np.uint64) * _P + np.uint64(k))
+        keys[:, k // rows] = keys[:, k // rows] * _P + sample
+    return keys
+
+
 def signatures(counted: Counted, *, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """``(doc_id, k1, k2, df, b0, b1, ...)`` of every text with a word; df: packed counts in the order of its shingles."""
+    """``(doc_id, k1, k2, words, df, b0, b1, ...)`` of every text with a word; df: packed counts in the order of its shingles."""
     n, folder = counted.docs, counted.folder
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for name, unit in _units(batches):
-            h = np.unique(np.concatenate([s.h for _, s in unit]))
-            found = unpack_counts(read_whole(f"{folder}/{name}"), len(h)) if len(h) else np.zeros(0, np.int64)
+            h, place = np.unique(np.concatenate([s.h for _, s in unit]), return_inverse=True)
+            found = unpack_counts(read_whole(f"{folder}/{name}"), len(h))[place] if len(h) else np.zeros(0, np.int64)
+            at = 0
             for batch, s in unit:
-                df = found[np.searchsorted(h, s.h)]
+                df, at = found[at : at + len(s.h)], at + len(s.h)
                 keys = sample_bands(s, idf_weights(df, n), bands, rows)
                 ends = np.searchsorted(s.owner, np.arange(len(s.sizes) + 1))
                 keep = np.flatnonzero((s.sizes > 0) & np.asarray(batch.column(0).is_valid()))
                 cells = [zlib.compress(pack_counts(df[ends[i] : ends[i + 1]]), 1) for i in keep]
-                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(keep)), *(pa.array(c[keep]) for c in s.key.view(np.int64).T), pa.array(cells, pa.binary()), *(pa.array(c[keep]) for c in keys.T)], names=["doc_id", "k1", "k2", "df", *(f"b{i}" for i in range(bands))])
+                yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(keep)), *(pa.array(c[keep]) for c in s.key.view(np.int64).T), pa.array(s.sizes[keep]), pa.array(cells, pa.binary()), *(pa.array(c[keep]) for c in keys.T)], names=["doc_id", "k1", "k2", "words", "df", *(f"b{i}" for i in range(bands))])
 
-    return counted.rows.mapInArrow(run, "doc_id long, k1 long, k2 long, df binary" + "".join(f", b{i} long" for i in range(bands)))
+    return counted.rows.mapInArrow(run, "doc_id long, k1 long, k2 long, words long, df binary" + "".join(f", b{i} long" for i in range(bands)))
 
 
-def candidate_units(reps: DataFrame, *, bands: int = BANDS, block: int = BLOCK) -> DataFrame:
-    """``(bucket, i, j, mine, rep, k1, k2)``: rows of each pair of blocks of each bucket."""
+def bucket_rows(reps: DataFrame, *, bands: int = BANDS, block: int = BLOCK, words: int = BLOCK_WORDS) -> DataFrame:
+    """``(bucket, blocks, rep, k1, k2, words, leads)``: members of each set of two and more that share a bucket, once for each set."""
     node = F.xxhash64("rep", "k1", "k2")
-    keyed = reps.select("rep", "k1", "k2", F.posexplode(F.array(*[F.col(f"b{i}") for i in range(bands)])).alias("band", "key")).select("rep", "k1", "k2", F.xxhash64("band", "key").alias("bucket"))
-    full = keyed.groupBy("bucket").agg(F.count("*").alias("n"), F.min("rep").alias("lo"), F.max("rep").alias("hi"), F.bit_xor(node).alias("x"), F.bit_xor(F.xxhash64("rep", "k1", "k2", F.lit(1))).alias("y")).where("n > 1")
-    once = full.groupBy("n", "lo", "hi", "x", "y").agg(F.min("bucket").alias("bucket")).select("bucket", F.ceil(F.col("n") / block).cast("int").alias("blocks"))
-    rows = keyed.join(once, "bucket").withColumn("mine", F.pmod(F.xxhash64("rep", F.lit(2)), F.col("blocks").cast("long")).cast("int"))
-    other = F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))
-    return rows.select("bucket", "rep", "k1", "k2", "mine", other.alias("o")).select("bucket", F.least("mine", "o").alias("i"), F.greatest("mine", "o").alias("j"), "mine", "rep", "k1", "k2")
-
-
-def _linked(s: Shingles, weights: np.ndarray, lo: int, hi: int, side: np.ndarray, threshold: float) -> np.ndarray:
-    """Component labels (positions) of the texts lo..hi by links between sides (or within the one side)."""
+    keyed = reps.select("rep", "k1", "k2", "words", F.posexplode(F.array(*[F.col(f"b{i}") for i in range(bands)])).alias("band", "key")).select("rep", "k1", "k2", "words", F.xxhash64("band", "key").alias("bucket"))
+    full = keyed.groupBy("bucket").agg(F.count("*").alias("n"), F.sum("words").alias("size"), F.min(F.struct("rep", "k1", "k2")).alias("first"), F.max("rep").alias("hi"), F.bit_xor(node).alias("x"), F.bit_xor(F.xxhash64("rep", "k1", "k2", F.lit(1))).alias("y")).where("n > 1")
+    blocks = F.greatest(F.ceil(F.col("n") / block), F.ceil(F.col("size") / words)).cast("int")
+    once = full.groupBy("n", "size", "first", "hi", "x", "y").agg(F.min("bucket").alias("bucket")).select("bucket", "first", blocks.alias("blocks"))
+    leads = (F.col("rep") == F.col("first.rep")) & (F.col("k1") == F.col("first.k1")) & (F.col("k2") == F.col("first.k2"))
+    return keyed.join(once, "bucket").select("bucket", "blocks", "rep", "k1", "k2", "words", leads.alias("leads"))
+
+
+def _part(node: str, parts: Column) -> Column:
+    return F.pmod(F.xxhash64(node, F.lit(2)), parts.cast("long")).cast("int")
+
+
+def near_units(rows: DataFrame) -> DataFrame:
+    """``(bucket, i, j, mine, team, rep, k1, k2)``: each block as a unit, with its bucket's leader."""
+    every = F.sequence(F.lit(0), F.col("blocks") - 1)
+    placed = rows.withColumn("i", F.explode(F.when(F.col("leads"), every).otherwise(F.array(_part("rep", F.col("blocks"))))))
+    return placed.select("bucket", "i", F.col("i").alias("j"), F.lit(0).alias("mine"), F.lit(None).cast("long").alias("team"), "rep", "k1", "k2")
+
+
+def far_units(rows: DataFrame, parts: DataFrame, *, block: int = BLOCK, words: int = BLOCK_WORDS) -> DataFrame:
+    """As :func:`near_units`, pairs of blocks of different teams (components so far): what blocks alone cannot link.
+
+    A team of more than a block has blocks of its own; smaller ones share the blocks before those.
+    """
+    split = rows.where("blocks > 1").join(parts, F.col("rep") == F.col("node"), "left").select("bucket", "rep", "k1", "k2", "words", F.coalesce("component", "rep").alias("team"))
+    teams = split.groupBy("bucket", "team").agg(F.count("*").alias("n"), F.sum("words").alias("size"))
+    teams = teams.withColumn("own", F.greatest(F.ceil(F.col("n") / block), F.ceil(F.col("size") / words)).cast("int"))
+    small = F.col("own") == 1
+    pool = teams.groupBy("bucket").agg(F.count("*").alias("teams"), F.greatest(F.ceil(F.sum(F.when(small, F.col("n"))) / block), F.ceil(F.sum(F.when(small, F.col("size"))) / words), F.lit(0)).cast("int").alias("pool")).where("teams > 1")
+    # Few teams of a bucket have blocks of their own; only those are ordered.
+    large = teams.where(~small).withColumn("upto", F.sum("own").over(Window.partitionBy("bucket").orderBy("team")))
+    ends = large.groupBy("bucket").agg(F.max("upto").alias("owned"))
+    teams = teams.select("bucket", "team").join(large.select("bucket", "team", "own", "upto"), ["bucket", "team"], "left").join(pool, "bucket").join(ends, "bucket", "left")
+    start = (F.col("pool") + F.col("upto") - F.col("own")).cast("int")
+    teams = teams.select("bucket", "team", "own", start.alias("start"), "pool", (F.col("pool") + F.coalesce("owned", F.lit(0))).cast("int").alias("total"))
+    placed = split.join(teams, ["bucket", "team"])
+    mine = F.when(F.col("own").isNull(), _part("team", F.col("pool"))).otherwise(F.col("start") + _part("rep", F.coalesce("own", F.lit(1))))
+    placed = placed.withColumn("mine", mine).withColumn("o", F.explode(F.sequence(F.lit(0), F.col("total") - 1)))
+    placed = placed.where("own is null or o < start or o >= start + own")
+    return placed.select("bucket", F.least("mine", "o").alias("i"), F.greatest("mine", "o").alias("j"), "mine", "team", "rep", "k1", "k2")
+
+
+def _linked(s: Shingles, weights: np.ndarray, lo: int, hi: int, threshold: float) -> np.ndarray:
+    """Component labels (positions) of the texts lo..hi by their links."""
     m = hi - lo
     a, b = np.searchsorted(s.owner, [lo, hi])
     own, h, tf, w = s.owner[a:b] - lo, s.h[a:b], s.tf[a:b], weights[a:b]
@@ -263,8 +341,6 @@ def _linked(s: Shingles, weights: np.ndarray, lo: int, hi: int, side: np.ndarray
         inter += part @ part.T
     union = total[:, None] + total[None, :] - inter
     link = (inter >= (threshold - 1e-12) * union) & (union > 0)
-    if len(set(side.tolist())) > 1:
-        link &= side[:, None] != side[None, :]
     np.fill_diagonal(link, True)
     label = np.arange(m)
     while True:
@@ -289,14 +365,14 @@ def verified_links(units: DataFrame, reps: DataFrame, counted: Counted, *, thres
         if not own.all():
             return check(table.filter(pa.array(own)))
         unit = np.stack([np.asarray(table.column(k)) for k in range(3)], 1)
-        side, rep = np.asarray(table.column(3)), np.asarray(table.column(4))
+        rep = np.asarray(table.column(4))
         sizes = np.bincount(s.owner, minlength=len(own))
         df = [unpack_counts(zlib.decompress(x), k) for x, k in zip(table.column(8).to_pylist(), sizes, strict=True)]
         weights = idf_weights(np.concatenate(df), n) if df else np.zeros(0)
         at = np.flatnonzero(np.append(True, (unit[1:] != unit[:-1]).any(1)))[: len(unit)]
         out_a, out_b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
         for lo, hi in zip(at, np.append(at[1:], len(unit)), strict=True):
-            label = _linked(s, weights, lo, hi, side[lo:hi], threshold)
+            label = _linked(s, weights, lo, hi, threshold)
             moved = np.flatnonzero(label != np.arange(hi - lo))
             out_a.append(rep[lo:hi][moved])
             out_b.append(rep[lo:hi][label[moved]])
@@ -330,13 +406,17 @@ def near_classes(docs: DataFrame, *, threshold: float = THRESHOLD, bands: int =
     counted = count_shingles(docs)
     sig = cut(signatures(counted, bands=bands, rows=rows))
     remove_tree(counted.folder)
-    reps = sig.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.min("df").alias("df"), *[F.min(f"b{i}").alias(f"b{i}") for i in range(bands)])
+    reps = sig.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.max("words").alias("words"), F.min("df").alias("df"), *[F.min(f"b{i}").alias(f"b{i}") for i in range(bands)])
     reps = cut(reps)
-    links = verified_links(candidate_units(reps, bands=bands, block=block), reps, counted, threshold=threshold)
     # A doc_id that stands on several rows joins what its rows' words join.
-    same = sig.select("doc_id", "k1", "k2").join(reps.select("k1", "k2", "rep"), ["k1", "k2"]).select("doc_id", "rep")
-    same = cut(same)
-    parts = link_components(links.union(same.join(same.groupBy("doc_id").agg(F.count("*").alias("_n")).where("_n > 1"), "doc_id").select("doc_id", "rep")))
+    same = cut(sig.select("doc_id", "k1", "k2").join(reps.select("k1", "k2", "rep"), ["k1", "k2"]).select("doc_id", "rep"))
+    several = same.join(same.groupBy("doc_id").agg(F.count("*").alias("_n")).where("_n > 1"), "doc_id").select("doc_id", "rep")
+    members = cut(bucket_rows(reps, bands=bands, block=block))
+    links = cut(verified_links(near_units(members), reps, counted, threshold=threshold).union(several))
+    parts = link_components(links)
+    across = cut(far_units(members, parts, block=block))
+    if not across.isEmpty():
+        parts = link_components(links.union(verified_links(across, reps, counted, threshold=threshold)))
     named = same.join(parts, F.col("rep") == F.col("node"), "left").groupBy("doc_id").agg(F.min(F.coalesce("component", "rep")).alias("class_id"))
     every = docs.select(F.col("doc_id").cast("long").alias("doc_id"))
     return every.join(named, "doc_id", "left").select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id")).withColumn("kept", F.coalesce(F.col("doc_id") == F.col("class_id"), F.lit(True)))
