@@ -7,7 +7,9 @@ full, so two documents share a name if and only if their normalised texts are eq
 
 Scale: the texts are shuffled once, as blocks that each task has already combined (a block that
 fills a third of the corpus arrives once for each task, not once for each copy). All later levels
-carry integers only. The number of levels is log2 of the longest document in blocks.
+carry integers only. The number of levels is log2 of the longest document in blocks. Names that 1/``HEAVY`` of all rows and more
+share are ``HEAVY`` at most, a proven bound: they are broadcast, and only the rows of other names are shuffled by name, so no join
+brings a large group's rows into one task.
 
 Edge cases: a null text counts as empty (one empty block); rows with a null or repeated doc_id are
 documents of their own; of equal texts the row with the largest doc_id stays, and of such rows with
@@ -28,6 +30,8 @@ from pyspark.sql import functions as F
 from starforest.llm.arrow_text import ASCII_LOWER, flat
 from starforest.runtime import cut
 
+#: Names that can be heavy at once; each has at least so great a part of the rows.
+HEAVY = 2048
 _BLOCKS = "content binary, rid array<long>, pos array<int>, blocks array<int>, doc_id array<long>, sha array<string>"
 _NAMED = "rid long, doc_id long, pos int, blocks int, sha string, name long"
 #: A task hands on what it has combined when it holds so many bytes; bounds its memory.
@@ -97,6 +101,14 @@ def name_blocks(docs: DataFrame, *, block_bytes: int = 4096) -> DataFrame:
     return blocks.repartition(F.xxhash64("content")).sortWithinPartitions("content").mapInArrow(_name_sorted, _NAMED)
 
 
+def _join_names(rows: DataFrame, names: DataFrame, keys: list[str], uses: str) -> DataFrame:
+    """``rows`` joined with ``names``, which has one row for each key and counts its ``uses`` in rows."""
+    heavy = max(2, -(-rows.count() // HEAVY))
+    large = F.broadcast(names.where(F.col(uses) >= heavy))
+    others = rows.join(F.broadcast(names.where(F.col(uses) >= heavy).select(*keys)), keys, "left_anti")
+    return rows.join(large, keys).unionByName(others.join(names.where(F.col(uses) < heavy), keys))
+
+
 def name_documents(docs: DataFrame, *, block_bytes: int = 4096) -> DataFrame:
     """``(rid, doc_id, sha, level, name)``: (level, name) is the document's identity."""
     base = cut(name_blocks(docs, block_bytes=block_bytes))
@@ -111,8 +123,8 @@ def name_documents(docs: DataFrame, *, block_bytes: int = 4096) -> DataFrame:
             F.max(F.ceil(F.col("blocks") / 2)).cast("int").alias("blocks"),
         )
         pairs = cut(pairs)
-        named = pairs.groupBy("l", "r").agg(F.count("*").alias("uses")).sortWithinPartitions("l", "r").select("l", "r", F.monotonically_increasing_id().alias("name"))
-        cur = cut(pairs.join(named, ["l", "r"]).select("rid", "pos", "blocks", "name"))
+        named = cut(pairs.groupBy("l", "r").agg(F.count("*").alias("uses")).sortWithinPartitions("l", "r").withColumn("name", F.monotonically_increasing_id()))
+        cur = cut(_join_names(pairs, named, ["l", "r"], "uses").select("rid", "pos", "blocks", "name"))
         done = done.union(cur.where("blocks = 1").select("rid", F.lit(level).alias("level"), "name"))
         cur = cur.where("blocks > 1")
     return base.where("pos = 0").select("rid", "doc_id", "sha").join(done, "rid")
@@ -120,15 +132,18 @@ def name_documents(docs: DataFrame, *, block_bytes: int = 4096) -> DataFrame:
 
 def exact_copies(docs: DataFrame, *, block_bytes: int = 4096) -> DataFrame:
     """One row for each document: doc_id, keep_id, group_size, kept, text_sha256."""
-    named = name_documents(docs, block_bytes=block_bytes)
-    groups = named.groupBy("level", "name").agg(F.max("doc_id").alias("keep_id"), F.max(F.struct(F.col("doc_id"), F.col("rid"))).alias("last"), F.count("*").alias("group_size"))
-    return named.join(groups, ["level", "name"]).select("doc_id", "keep_id", "group_size", (F.col("rid") == F.col("last.rid")).alias("kept"), F.col("sha").alias("text_sha256"))
+    named = cut(name_documents(docs, block_bytes=block_bytes))
+    groups = cut(named.groupBy("level", "name").agg(F.max("doc_id").alias("keep_id"), F.max(F.struct(F.col("doc_id"), F.col("rid"))).alias("last"), F.count("*").alias("group_size")))
+    return _join_names(named, groups, ["level", "name"], "group_size").select("doc_id", "keep_id", "group_size", (F.col("rid") == F.col("last.rid")).alias("kept"), F.col("sha").alias("text_sha256"))
 
 
 def drop_exact_copies(docs: DataFrame, *, block_bytes: int = 4096) -> DataFrame:
     """The rows of ``docs`` that stay, with all their columns."""
-    stay = exact_copies(docs, block_bytes=block_bytes).where("kept").select(F.col("doc_id").alias("_id"), F.col("text_sha256").alias("_sha"))
+    stay = exact_copies(docs, block_bytes=block_bytes).where("kept").select(F.col("doc_id").alias("id"), F.col("text_sha256").alias("sha"))
     upper, lower = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-    marked = docs.withColumns({"_id": F.col("doc_id").cast("long"), "_sha": F.sha2(F.translate(F.coalesce(F.col("text"), F.lit("")), upper, lower), 256)})
-    same = (F.col("l._id").eqNullSafe(F.col("r._id"))) & (F.col("l._sha") == F.col("r._sha"))
-    return marked.alias("l").join(stay.alias("r"), same, "left_semi").dropDuplicates(["_id", "_sha"]).drop("_id", "_sha")
+    # The rows travel as one struct, so that no column of theirs can clash with the keys.
+    own = F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row")
+    marked = docs.select(own, F.col("doc_id").cast("long").alias("id"), F.sha2(F.translate(F.coalesce(F.col("text").cast("string"), F.lit("")), upper, lower), 256).alias("sha"))
+    same = F.col("l.id").eqNullSafe(F.col("r.id")) & (F.col("l.sha") == F.col("r.sha"))
+    once = marked.alias("l").join(stay.alias("r"), same, "left_semi").groupBy("id", "sha").agg(F.first("row").alias("row"))
+    return once.select(*[F.col("row").getField(c).alias(c) for c in docs.columns])

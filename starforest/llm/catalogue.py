@@ -83,7 +83,7 @@ ORACLE_SQL: dict[str, str] = {
     "op7_source_mix": r"""
         WITH RECURSIVE d AS MATERIALIZED (
             SELECT row_number() OVER () AS rid, doc_id, source, CAST(len(regexp_extract_all(coalesce(text, ''), '[^\x20\x09-\x0D]+')) AS BIGINT) AS size,
-                   md5('mix:' || coalesce(CAST(doc_id AS VARCHAR), '')) AS place FROM documents),
+                   md5('mix:' || coalesce(CAST(doc_id AS VARCHAR), '-' || sha256(coalesce(text, '')))) AS place FROM documents),
         s0 AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size, row_number() OVER (ORDER BY source NULLS LAST) - 1 AS idx FROM d GROUP BY source),
         s1 AS (SELECT *, idx % 3 + 1 AS w, source_size * 3 / (idx % 3 + 1) AS bind FROM s0),
         s2 AS (SELECT *, CAST(sum(source_size) OVER () - 3 * coalesce(sum(source_size) OVER (ORDER BY bind, idx ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS DOUBLE) AS remaining,
@@ -98,7 +98,7 @@ ORACLE_SQL: dict[str, str] = {
         g AS MATERIALIZED (SELECT n, m, (SELECT first(x ORDER BY k) FROM (SELECT 2 * r AS k, a - r AS x FROM range(0, 1000) t(r) UNION ALL SELECT 2 * r + 1, a + r FROM range(0, 1000) t(r)) WHERE x > 0 AND gcd(x, n) = 1) AS g FROM n),
         slot AS (SELECT r AS slot, (r * g) % n AS point FROM g, range(0, (SELECT coalesce(max(hi), 0) FROM s6)) t(r)),
         ranked AS (SELECT s6.idx, s6.blocks, row_number() OVER (PARTITION BY s6.idx ORDER BY slot) - 1 AS rk FROM slot JOIN s6 ON point >= hi - slots AND point < hi),
-        uses AS MATERIALIZED (SELECT idx, (rk % blocks + (rk // blocks) * 7919) % blocks AS block, count(*) AS uses FROM ranked GROUP BY 1, 2),
+        uses AS MATERIALIZED (SELECT idx, ((rk % blocks) * ((CASE WHEN blocks % 2147483647 <> 0 THEN 2147483647 WHEN blocks % 1000000007 <> 0 THEN 1000000007 ELSE 998244353 END) % blocks) % blocks + (rk // blocks) * 7919) % blocks AS block, count(*) AS uses FROM ranked GROUP BY 1, 2),
         p AS (SELECT d.rid, d.size, s6.idx, s6.source_size, s6.blocks, s6.source_size // s6.blocks AS q, s6.source_size % s6.blocks AS lng,
                      CAST(coalesce(sum(d.size) OVER (PARTITION BY s6.idx ORDER BY d.place, d.rid ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS BIGINT) AS a
               FROM d JOIN s6 ON d.source IS NOT DISTINCT FROM s6.source WHERE d.size > 0),

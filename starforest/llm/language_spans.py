@@ -5,9 +5,9 @@ log-probabilities of hashed character n-grams; Viterbi over the words with one p
 labels each word. Runs of equal labels are the spans; the language that covers most letters is the
 document's, and its share of the letters is the score.
 
-The model is fitted on a sample of labelled rows that is bounded per language (``per_lang``, taken in the
-order of a hash of the text, a documented bound) and has a fixed size. Prediction is one pass over the texts, vectorised over the
-distinct words of a batch and, for Viterbi, over its documents.
+The model is fitted on a sample of labelled texts that is bounded per language (``per_lang`` different texts, taken in the
+order of a hash of the text, a documented bound that no layout of the input changes); more than ``MAX_LANGS`` languages are an
+error. Prediction is one pass over the texts, vectorised over the distinct words of a batch and, for Viterbi, over its documents.
 
 Edge cases: a text that is null or has no letter is ``und`` with score 0; without any labelled row every
 text is ``und``; ties go to the language that sorts first; repeated rows are predicted alike; an empty
@@ -32,8 +32,8 @@ from starforest.llm.byte_bpe import slices
 _STARTS = np.array([0, 0x41, 0x5B, 0x61, 0x7B, 0xAA, 0xAB, 0xB5, 0xB6, 0xBA, 0xBB, 0xC0, 0x250, 0x370, 0x400, 0x530, 0x590, 0x600, 0x700, 0x900, 0x980, 0xA00, 0xE00, 0xE80, 0x10A0, 0x1100, 0x1200, 0x1E00, 0x1F00, 0x2000, 0x3040, 0x30A0, 0x3100, 0x3400, 0xA000, 0xAC00, 0xD7B0, 0xF900, 0xFB00, 0x20000])
 _SCRIPTS = np.array([0, 1, 0, 1, 0, 1, 0, 1, 0, 1, 0, 1, 1, 2, 3, 4, 5, 6, 7, 8, 9, 10, 11, 12, 13, 14, 15, 1, 2, 0, 16, 16, 0, 17, 18, 14, 0, 17, 19, 17])
 N_SCRIPTS = 20
-#: Languages that a model can have: bounds what is broadcast while it is fitted.
-MAX_LANGS = 10_000
+#: Languages that a model can have: with 2**bits weights each, this bounds what the driver gathers and tasks are sent (256 MB).
+MAX_LANGS = 512
 
 
 class LanguageModel(NamedTuple):
@@ -89,15 +89,17 @@ def _ngrams(words: pa.Array, bits: int, sizes: tuple[int, ...]) -> tuple[np.ndar
 
 def fit_language_model(labelled: DataFrame, *, per_lang: int = 600, bits: int = 17, sizes: tuple[int, ...] = (1, 2, 3, 4), floor: float = 0.5) -> LanguageModel:
     """Fits on ``labelled(text, lang)``: about ``per_lang`` rows of each language at most, by the order of a hash."""
-    rows = labelled.where("lang is not null and text is not null").select("lang", "text").withColumn("_h", F.xxhash64("text", F.monotonically_increasing_id()))
-    # A threshold on the hash first, at twice the rows wanted: no language is ever sorted whole.
-    share = rows.groupBy("lang").agg((2.0 * per_lang / F.count("*")).alias("_share")).limit(MAX_LANGS + 1).collect()
+    rows = labelled.where("lang is not null and text is not null").select("lang", "text").withColumn("_h", F.xxhash64("text"))
+    # A threshold on the hash first, at twice the different texts wanted: no language is ever sorted whole.
+    share = rows.groupBy("lang").agg((2.0 * per_lang / F.greatest(F.approx_count_distinct("_h"), F.lit(1))).alias("_share")).limit(MAX_LANGS + 1).collect()
     if len(share) > MAX_LANGS:
         raise ValueError(f"more than {MAX_LANGS} languages")
     # One number for each language: broadcast, or the join would shuffle every text by its language.
-    shares = labelled.sparkSession.createDataFrame([tuple(r) for r in share], "lang string, _share double")
+    shares = labelled.sparkSession.createDataFrame(pa.table({"lang": pa.array([r[0] for r in share], pa.string()), "_share": pa.array([r[1] for r in share], pa.float64())}))
     near = rows.join(F.broadcast(shares), "lang").where(F.shiftrightunsigned("_h", 11) < F.col("_share") * float(1 << 53))
-    table = near.withColumn("_k", F.row_number().over(Window.partitionBy("lang").orderBy("_h"))).where(F.col("_k") <= per_lang).select("lang", F.lower("text").alias("text"))
+    # Of equal texts one: they all have one hash, and a group of copies would fill the sample.
+    once = near.groupBy("lang", "_h").agg(F.min("text").alias("text"))
+    table = once.withColumn("_k", F.row_number().over(Window.partitionBy("lang").orderBy("_h"))).where(F.col("_k") <= per_lang).select("lang", F.lower("text").alias("text"))
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
@@ -168,33 +170,47 @@ def _labels(texts: pa.Array, model: LanguageModel, penalty: float) -> tuple[np.n
     return viterbi(scores[use], sizes, penalty), letters[use], sizes
 
 
-def predict_language(docs: DataFrame, model: LanguageModel, *, penalty: float = 6.0, keep: tuple[str, ...] = ()) -> DataFrame:
-    """``(doc_id, *keep, lang_pred, score)`` of every whole text."""
+def judge(texts: pa.Array, model: LanguageModel, penalty: float) -> tuple[np.ndarray, np.ndarray]:
+    """The language that covers most letters (the number of languages: none), and its share of them."""
+    n, k = len(texts), len(model.langs)
+    best, score = np.full(n, k), np.zeros(n)
+    if k:
+        label, letters, sizes = _labels(texts, model, penalty)
+        owner = np.repeat(np.arange(n), sizes)
+        mass = np.bincount(owner * k + label, letters, n * k).reshape(n, k)
+        has = mass.sum(1) > 0
+        best[has], score[has] = mass[has].argmax(1), mass[has].max(1) / mass[has].sum(1)
+    return best, score
+
+
+def predict_language(docs: DataFrame, model: LanguageModel, *, penalty: float = 6.0) -> DataFrame:
+    """``(doc_id, lang_pred, score)`` of every whole text."""
     langs = np.array([*model.langs, "und"], object)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
-            n, k = batch.num_rows, len(model.langs)
-            best, score = np.full(n, k), np.zeros(n)
-            if k:
-                label, letters, sizes = _labels(batch.column(1), model, penalty)
-                owner = np.repeat(np.arange(n), sizes)
-                mass = np.bincount(owner * k + label, letters, n * k).reshape(n, k)
-                has = mass.sum(1) > 0
-                best[has], score[has] = mass[has].argmax(1), mass[has].max(1) / mass[has].sum(1)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *batch.columns[2:], pa.array(langs[best], pa.string()), pa.array(score)], names=["doc_id", *batch.schema.names[2:], "lang_pred", "score"])
+            best, score = judge(batch.column(1), model, penalty)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(langs[best], pa.string()), pa.array(score)], names=["doc_id", "lang_pred", "score"])
 
-    rows = docs.select(F.col("doc_id").cast("long").alias("_doc"), F.col("text").cast("string").alias("_text"), *keep)
-    kinds = "".join(f", `{c}` {docs.schema[c].dataType.simpleString()}" for c in keep)
-    return rows.mapInArrow(run, f"doc_id long{kinds}, lang_pred string, score double")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return rows.mapInArrow(run, "doc_id long, lang_pred string, score double")
 
 
 def drop_unsure(docs: DataFrame, model: LanguageModel, *, least: float = 0.5, penalty: float = 6.0) -> DataFrame:
     """The rows of ``docs`` with a language that covers at least ``least`` of their letters."""
-    # Columns travel under names of their own, so that none of theirs can clash with the prediction's.
-    own = {f"_c{i}": F.col(f"`{c}`") for i, c in enumerate(docs.columns)}
-    judged = predict_language(docs.withColumns(own), model, penalty=penalty, keep=tuple(own))
-    return judged.where((F.col("lang_pred") != "und") & (F.col("score") >= least)).select(*[F.col(k).alias(c) for k, c in zip(own, docs.columns, strict=True)])
+    # Columns travel once, under names of their own; a text that is no string travels as one beside them.
+    own = [F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(docs.columns)]
+    at = docs.columns.index("text")
+    if docs.schema["text"].dataType.simpleString() != "string":
+        own, at = [*own, F.col("text").cast("string").alias("c")], len(own)
+    rows = docs.select(*own)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches, text=at):
+            best, score = judge(batch.column(at), model, penalty)
+            yield batch.filter(pa.array((best < len(model.langs)) & (score >= least)))
+
+    return rows.mapInArrow(run, rows.schema).select(*[F.col(f"c{i}").alias(c) for i, c in enumerate(docs.columns)])
 
 
 def language_spans(docs: DataFrame, model: LanguageModel, *, penalty: float = 6.0) -> DataFrame:

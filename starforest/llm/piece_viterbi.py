@@ -1,7 +1,7 @@
 """SentencePiece encoding and decoding by shared-prefix Viterbi.
 
 A text is marked (spaces become U+2581, one is put in front) and falls apart into marked words, since no
-piece of the vocabulary has the mark after another character. The distinct words of a batch are sorted,
+piece of the vocabulary has the mark after another character (a model that has such a piece is refused). The distinct words of a batch are sorted,
 which lays them out as a trie in depth-first order: each word keeps the forward scores of the prefix it
 shares with the word before and extends them character by character. At every character the live states
 of the vocabulary's own trie are advanced, so only real pieces are tried. The best path has the largest
@@ -15,7 +15,8 @@ Scale: one pass over the texts, no shuffle; memory is bounded by a slice of text
 
 Edge cases: a null text counts as empty and has no ids; a text that holds U+2581 itself decodes to a space
 there (as in the reference format); decoding of null ids is empty; repeated rows are encoded alike; an
-empty table gives an empty result; other columns are kept if named.
+empty table gives an empty result; other columns are kept if named, whatever their names (a result column whose name is taken
+gets underscores at its end); a text of any length is cut into words first, so only its distinct words and ids are held.
 """
 
 from __future__ import annotations
@@ -26,7 +27,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from starforest.llm.byte_bpe import slices, tokenizer_path
@@ -57,6 +58,8 @@ class PieceModel:
         self.pieces, self.unk = [p for p, _ in pieces], unk
         self.bytes = {int(m[1], 16): i for i, (p, _) in enumerate(pieces) if i not in special and (m := _BYTE.match(p))}
         plain = [(i, p, s) for i, (p, s) in enumerate(pieces) if i not in special and i not in set(self.bytes.values())]
+        if any(re.search(f"[^{MARK}]{MARK}", p) for _, p, _ in plain):
+            raise ValueError("a piece has the mark after another character: texts do not fall apart into words")
         self.penalty = min((s for _, _, s in plain), default=0.0) - 10.0
         self.trie: dict = {}
         for i, p, s in plain:
@@ -167,27 +170,38 @@ def model_path(name: str = "piece_bpe_32k.model") -> str:
     return tokenizer_path(name)
 
 
-def _kinds(docs: DataFrame, keep: tuple[str, ...]) -> str:
-    return "".join(f"{c} {docs.schema[c].dataType.simpleString()}, " for c in keep)
+def _free(name: str, keep: tuple[str, ...]) -> str:
+    while name in keep:
+        name += "_"
+    return name
+
+
+def _travel(df: DataFrame, keep: tuple[str, ...]) -> tuple[list[Column], str, list[Column]]:
+    """Kept columns under names of their own, their types, and the way back."""
+    kinds = "".join(f"c{i} {df.schema[c].dataType.simpleString()}, " for i, c in enumerate(keep))
+    return [F.col(f"`{c}`").alias(f"c{i}") for i, c in enumerate(keep)], kinds, [F.col(f"c{i}").alias(c) for i, c in enumerate(keep)]
 
 
 def encode_pieces(docs: DataFrame, *, model: str | None = None, keep: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:
     """``(*keep, ids)`` of every whole text."""
     path = model or model_path()
+    there, kinds, back = _travel(docs, keep)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = PieceModel.of(path)
         for batch in slices(batches, text=len(keep)):
             flat, counts = coder.encode(batch.column(len(keep)))
             ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]), pa.int32()), pa.array(flat))
-            yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], ids], names=[*keep, "ids"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], ids], names=[*batch.schema.names[:-1], "ids"])
 
-    return docs.select(*keep, F.col(text).cast("string").alias("_text")).mapInArrow(run, f"{_kinds(docs, keep)}ids array<int>")
+    coded = docs.select(*there, F.col(f"`{text}`").cast("string").alias("text")).mapInArrow(run, f"{kinds}ids array<int>")
+    return coded.select(*back, F.col("ids").alias(_free("ids", keep)))
 
 
 def decode_pieces(encoded: DataFrame, *, model: str | None = None, keep: tuple[str, ...] = ("doc_id",), ids: str = "ids") -> DataFrame:
     """``(*keep, text)`` from ids."""
     path = model or model_path()
+    there, kinds, back = _travel(encoded, keep)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = PieceModel.of(path)
@@ -197,9 +211,10 @@ def decode_pieces(encoded: DataFrame, *, model: str | None = None, keep: tuple[s
                 lists = some.column(len(keep))
                 counts = np.asarray(pc.fill_null(pc.list_value_length(lists), 0), np.int64)
                 texts = coder.decode(np.asarray(lists.flatten(), np.int64), counts)
-                yield pa.RecordBatch.from_arrays([*some.columns[: len(keep)], pa.array(texts, pa.string())], names=[*keep, "text"])
+                yield pa.RecordBatch.from_arrays([*some.columns[: len(keep)], pa.array(texts, pa.string())], names=[*some.schema.names[:-1], "text"])
 
-    return encoded.select(*keep, ids).mapInArrow(run, f"{_kinds(encoded, keep)}text string")
+    decoded = encoded.select(*there, F.col(f"`{ids}`").alias("ids")).mapInArrow(run, f"{kinds}text string")
+    return decoded.select(*back, F.col("text").alias(_free("text", keep)))
 
 
 def piece_digests(docs: DataFrame, *, model: str | None = None) -> DataFrame:

@@ -5,8 +5,9 @@ equal size (to within a word). The schedule has one slot for each block to be ta
 ``n`` lies at the golden-ratio lattice point ``(i * g mod n) / n``, where g is the odd step nearest
 to ``n / 1.618...`` that is prime to n, and the cumulative shares of the sources map that point to a source. The
 lattice visits every point once, so each source gets exactly its number of slots, evenly spread. The
-rank of a slot among its source's slots names the block: ranks run through all blocks in a shuffled
-order, then again.
+rank of a slot among its source's slots names the block: in each epoch ranks run through all blocks once, in an order
+that a step prime to their number shuffles and that begins elsewhere in every epoch. :func:`scheduled_spans` joins slots and
+blocks: the mixed corpus, as spans of words in the order of the schedule.
 
 Scale: only ids, sizes and hashes are shuffled, never texts. Prefix sums over a source's stream and
 over its slots are taken in two levels (bins of the hash, chunks of slots), so a source that holds a
@@ -26,11 +27,15 @@ from pyspark.sql import functions as F
 
 from starforest.runtime import cut
 
+#: Primes one of which at least is no factor of a number below 2**62.
+STEPS = (2_147_483_647, 1_000_000_007, 998_244_353)
 #: Blocks that a source has at least (if it has as many words): bounds the rounding of its target.
 LEAST_BLOCKS = 2048
 _GOLDEN = 0.6180339887498949
 _CHUNK = 1 << 16
 _BIN = 1 << 12
+#: Hexadecimal digits of a place that make a bin: 2**20 bins of a source at most, however many rows it has.
+_DIGITS = 5
 
 
 def word_count(text: str):
@@ -38,8 +43,10 @@ def word_count(text: str):
 
 
 def doc_sizes(docs: DataFrame) -> DataFrame:
-    """``(rid, doc_id, source, size, place)``: place orders a source's documents."""
-    return docs.select(F.monotonically_increasing_id().alias("rid"), F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count("text").alias("size")).withColumn("place", F.md5(F.concat(F.lit("mix:"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))))
+    """``(rid, doc_id, source, size, place)``: place orders a source's documents; those without a doc_id by their text."""
+    doc_id, text = F.col("doc_id").cast("long"), F.coalesce(F.col("text").cast("string"), F.lit(""))
+    place = F.md5(F.concat(F.lit("mix:"), F.coalesce(doc_id.cast("string"), F.concat(F.lit("-"), F.sha2(text, 256)))))
+    return docs.select(F.monotonically_increasing_id().alias("rid"), doc_id.alias("doc_id"), F.col("source").cast("string").alias("source"), word_count("text").alias("size"), place.alias("place"))
 
 
 def source_targets(sizes: DataFrame, *, weights: tuple[int, ...] = (1, 2, 3), most: int = 3) -> DataFrame:
@@ -87,15 +94,16 @@ def schedule(targets: DataFrame) -> DataFrame:
     before = Window.partitionBy("idx").orderBy("chunk").rowsBetween(Window.unboundedPreceding, -1)
     offsets = placed.groupBy("idx", "chunk").agg(F.count("*").alias("n")).select("idx", "chunk", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"))
     ranked = placed.join(offsets, ["idx", "chunk"]).withColumn("rank", F.col("offset") + F.row_number().over(Window.partitionBy("idx", "chunk").orderBy("slot")) - 1)
-    # Within an epoch the blocks come in an order that an odd multiplier shuffles where it is prime to their number.
-    epoch = F.expr("rank div blocks")
-    return ranked.select("slot", "idx", "rank", epoch.alias("epoch"), ((F.col("rank") % F.col("blocks") + epoch * 7919) % F.col("blocks")).alias("block"))
+    # A permutation of the blocks in each epoch: a prime that does not divide their number is prime to it.
+    step = F.coalesce(*[F.when(F.col("blocks") % p != 0, p) for p in STEPS]).cast("long")
+    ranked = ranked.withColumns({"epoch": F.expr("rank div blocks"), "step": step % F.col("blocks")})
+    return ranked.select("slot", "idx", "rank", "epoch", F.expr("((rank % blocks) * step % blocks + epoch * 7919) % blocks").alias("block"))
 
 
 def doc_blocks(sizes: DataFrame, targets: DataFrame) -> DataFrame:
     """``(rid, idx, block, words)``: how many of a document's words lie in each block of its source."""
     of_source = targets.select(F.col("source").alias("_s"), "idx", "source_size", "blocks")
-    d = sizes.where("size > 0").join(of_source, F.col("source").eqNullSafe(F.col("_s"))).select("rid", "size", "place", "idx", "source_size", "blocks", F.substring("place", 1, 3).alias("bin"))
+    d = sizes.where("size > 0").join(of_source, F.col("source").eqNullSafe(F.col("_s"))).select("rid", "size", "place", "idx", "source_size", "blocks", F.substring("place", 1, _DIGITS).alias("bin"))
     before = Window.partitionBy("idx").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
     bins = d.groupBy("idx", "bin").agg(F.sum("size").alias("n")).select("idx", "bin", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"))
     within = Window.partitionBy("idx", "bin").orderBy("place", "rid").rowsBetween(Window.unboundedPreceding, -1)
@@ -106,23 +114,40 @@ def doc_blocks(sizes: DataFrame, targets: DataFrame) -> DataFrame:
     d = d.withColumns({"b": F.col("a") + F.col("size"), "j": F.explode(F.sequence(F.expr(of.format(t="a")), F.expr(of.format(t="(a + size - 1)"))))})
     start = F.when(F.col("j") < F.col("long"), F.col("j") * (F.col("q") + 1)).otherwise(F.col("edge") + (F.col("j") - F.col("long")) * F.col("q"))
     end = start + F.col("q") + F.when(F.col("j") < F.col("long"), 1).otherwise(0)
-    return d.select("rid", "idx", F.col("j").alias("block"), (F.least("b", end) - F.greatest("a", start)).alias("words"))
+    return d.select("rid", "idx", F.col("j").alias("block"), (F.greatest("a", start) - F.col("a")).alias("first_word"), (F.least("b", end) - F.greatest("a", start)).alias("words"))
 
 
-def mix_plan(docs: DataFrame, *, weights: tuple[int, ...] = (1, 2, 3), most: int = 3, block_words: int = 4096) -> DataFrame:
-    """``(rid, doc_id, source, size, source_size, target, taken)`` for each document."""
+def _planned(docs: DataFrame, weights: tuple[int, ...], most: int, block_words: int) -> tuple[DataFrame, DataFrame]:
     sizes = cut(doc_sizes(docs))
-    targets = source_targets(sizes, weights=weights, most=most)
     total = sizes.agg(F.sum("size")).first()[0] or 0
-    targets = cut(with_blocks(targets, total, block_words=block_words))
-    uses = schedule(targets).groupBy("idx", "block").agg(F.count("*").alias("uses"))
-    taken = doc_blocks(sizes, targets).join(uses, ["idx", "block"]).groupBy("rid").agg(F.sum(F.col("words") * F.col("uses")).alias("taken"))
+    return sizes, cut(with_blocks(source_targets(sizes, weights=weights, most=most), total, block_words=block_words))
+
+
+def mix_plan(docs: DataFrame, *, weights: tuple[int, ...] = (1, 2, 3), most: int = 3, block_words: int = 4096) -> DataFrame:
+    """``(rid, doc_id, source, size, source_size, target, taken, first_slot)`` for each document."""
+    sizes, targets = _planned(docs, weights, most, block_words)
+    uses = schedule(targets).groupBy("idx", "block").agg(F.count("*").alias("uses"), F.min("slot").alias("slot"))
+    taken = doc_blocks(sizes, targets).join(uses, ["idx", "block"]).groupBy("rid").agg(F.sum(F.col("words") * F.col("uses")).alias("taken"), F.min("slot").alias("first_slot"))
     own = sizes.join(targets.select(F.col("source").alias("_s"), "source_size", "target"), F.col("source").eqNullSafe(F.col("_s")))
-    return own.join(taken, "rid", "left").select("rid", "doc_id", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"))
+    return own.join(taken, "rid", "left").select("rid", "doc_id", "source", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"), "first_slot")
+
+
+def scheduled_spans(docs: DataFrame, *, weights: tuple[int, ...] = (1, 2, 3), most: int = 3, block_words: int = 4096) -> DataFrame:
+    """``(slot, place, doc_id, source, first_word, words)``: the mix itself, sorted by slot and by place within its block."""
+    sizes, targets = _planned(docs, weights, most, block_words)
+    spans = schedule(targets).select("slot", "idx", "block").join(doc_blocks(sizes, targets), ["idx", "block"])
+    return spans.join(sizes.select("rid", "place", "doc_id", "source"), "rid").select("slot", "place", "doc_id", "source", "first_word", "words").orderBy("slot", "place")
 
 
 def mixed_documents(docs: DataFrame, **parameters) -> DataFrame:
-    """The rows that the mix takes, each as often as its taken words come to whole documents, once at least."""
-    plan = mix_plan(docs, **parameters).where("taken > 0").groupBy(F.col("doc_id").alias("_id")).agg(F.max(F.greatest(F.lit(1), F.round(F.col("taken") / F.col("size")))).cast("int").alias("_times"))
-    back = docs.join(plan, F.col("doc_id").cast("long").eqNullSafe(F.col("_id")))
-    return back.withColumn("_k", F.explode(F.sequence(F.lit(1), F.col("_times")))).select(*[docs[c] for c in docs.columns])
+    """The rows that the mix takes, each as often as its taken words come to whole documents, once at least, in schedule order.
+
+    A document comes at its first slot; which copies of a repeated doc_id the mix took does not matter, all stay. Words taken and
+    words of the rows returned differ by less than half a document each way.
+    """
+    times = F.greatest(F.lit(1), F.round(F.col("taken") / F.col("size"))).cast("int")
+    plan = mix_plan(docs, **parameters).where("taken > 0").groupBy(F.col("doc_id").alias("id")).agg(F.max(times).alias("times"), F.min("first_slot").alias("slot"))
+    # The rows travel as one struct, so that no column of theirs can clash with the plan's.
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").cast("long").alias("key"))
+    back = rows.join(plan, F.col("key").eqNullSafe(F.col("id"))).withColumn("k", F.explode(F.sequence(F.lit(1), F.col("times"))))
+    return back.orderBy("slot", "k", "key").select(*[F.col("row").getField(c).alias(c) for c in docs.columns])
