@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
@@ -62,20 +64,24 @@ def word_bytes(texts: pa.Array, kept: str = r"\pL\pM") -> tuple[bytes, np.ndarra
     return data.translate(_spaced(kept)), ends
 
 
-_POWERS = np.ones(1, np.uint64)
-_ODD = np.uint64(0x9E3779B97F4A7C15)
+_ODD = 0x9E3779B97F4A7C15
 #: A 64-bit number for each byte.
 _BYTES = mix64(np.arange(1, 257))
+#: Bytes that are hashed at a time (a longer word is hashed whole).
+_PIECE = 1 << 19
+_powers_of: dict[int, np.ndarray] = {}
 
 
-def _powers(n: int) -> np.ndarray:
-    """Powers of the odd number's inverse modulo 2**64."""
-    global _POWERS
-    if len(_POWERS) < n:
-        inverse = np.full(n + n // 2, pow(int(_ODD), -1, 1 << 64), np.uint64)
-        inverse[0] = 1
-        _POWERS = np.cumprod(inverse, dtype=np.uint64)
-    return _POWERS
+def _powers(base: int, n: int) -> np.ndarray:
+    """At least ``n`` powers of a number modulo 2**64; what long words need is not kept."""
+    if n <= _PIECE and base in _powers_of:
+        return _powers_of[base]
+    steps = np.full(max(n, _PIECE), base, np.uint64)
+    steps[0] = 1
+    found = np.cumprod(steps, dtype=np.uint64)
+    if n <= _PIECE:
+        _powers_of[base] = found
+    return found
 
 
 def hash_words(texts: pa.Array, kept: str = r"\pL\pM\pN") -> tuple[np.ndarray, np.ndarray]:
@@ -91,28 +97,31 @@ def hash_words(texts: pa.Array, kept: str = r"\pL\pM\pN") -> tuple[np.ndarray, n
     edges = edges[(edges > 0) & (edges < len(raw))]
     before[edges] = after[edges - 1] = False
     first, last = np.flatnonzero(inside & ~before), np.flatnonzero(inside & ~after)
-    sizes = np.diff(np.searchsorted(first, ends))
-    if not len(first):
-        return np.zeros(0, np.uint64), sizes
-    # Sum of byte value times power of the inverse: the difference, times the power of the word's end, is its polynomial.
-    total = np.cumsum(_BYTES[raw] * _powers(len(raw))[: len(raw)], dtype=np.uint64)
-    before_word = np.where(first > 0, total[first - 1], np.uint64(0))
-    length = (last - first + 1).astype(np.uint64)
-    return mix64((total[last] - before_word) * _raised(last) ^ length), sizes.astype(np.int64)
-
-
-_RAISED = np.ones(1, np.uint64)
-
-
-def _raised(at: np.ndarray) -> np.ndarray:
-    """Powers of the odd number at ascending places."""
-    global _RAISED
-    n = int(at[-1]) + 1
-    if len(_RAISED) < n:
-        base = np.full(n + n // 2, _ODD, np.uint64)
-        base[0] = 1
-        _RAISED = np.cumprod(base, dtype=np.uint64)
-    return _RAISED[at]
+    return hash_runs(raw, first, last), np.diff(np.searchsorted(first, ends)).astype(np.int64)
+
+
+def hash_runs(raw: np.ndarray, first: np.ndarray, last: np.ndarray) -> np.ndarray:
+    """A 64-bit hash of the bytes from each ``first`` to ``last`` (ascending, apart)."""
+    out, at = np.empty(len(first), np.uint64), 0
+    while at < len(first):
+        lo = first[at]
+        to = max(at + 1, int(np.searchsorted(last, lo + _PIECE)))
+        n = int(last[to - 1] - lo) + 1
+        # Sum of byte value times power of the inverse: a difference, times the power of the word's end, is its polynomial.
+        total = np.concatenate([np.zeros(1, np.uint64), np.cumsum(_BYTES[raw[lo : lo + n]] * _powers(pow(_ODD, -1, 1 << 64), n)[:n], dtype=np.uint64)])
+        a, z = first[at:to] - lo, last[at:to] - lo
+        out[at:to] = mix64((total[z + 1] - total[a]) * _powers(_ODD, n)[z] ^ (z - a + 1).astype(np.uint64))
+        at = to
+    return out
+
+
+def hand_back() -> None:
+    """Gives memory that a task no longer uses back to the machine: workers live on between tasks."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # no such allocator here
+        pass
 
 
 def split_words(texts: pa.Array, kept: str = r"\pL\pM") -> tuple[pa.Array, np.ndarray]:

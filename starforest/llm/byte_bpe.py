@@ -4,7 +4,8 @@ The tokenizer splits a text into words by a pattern and encodes each word by its
 encode its distinct words. Texts of Latin letters without runs of white space or contractions are split into
 words right away. Others are cut before spaces only: no word of the pattern joins a character to a space
 that follows it, so that cut is safe unless the space stands between two white-space characters (or
-between one and the end). Texts with such a space go through the library whole. A worker remembers the last words.
+between one and the end). Texts with such a space go through the library whole. Where all that is not ASCII are letters, words
+are found on the bytes and known by their hashes, so that only new ones become strings. A worker remembers the last words.
 """
 
 from __future__ import annotations
@@ -15,6 +16,8 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
+from starforest.llm.arrow_text import flat, hand_back, hash_runs, mix64
+
 _SPACE = r"\s\x0B\x{85}\pZ"
 #: A space among white space, or at the end after it, forbids the cut.
 _WHOLE = rf"[{_SPACE}] ([{_SPACE}]|\z)"
@@ -23,7 +26,9 @@ _RARE = rf"[{_SPACE}]{{2}}|'(?:[stmd]|re|ve|ll)|[^\x00-\x{{24F}}\x{{2010}}-\x{{2
 _WORDS = rf"( ?\pL+| ?\pN+| ?[^{_SPACE}\pL\pN]+|[{_SPACE}])"
 #: Ends words while they are split; texts that hold it themselves are cut before spaces instead.
 _END = "\x00"
-_SLICE_BYTES = 4 << 20
+#: Classes of bytes: space, other white space, letters (and bytes of longer characters), digits, the rest.
+_CLASS = np.array([0 if b == 32 else 1 if 9 <= b <= 13 else 2 if b >= 128 or chr(b).isalpha() else 3 if chr(b).isdigit() else 4 for b in range(256)], np.uint8)
+_SLICE_BYTES = 2 << 20
 _KEEP = 300_000
 
 
@@ -43,6 +48,56 @@ def tokenizer_path(name: str = "byte_bpe_50k.json") -> str:
     return public_tokenizers.path(name)
 
 
+class WordStore:
+    """Ids of the words used last, by hash."""
+
+    def __init__(self, most: int = _KEEP) -> None:
+        self.most, self.now = most, 0
+        self.names, self.checks = np.zeros(0, np.uint64), np.zeros(0, np.uint64)
+        self.starts, self.sizes, self.used = (np.zeros(0, np.int64) for _ in range(3))
+        self.pool = np.zeros(0, np.int32)
+
+    def places(self, names: np.ndarray, checks: np.ndarray) -> np.ndarray | None:
+        """Where each word is, -1 if it is not known; None if another word has its hash."""
+        if not len(self.names):
+            return np.full(len(names), -1)
+        at = np.minimum(np.searchsorted(self.names, names), len(self.names) - 1)
+        known = self.names[at] == names
+        if not (self.checks[at[known]] == checks[known]).all():
+            return None
+        self.used[at[known]] = self.now
+        return np.where(known, at, -1)
+
+    def add(self, names: np.ndarray, checks: np.ndarray, ids: list[int], sizes: list[int]) -> None:
+        keep = np.arange(len(self.names))
+        if len(keep) + len(names) > self.most:  # the words of this batch stay, and of the others those used last
+            order = np.argsort(-self.used, kind="stable")
+            keep = np.sort(order[: max(self.most // 2, int((self.used == self.now).sum()))])
+        length = self.sizes[keep]
+        to = np.cumsum(length)
+        old = self.pool[np.repeat(self.starts[keep] - (to - length), length) + np.arange(to[-1] if len(to) else 0)]
+        size = np.concatenate([length, np.array(sizes, np.int64)])
+        self.pool = np.concatenate([old, np.array(ids, np.int32)])
+        every = np.concatenate([self.names[keep], names])
+        order = np.argsort(every)
+        self.names, self.checks = every[order], np.concatenate([self.checks[keep], checks])[order]
+        self.starts, self.sizes = (np.cumsum(size) - size)[order], size[order]
+        self.used = np.concatenate([self.used[keep], np.full(len(names), self.now)])[order]
+        self.now += 1
+
+
+def _outer_bytes(data: bytes, first: np.ndarray, last: np.ndarray) -> np.ndarray:
+    """A second hash of each run, of its first and last eight bytes and its length: words up to sixteen bytes are told apart by them."""
+    # Every window of eight bytes as one number; zeros around the data.
+    padded = np.frombuffer(bytes(8) + data + bytes(8), np.uint8)
+    windows = np.lib.stride_tricks.as_strided(padded, (len(padded) - 7, 8), (1, 1))
+    size = last - first + 1
+    spare = (np.maximum(8 - size, 0) * 8).astype(np.uint64)
+    head = windows[first + 8].view("<u8").ravel() << spare
+    tail = windows[last + 1].view("<u8").ravel() >> spare
+    return mix64(mix64(head) + tail * np.uint64(3)) ^ size.astype(np.uint64)
+
+
 class WordEncoder:
     """Encodes Arrow string arrays; one per worker and file."""
 
@@ -64,14 +119,20 @@ class WordEncoder:
         self.tokenizer.encode_special_tokens = True  # their strings are ordinary text
         self.known: dict[str, int] = {}
         self.pool, self.starts = np.zeros(0, np.int32), np.zeros(1, np.int64)
+        self.store = WordStore()
 
-    def _learn(self, new: list[str]) -> None:
-        """Encodes words and appends their ids to the pool."""
+    def _tokenize(self, words: list[str]) -> tuple[list[int], list[int]]:
+        """Flat ids, and how many each word has."""
         tokenize, ids, sizes = self.tokenizer.model.tokenize, [], []
-        for w in new:
+        for w in words:
             got = tokenize((w if w.isascii() and w[:1] != " " else w.encode().decode("latin-1")).translate(_LETTERS))
             ids += [t.id for t in got]
             sizes.append(len(got))
+        return ids, sizes
+
+    def _learn(self, new: list[str]) -> None:
+        """Encodes words and appends their ids to the pool."""
+        ids, sizes = self._tokenize(new)
         self.known.update(zip(new, range(len(self.known), len(self.known) + len(new)), strict=True))
         self.starts = np.concatenate([self.starts, self.starts[-1] + np.cumsum(sizes, dtype=np.int64)])
         self.pool = np.concatenate([self.pool, np.array(ids, np.int32)])
@@ -111,6 +172,34 @@ class WordEncoder:
         flat = pool[np.repeat(ends[use] - to, length) + np.arange(to[-1] if len(to) else 0)]
         return flat, np.diff(to[np.cumsum(sizes) - 1], prepend=0)
 
+    def _by_bytes(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+        data, ends = flat(texts)
+        raw = np.frombuffer(data, np.uint8)
+        kind = _CLASS[raw]
+        before = np.concatenate([np.ones(1, np.uint8), kind[:-1]]) if len(raw) else kind
+        before[ends[:-1][ends[:-1] < len(raw)]] = 1
+        # A word begins at white space, and where the class changes unless a space begins it.
+        first = np.flatnonzero((kind <= 1) | ((kind != before) & (before != 0)))
+        if not len(first):
+            return np.zeros(0, np.int32), np.zeros(len(texts), np.int64)
+        last = np.append(first[1:], len(raw)) - 1
+        name, check = hash_runs(raw, first, last), _outer_bytes(data, first, last)
+        names, one, use = np.unique(name, return_index=True, return_inverse=True)
+        if not (check[one][use] == check).all():  # two words of one hash
+            return self._by_words(texts)
+        at = self.store.places(names, check[one])
+        if at is None:
+            return self._by_words(texts)
+        new = np.flatnonzero(at < 0)
+        if len(new):
+            words = [data[a : b + 1].decode() for a, b in zip(first[one[new]].tolist(), last[one[new]].tolist(), strict=True)]
+            self.store.add(names[new], check[one[new]], *self._tokenize(words))
+            at = self.store.places(names, check[one])
+        start, length = self.store.starts[at][use], self.store.sizes[at][use]
+        to = np.cumsum(length)
+        ids = self.store.pool[np.repeat(start - (to - length), length) + np.arange(to[-1])]
+        return ids, np.diff(np.concatenate([[0], to])[np.searchsorted(first, ends)])
+
     def _by_words(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         parts, use, sizes = self._parts(texts)
         # Parts that are a word as they stand need no splitting.
@@ -142,7 +231,9 @@ class WordEncoder:
         rare = pc.or_(pc.match_substring_regex(texts, _RARE), pc.match_substring(texts, _END)).to_numpy(zero_copy_only=False)
         whole = np.zeros(n, bool)
         whole[rare] = pc.match_substring_regex(texts.filter(pa.array(rare)), _WHOLE).to_numpy(zero_copy_only=False)
-        ways = [(np.flatnonzero(~rare), self._by_words), (np.flatnonzero(rare & ~whole), self._by_spaces), (np.flatnonzero(whole), self._by_library)]
+        # Not ASCII and no letter: bytes do not tell where words end.
+        other = pc.match_substring_regex(texts, r"[^\x00-\x7F\pL]").to_numpy(zero_copy_only=False) & ~rare
+        ways = [(np.flatnonzero(~rare & ~other), self._by_bytes), (np.flatnonzero(other), self._by_words), (np.flatnonzero(rare & ~whole), self._by_spaces), (np.flatnonzero(whole), self._by_library)]
         counts = np.zeros(n, np.int64)
         done = [(rows, *way(texts.take(pa.array(rows)))) for rows, way in ways if len(rows)]
         for rows, _, sizes in done:
@@ -164,3 +255,4 @@ def slices(batches: Iterator[pa.RecordBatch], text: int = 1, most: int = _SLICE_
             to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + most, "right")))
             yield batch.slice(at, to - at)
             at = to
+    hand_back()

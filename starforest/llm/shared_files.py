@@ -30,6 +30,11 @@ def read_range(uri: str, at: int, size: int) -> bytes:
         return f.read(size)
 
 
+def size_of(uri: str) -> int:
+    fs, path = open_store(uri)
+    return fs.get_file_info(path).size
+
+
 def read_whole(uri: str) -> bytes:
     fs, path = open_store(uri)
     with fs.open_input_file(path) as f:

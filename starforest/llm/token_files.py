@@ -9,7 +9,8 @@ can be decoded alone and checked.
 Layout: magic, blocks (lane states as u64, then u32 words), zlib-packed footer, its length as u64, magic.
 
 Scale: texts are shuffled once, by ranges of doc_id; a task writes files of at most about ``FILE_IDS`` ids
-and holds one at a time. Reading back is one task for each file. Writes are atomic and repeatable.
+and holds one at a time. Reading back is a unit of ``UNIT_IDS`` ids: it fetches the footer and the byte range of the blocks that
+its documents (those that begin in it) touch, and decodes only these. Writes are atomic and repeatable.
 
 Edge cases: a null text counts as empty (its ids are the end id alone); a null doc_id sorts first; rows
 with a repeated doc_id are documents of their own, ordered by a hash of the text; an empty table writes
@@ -19,7 +20,7 @@ no file and reads as no row; other columns are ignored.
 from __future__ import annotations
 
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from typing import NamedTuple
 
 import numpy as np
@@ -29,10 +30,10 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from starforest.llm.byte_bpe import WordEncoder, slices, tokenizer_path
-from starforest.llm.shared_files import read_whole, write_whole
+from starforest.llm.shared_files import read_range, size_of, write_whole
 
 MAGIC = b"SFRANS01"
-SCALE, LANES, BLOCK, FILE_IDS = 20, 1024, 1 << 18, 4 << 20
+SCALE, LANES, BLOCK, FILE_IDS, UNIT_IDS = 20, 1024, 1 << 18, 4 << 20, 1 << 20
 _LOW = np.uint64(1 << 31)
 _WORD, _MASK = np.uint64(32), np.uint64((1 << SCALE) - 1)
 
@@ -118,43 +119,57 @@ def pack(ids: np.ndarray, doc_ids: list, sizes: np.ndarray) -> bytes:
 
 
 class TokenFile:
-    """A file's footer, and its blocks on demand."""
+    """A file's footer, and its blocks on demand. ``fetch(at, size)`` reads bytes of the file, which has ``total``."""
 
-    def __init__(self, data: bytes) -> None:
-        if data[:8] != MAGIC or data[-8:] != MAGIC:
+    def __init__(self, fetch: Callable[[int, int], bytes], total: int) -> None:
+        end = fetch(max(0, total - 16), 16)
+        if total < 24 or fetch(0, 8) != MAGIC or end[8:] != MAGIC:
             raise ValueError("not a token-id file, or not a whole one")
-        size = int(np.frombuffer(data, "<u8", 1, len(data) - 16)[0])
-        raw = zlib.decompress(data[len(data) - 16 - size : len(data) - 16])
+        size = int(np.frombuffer(end, "<u8", 1)[0])
+        raw = zlib.decompress(fetch(total - 16 - size, size))
         lens, at, got = np.frombuffer(raw, "<u8", 6).astype(int), 48, []
         for n, kind in zip(lens, ("<u4", "<u4", ("<u8", 3), "<i8", "u1", "<i8"), strict=True):
             kind, wide = kind if isinstance(kind, tuple) else (kind, 1)
             got.append(np.frombuffer(raw, kind, n * wide, at))
             at += n * wide * np.dtype(kind).itemsize
-        self.data, self.points, self.sizes = data, got[2].reshape(-1, 3).astype(np.int64), got[5]
+        self.fetch, self.points, self.sizes = fetch, got[2].reshape(-1, 3).astype(np.int64), got[5]
         self.table = Table.of(got[0], got[1])
         self.doc_ids = [None if z else int(d) for d, z in zip(got[3], got[4], strict=True)]
         self.slots = np.repeat(np.arange(len(self.table.ids), dtype=np.int32), self.table.freq.astype(np.int64))
-        self.ends = [*self.points[1:, 0], len(data) - 16 - size]
-
-    def block(self, k: int) -> np.ndarray:
-        at, n, crc = (int(v) for v in self.points[k])
-        ids = self.table.ids[decode_block(self.data[at : self.ends[k]], n, self.table, self.slots)]
-        if zlib.crc32(ids.astype("<u4").tobytes()) != crc:
-            raise ValueError(f"block {k} fails its checksum")
-        return ids
-
-    def documents(self) -> Iterator[tuple[int | None, int, np.ndarray]]:
-        """(doc_id, first id's place in the file, ids) of each document, a block in memory at a time."""
-        held, k, place = np.zeros(0, np.uint32), 0, 0
-        for doc, n in zip(self.doc_ids, self.sizes.tolist(), strict=True):
-            more = [held]
-            have = len(held)
-            while have < n:
-                more.append(self.block(k))
-                have, k = have + len(more[-1]), k + 1
-            held = np.concatenate(more) if len(more) > 1 else held
-            yield doc, place, held[:n]
-            held, place = held[n:], place + n
+        self.ends = [*self.points[1:, 0], total - 16 - size]
+
+    @classmethod
+    def of(cls, data: bytes) -> TokenFile:
+        return cls(lambda at, size: data[at : at + size], len(data))
+
+    @classmethod
+    def open(cls, uri: str) -> TokenFile:
+        return cls(lambda at, size: read_range(uri, at, size), size_of(uri))
+
+    def blocks(self, lo: int, hi: int) -> np.ndarray:
+        """Ids of the blocks from ``lo`` on, before ``hi``: one byte range."""
+        base = int(self.points[lo, 0])
+        data, out = self.fetch(base, int(self.ends[hi - 1]) - base), []
+        for k in range(lo, hi):
+            at, n, crc = (int(v) for v in self.points[k])
+            ids = self.table.ids[decode_block(data[at - base : int(self.ends[k]) - base], n, self.table, self.slots)]
+            if zlib.crc32(ids.astype("<u4").tobytes()) != crc:
+                raise ValueError(f"block {k} fails its checksum")
+            out.append(ids)
+        return np.concatenate(out)
+
+    def documents(self, lo: int = 0, hi: int | None = None) -> Iterator[tuple[int | None, int, np.ndarray]]:
+        """(doc_id, first id's place in the file, ids) of the documents whose first id is from ``lo`` on, before ``hi``."""
+        ends = np.cumsum(self.sizes)
+        places = ends - self.sizes
+        a, b = np.searchsorted(places, [lo, ends[-1] if hi is None else hi]) if len(places) else (0, 0)
+        if a == b:
+            return
+        first = int(places[a]) // BLOCK
+        ids = self.blocks(first, (int(ends[b - 1]) - 1) // BLOCK + 1)
+        for k in range(a, b):
+            at = int(places[k]) - first * BLOCK
+            yield self.doc_ids[k], int(places[k]), ids[at : at + int(self.sizes[k])]
 
 
 def write_token_files(docs: DataFrame, folder: str, *, tokenizer: str | None = None, end_id: int = 0) -> DataFrame:
@@ -189,16 +204,20 @@ def write_token_files(docs: DataFrame, folder: str, *, tokenizer: str | None = N
 
 def read_token_files(files: DataFrame) -> DataFrame:
     """``(doc_id, start, n_tokens, ids_crc32)`` of every document, from the files' bytes."""
-    before = Window.orderBy("part", "piece").rowsBetween(Window.unboundedPreceding, -1)
-    placed = files.select("part", "piece", "path", F.coalesce(F.sum("tokens").over(before), F.lit(0)).cast("long").alias("start"))
+    # Sums over the parts (as many as tasks), then over the pieces of each.
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    parts = files.groupBy("part").agg(F.sum("tokens").alias("n")).select("part", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("base"))
+    within = Window.partitionBy("part").orderBy("piece").rowsBetween(Window.unboundedPreceding, -1)
+    placed = files.withColumn("within", F.coalesce(F.sum("tokens").over(within), F.lit(0))).join(parts, "part")
+    units = placed.select("path", (F.col("base") + F.col("within")).cast("long").alias("start"), F.explode(F.sequence(F.lit(0).cast("long"), F.expr(f"(tokens - 1) div {UNIT_IDS}"))).alias("unit"))
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for uri, start in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                rows = [(doc, start + place, len(ids), zlib.crc32(ids.astype("<u4").tobytes())) for doc, place, ids in TokenFile(read_whole(uri)).documents()]
+            for uri, start, unit in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                found = TokenFile.open(uri).documents(unit * UNIT_IDS, (unit + 1) * UNIT_IDS)
+                rows = [(doc, start + place, len(ids), zlib.crc32(ids.astype("<u4").tobytes())) for doc, place, ids in found]
                 yield pa.RecordBatch.from_arrays([pa.array([r[k] for r in rows], pa.int64()) for k in range(4)], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
-    # A path is a few bytes, its file is megabytes: the number of tasks is stated, or adaptive execution would merge them.
+    # A path is a few bytes, its unit is megabytes: the number of tasks is stated, or adaptive execution would merge them.
     tasks = int(files.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    spread = placed.select("path", "start").repartition(tasks, F.xxhash64("path"))
-    return spread.mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")
+    return units.repartition(tasks, F.xxhash64("path", "unit")).mapInArrow(read, "doc_id long, start long, n_tokens long, ids_crc32 long")

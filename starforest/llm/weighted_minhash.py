@@ -41,7 +41,7 @@ from starforest.runtime import cut, cut_state, shared_dir
 
 WORDS, THRESHOLD, BANDS, ROWS = 5, 0.8, 10, 3
 #: Documents in a block of a bucket, and words.
-BLOCK, BLOCK_WORDS = 128, 400_000
+BLOCK, BLOCK_WORDS = 128, 200_000
 #: Shingles of a unit, and documents to a range of hashes (2**14 ranges at most).
 _UNIT, _DOCS, _MAX_BITS = 1 << 20, 2048, 14
 _P = np.uint64(0x9E3779B97F4A7C15)
@@ -94,7 +94,7 @@ class Shingles:
         new = np.ones(len(h), bool)
         new[1:] = (h[1:] != h[:-1]) | (own[1:] != own[:-1])
         at = np.flatnonzero(new)
-        self.h, self.owner, self.tf = h[at], own[at], np.diff(np.append(at, len(h)))
+        self.h, self.owner, self.tf = h[at], own[at].astype(np.int32), np.diff(np.append(at, len(h))).astype(np.int32)
 
     @staticmethod
     def _sum(values: np.ndarray, starts: np.ndarray, n: int) -> np.ndarray:
@@ -384,7 +384,7 @@ def verified_links(units: DataFrame, reps: DataFrame, counted: Counted, *, thres
         for batch in slices(batches, text=5):
             held.append(batch)
             weight += batch.nbytes
-            if weight < 4 << 20:
+            if weight < 1 << 20:
                 continue
             table = pa.Table.from_batches(held)
             unit = np.stack([np.asarray(table.column(k)) for k in range(3)], 1)

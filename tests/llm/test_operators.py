@@ -304,7 +304,27 @@ def test_corrupt_block_is_found():
     data = bytearray(token_files.pack(ids, [1], np.array([5000])))
     data[9000] ^= 1
     with pytest.raises(ValueError):
-        list(token_files.TokenFile(bytes(data)).documents())
+        list(token_files.TokenFile.of(bytes(data)).documents())
+
+
+def test_blocks_and_units_decode_alone(monkeypatch):
+    monkeypatch.setattr(token_files, "BLOCK", 64)
+    rng = np.random.default_rng(3)
+    sizes = rng.integers(1, 200, 60)
+    ids = rng.integers(0, 900, sizes.sum()).astype(np.int32)
+    data, asked = token_files.pack(ids, [None, *range(1, 60)], sizes), []
+
+    def fetch(at, size):
+        asked.append(size)
+        return data[at : at + size]
+
+    file = token_files.TokenFile(fetch, len(data))
+    for k in (0, 7, len(file.points) - 1):
+        assert (file.blocks(k, k + 1) == ids[k * 64 : (k + 1) * 64]).all()
+    assert max(asked[3:]) < len(data) // 4  # a block, not the file
+    got = [x for lo in range(0, len(ids), 100) for x in file.documents(lo, lo + 100)]
+    assert [d for d, _, _ in got] == [None, *range(1, 60)] and [p for _, p, _ in got] == (np.cumsum(sizes) - sizes).tolist()
+    assert (np.concatenate([x for _, _, x in got]) == ids).all()
 
 
 def test_separator_scan(spark, docs, nothing):
