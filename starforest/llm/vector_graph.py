@@ -9,10 +9,12 @@ verified by cosine in double precision. Recall is audited against brute force ov
 fixed number of query vectors that are drawn whatever was found; below ``recall`` the shards are made to overlap more,
 and when no overlap passes, all pairs are compared exactly, in blocks.
 
-Scale: shards hold about ``shard`` vectors; one that is larger than ``most`` (a dense group) is split into
-blocks whose pairs are compared exactly, each pair of blocks a task. A pair that several shards share is
-counted in the first of them only, so links are counted without being listed; for components a task hands
-on a spanning star. Equal vectors are one representative with a count.
+Scale: shards hold about ``shard`` vectors. The driver fits and tasks are sent 4,096 centroids at most, whatever the number of
+vectors; a shard of more than ``most`` is then split by centroids of its own, fitted in a task on a bounded sample of it, up to
+``LEVELS`` times, so the number of shards grows with the vectors. What centroids cannot split (a dense group, whose members are
+nearly all within the threshold of each other) is cut into blocks whose pairs are compared exactly, each pair of blocks a task. A
+pair that several shards share is counted in the first of them only, so links are counted without being listed; for components a
+task hands on a spanning star. Equal vectors are one representative with a count.
 
 Vectors of each length are linked among themselves: the most frequent length and those of more than ``most`` vectors one
 after the other by the graph, all others exactly in one pass.
@@ -34,7 +36,8 @@ from starforest.components.links import link_components
 from starforest.runtime import cut
 
 THRESHOLD = 0.95
-_MAX_CENTROIDS = 4096
+#: Centroids of the first level and of each split, and rows a split's centroids are fitted on.
+_MAX_CENTROIDS, _SPLIT_SAMPLE, LEVELS = 4096, 4096, 3
 
 
 def usable(vectors: DataFrame) -> DataFrame:
@@ -57,8 +60,11 @@ def _matrix(column: pa.Array) -> np.ndarray:
 def fit_centroids(reps: DataFrame, n: int, *, shard: int = 1000, sample: int = 20_000, rounds: int = 8) -> np.ndarray:
     """Spherical k-means on at most ``sample`` vectors."""
     rows = reps.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).select("v").toArrow()
-    x = _unit(_matrix(rows.column("v")))
-    k = int(np.clip(-(-n // shard), 1, min(_MAX_CENTROIDS, len(x))))
+    return _centroids(_unit(_matrix(rows.column("v"))), min(-(-n // shard), _MAX_CENTROIDS), rounds)
+
+
+def _centroids(x: np.ndarray, k: int, rounds: int = 8) -> np.ndarray:
+    k = int(np.clip(k, 1, len(x)))
     c = x[np.linspace(0, len(x) - 1, k).astype(int)].copy()
     for _ in range(rounds):
         near = (x @ c.T).argmax(1)
@@ -70,6 +76,59 @@ def fit_centroids(reps: DataFrame, n: int, *, shard: int = 1000, sample: int = 2
     return c
 
 
+def _nearest(x: np.ndarray, centroids: np.ndarray, m: int) -> np.ndarray:
+    """Positions of each row's ``m`` nearest centroids, ascending."""
+    m = min(m, len(centroids))
+    return np.sort(np.argpartition(-(x @ centroids.T), m - 1, 1)[:, :m], 1)
+
+
+def split_shards(placed: DataFrame, *, shard: int, most: int, overlap: int) -> DataFrame:
+    """``placed`` with its large shards split by centroids of their own, as long as that makes them smaller."""
+    dense = None
+    for _ in range(LEVELS):
+        sizes = placed.groupBy("shard").agg(F.count("*").alias("n")).where(F.col("n") > most)
+        if dense is not None:
+            sizes = sizes.join(dense, "shard", "left_anti")
+        sizes = cut(sizes)
+        if sizes.isEmpty():
+            break
+        rows = placed.join(sizes, "shard")
+        # By a hash that differs from level to level: what a sample saw does not bind the next.
+        share = F.lit(float(_SPLIT_SAMPLE) * (1 << 62)) / F.col("n")
+        sample = rows.where(F.shiftrightunsigned(F.xxhash64("vec_id", "shard"), 2) < share)
+
+        def fit(table: pa.Table) -> pa.Table:
+            k = min(-(-table.column("n")[0].as_py() // shard), _MAX_CENTROIDS)
+            order = np.argsort(np.asarray(table.column("vec_id").combine_chunks()))
+            c = _centroids(_matrix(table.column("v"))[order], k)
+            return pa.table({"shard": pa.array([table.column("shard")[0].as_py()], pa.int64()), "d": pa.array([c.shape[1]], pa.int32()), "c": pa.array([c.ravel()], pa.list_(pa.float64()))})
+
+        # Each salt of a shard meets its centroids in one task of bounded size.
+        salts = F.ceil(F.col("n") / most).cast("int")
+        fitted = sample.select("shard", "vec_id", "v", "n").groupBy("shard").applyInArrow(fit, "shard long, d int, c array<double>")
+        sent = fitted.join(sizes, "shard").select("shard", "d", "c", F.explode(F.sequence(F.lit(0), salts - 1)).alias("salt"))
+        dealt = rows.withColumn("salt", F.pmod(F.xxhash64("vec_id", F.lit(3)), salts.cast("long")).cast("int"))
+
+        def deal(left: pa.Table, right: pa.Table) -> pa.Table:
+            x, c = _matrix(left.column("v")), np.asarray(right.column("c").combine_chunks().flatten()).reshape(-1, right.column("d")[0].as_py())
+            near = _nearest(x, c, overlap)
+            pick = pa.array(np.repeat(np.arange(len(x)), near.shape[1]))
+            return pa.table({"old": left.column("shard").take(pick), "sub": pa.array(near.ravel().astype(np.int64)), **{k: left.column(k).take(pick) for k in ("vec_id", "copies", "v")}})
+
+        moved = dealt.groupBy("shard", "salt").cogroup(sent.groupBy("shard", "salt")).applyInArrow(deal, "old long, sub long, vec_id long, copies long, v array<double>")
+        moved = cut(moved.withColumn("shard", F.xxhash64("old", "sub")))
+        # A child that keeps more than half of its parent will not be split further.
+        stuck = moved.groupBy("old", "shard").agg(F.count("*").alias("m")).join(sizes.withColumnRenamed("shard", "old"), "old").where(F.col("m") * 2 > F.col("n")).select("shard")
+        dense = cut(stuck if dense is None else dense.union(stuck))
+        others = placed.join(sizes.select("shard"), "shard", "left_anti").select("shard", "vec_id", "copies", "v")
+        placed = cut(others.unionByName(moved.select("shard", "vec_id", "copies", "v")))
+    if "shards" in placed.columns:
+        return placed
+    # A vector can come to one child from two parents never (names differ), so its list has no repeats.
+    lists = placed.groupBy("vec_id").agg(F.array_sort(F.collect_list("shard")).alias("shards"))
+    return cut(placed.join(lists, "vec_id").select("shard", "vec_id", "copies", "shards", "v"))
+
+
 def assign_shards(reps: DataFrame, centroids: np.ndarray, overlap: int) -> DataFrame:
     """``(shard, vec_id, copies, shards, v)``: a row for each of a vector's shards; v has length one."""
 
@@ -78,14 +137,14 @@ def assign_shards(reps: DataFrame, centroids: np.ndarray, overlap: int) -> DataF
             for at in range(0, whole.num_rows, 2048):
                 batch = whole.slice(at, 2048)
                 x = _unit(_matrix(batch.column(2)))
-                m = min(overlap, len(centroids))
-                near = np.sort(np.argpartition(-(x @ centroids.T), m - 1, 1)[:, :m], 1)
+                near = _nearest(x, centroids, overlap)
+                m = near.shape[1]
                 pick = np.repeat(np.arange(len(x)), m)
-                lists = pa.ListArray.from_arrays(pa.array(np.arange(len(pick) + 1) * m, pa.int32()), pa.array(near[pick].ravel().astype(np.int32)))
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(len(pick) + 1) * m, pa.int32()), pa.array(near[pick].ravel().astype(np.int64)))
                 vecs = pa.ListArray.from_arrays(pa.array(np.arange(len(pick) + 1) * x.shape[1], pa.int32()), pa.array(x[pick].ravel()))
-                yield pa.RecordBatch.from_arrays([pa.array(near.ravel().astype(np.int32)), batch.column(0).take(pa.array(pick)), batch.column(1).take(pa.array(pick)), lists, vecs], names=["shard", "vec_id", "copies", "shards", "v"])
+                yield pa.RecordBatch.from_arrays([pa.array(near.ravel().astype(np.int64)), batch.column(0).take(pa.array(pick)), batch.column(1).take(pa.array(pick)), lists, vecs], names=["shard", "vec_id", "copies", "shards", "v"])
 
-    return reps.select("vec_id", "copies", "v").mapInArrow(run, "shard int, vec_id long, copies long, shards array<int>, v array<double>")
+    return reps.select("vec_id", "copies", "v").mapInArrow(run, "shard long, vec_id long, copies long, shards array<long>, v array<double>")
 
 
 def build_graph(v: np.ndarray, *, degree: int = 32, near: int = 48, far: int = 16, alpha: float = 1.2) -> list[np.ndarray]:
@@ -310,8 +369,13 @@ def found_links(placed: DataFrame, *, threshold: float, most: int, exact_only: b
 
 
 def _ints(column: pa.ChunkedArray) -> np.ndarray:
+    """Ascending lists as rows of one width, with different fill-ins for each row so that no two share one."""
     column = column.combine_chunks()
-    return np.asarray(column.flatten()).reshape(len(column), -1)
+    size = np.diff(np.asarray(column.offsets))
+    out = np.iinfo(np.int64).max - np.arange(len(column) * (size.max() if len(size) else 0), dtype=np.int64).reshape(len(column), -1)
+    own = np.repeat(np.arange(len(column)), size)
+    out[own, np.arange(len(own)) - np.repeat(np.cumsum(size) - size, size)] = np.asarray(column.flatten())
+    return out
 
 
 def audit_recall(reps: DataFrame, counted: DataFrame, *, threshold: float, queries: int) -> float:
@@ -348,38 +412,39 @@ def whole_shards(reps: DataFrame) -> DataFrame:
             for n in np.unique(size):
                 some = batch.filter(pa.array(size == n))
                 x, at = _unit(_matrix(some.column(2))), np.arange(some.num_rows + 1, dtype=np.int32)
-                shard = pa.array(np.full(some.num_rows, n, np.int32))
+                shard = pa.array(np.full(some.num_rows, n, np.int64))
                 yield pa.RecordBatch.from_arrays([shard, some.column(0), some.column(1), pa.ListArray.from_arrays(pa.array(at), shard), pa.ListArray.from_arrays(pa.array(at * np.int32(n)), pa.array(x.ravel()))], names=["shard", "vec_id", "copies", "shards", "v"])
 
-    return reps.select("vec_id", "copies", "v").mapInArrow(run, "shard int, vec_id long, copies long, shards array<int>, v array<double>")
+    return reps.select("vec_id", "copies", "v").mapInArrow(run, "shard long, vec_id long, copies long, shards array<long>, v array<double>")
 
 
-def _links_of_length(reps: DataFrame, n: int, *, threshold: float, shard: int, most: int, overlap: int, recall: float, queries: int, tries: int) -> DataFrame:
-    """``(vec_id, links, low)`` of vectors of one length: no attempt is taken without its audit."""
+def _links_of_length(reps: DataFrame, n: int, *, threshold: float, shard: int, most: int, overlap: int, recall: float, queries: int, tries: int) -> tuple[DataFrame, float]:
+    """``(vec_id, links, low)`` of vectors of one length, and the audited recall: no attempt is taken without its audit."""
     centroids = fit_centroids(reps, n, shard=shard)
     for k in range(tries):
-        placed = cut(assign_shards(reps, centroids, overlap + k))
+        placed = split_shards(cut(assign_shards(reps, centroids, overlap + k)), shard=shard, most=most, overlap=overlap + k)
         found = cut(found_links(placed, threshold=threshold, most=most))
         counted = found.groupBy("vec_id").agg(F.sum("links").alias("links"))
-        if audit_recall(reps, counted, threshold=threshold, queries=queries) >= recall:
-            return found
-    return cut(found_links(cut(whole_shards(reps)), threshold=threshold, most=most, exact_only=True))
+        seen = audit_recall(reps, counted, threshold=threshold, queries=queries)
+        if seen >= recall:
+            return found, seen
+    return cut(found_links(cut(whole_shards(reps)), threshold=threshold, most=most, exact_only=True)), 1.0
 
 
 def vector_links(vectors: DataFrame, *, threshold: float = THRESHOLD, shard: int = 1000, most: int = 4096, overlap: int = 2, recall: float = 0.95, queries: int = 512, tries: int = 3) -> DataFrame:
-    """``(vec_id, n_links, component_id, kept)`` of every row."""
+    """``(vec_id, n_links, component_id, kept, audited_recall)`` of every row; the recall is the lowest of any length's audit."""
     rows = usable(vectors)
     reps = cut(rows.groupBy("v").agg(F.min("vec_id").alias("vec_id"), F.count("*").alias("copies")).select("vec_id", "copies", "v"))
     every = vectors.select(F.col("vec_id").cast("long").alias("vec_id"))
     lengths = reps.groupBy(F.size("v").alias("size")).agg(F.count("*").alias("n"))
     top = [(r["size"], r["n"]) for r in lengths.orderBy(F.desc("n"), "size").limit(1).collect()]
     if not top:
-        return every.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
+        return every.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"), F.lit(1.0).alias("audited_recall"))
     large = top + [(r["size"], r["n"]) for r in lengths.where((F.col("n") > most) & (F.col("size") != top[0][0])).collect()]
-    found = None
+    found, audited = None, 1.0
     for size, n in large:
-        part = _links_of_length(reps.where(F.size("v") == size), n, threshold=threshold, shard=shard, most=most, overlap=overlap, recall=recall, queries=queries, tries=tries)
-        found = part if found is None else found.union(part)
+        part, seen = _links_of_length(reps.where(F.size("v") == size), n, threshold=threshold, shard=shard, most=most, overlap=overlap, recall=recall, queries=queries, tries=tries)
+        found, audited = part if found is None else found.union(part), min(audited, seen)
     small = reps.where(~F.size("v").isin([size for size, _ in large]))
     if not small.isEmpty():
         found = found.union(cut(found_links(cut(whole_shards(small)), threshold=threshold, most=most, exact_only=True)))
@@ -387,4 +452,4 @@ def vector_links(vectors: DataFrame, *, threshold: float = THRESHOLD, shard: int
     parts = link_components(found.where("low < vec_id").select(F.col("vec_id").alias("a"), F.col("low").alias("b")))
     of_rep = reps.select(F.col("vec_id").alias("rep"), "copies", "v").join(counted.withColumnRenamed("vec_id", "rep"), "rep", "left").join(parts, F.col("rep") == F.col("node"), "left")
     named = rows.join(of_rep, "v").groupBy("vec_id").agg(F.max(F.col("copies") - 1 + F.coalesce("links", F.lit(0))).alias("n"), F.min(F.coalesce("component", "rep")).alias("c"))
-    return every.join(named, "vec_id", "left").select("vec_id", F.coalesce("n", F.lit(0)).cast("long").alias("n_links"), F.coalesce("c", "vec_id").alias("component_id")).withColumn("kept", F.col("vec_id").eqNullSafe(F.col("component_id")))
+    return every.join(named, "vec_id", "left").select("vec_id", F.coalesce("n", F.lit(0)).cast("long").alias("n_links"), F.coalesce("c", "vec_id").alias("component_id")).withColumns({"kept": F.col("vec_id").eqNullSafe(F.col("component_id")), "audited_recall": F.lit(audited)})

@@ -223,6 +223,23 @@ def test_vector_links_of_every_length(spark):
         assert got[100].n_links >= 2 and not got[950].kept and got[200].n_links >= 1
 
 
+def test_vector_shards_are_split(spark):
+    """More vectors than the first centroids can hold: shards of shards, a dense group, and pairs met by brute force."""
+    rng = np.random.default_rng(9)
+    base = rng.normal(size=(400, 16))
+    v = np.concatenate([np.repeat(base, 5, 0) + rng.normal(size=(2000, 16)) * 0.05, rng.normal(size=16) + rng.normal(size=(300, 16)) * 0.02])
+    df = spark.createDataFrame([(i, x.tolist()) for i, x in enumerate(v)], "vec_id long, embedding array<double>")
+    reps = df.selectExpr("vec_id", "1L as copies", "embedding as v")
+    placed = vector_graph.split_shards(vector_graph.assign_shards(reps, vector_graph.fit_centroids(reps, len(v), shard=1000), 2), shard=60, most=150, overlap=2)
+    sizes = sorted(r["count"] for r in placed.groupBy("shard").count().collect())
+    assert len(sizes) > 20 and sizes[-2] < 700 and placed.select("vec_id").distinct().count() == len(v)
+    got = {r.vec_id: r for r in vector_graph.vector_links(df, shard=60, most=150).collect()}
+    u = v / np.linalg.norm(v, axis=1, keepdims=True)
+    links = (u @ u.T >= 0.95) & ~np.eye(len(v), dtype=bool)
+    assert sum(r.n_links for r in got.values()) >= 0.98 * links.sum() and all(got[i].n_links <= links[i].sum() for i in got)
+    assert {r.audited_recall for r in got.values()} > set() and min(r.audited_recall for r in got.values()) >= 0.95
+
+
 def test_language_spans(spark, docs, nothing):
     en, de = "the house and the garden were full of people who went there", "das Haus und der Garten waren voll von Menschen die dorthin gingen"
     rows = [(i, " ".join(random.Random(i).sample((en if i % 2 else de).split(), 9)), "en" if i % 2 else "de") for i in range(60)]
