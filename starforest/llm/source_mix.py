@@ -104,8 +104,12 @@ def doc_blocks(sizes: DataFrame, targets: DataFrame) -> DataFrame:
     """``(rid, idx, block, words)``: how many of a document's words lie in each block of its source."""
     of_source = targets.select(F.col("source").alias("_s"), "idx", "source_size", "blocks")
     d = sizes.where("size > 0").join(of_source, F.col("source").eqNullSafe(F.col("_s"))).select("rid", "size", "place", "idx", "source_size", "blocks", F.substring("place", 1, _DIGITS).alias("bin"))
-    before = Window.partitionBy("idx").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
-    bins = d.groupBy("idx", "bin").agg(F.sum("size").alias("n")).select("idx", "bin", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("offset"))
+    # Prefix sums in three levels: 256 wide bins of a source, bins of a wide one, documents of a bin.
+    bins = d.groupBy("idx", "bin").agg(F.sum("size").alias("n")).withColumn("wide", F.substring("bin", 1, 2))
+    upto = Window.partitionBy("idx").orderBy("wide").rowsBetween(Window.unboundedPreceding, -1)
+    wides = bins.groupBy("idx", "wide").agg(F.sum("n").alias("m")).select("idx", "wide", F.coalesce(F.sum("m").over(upto), F.lit(0)).alias("base"))
+    before = Window.partitionBy("idx", "wide").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
+    bins = bins.withColumn("inner", F.coalesce(F.sum("n").over(before), F.lit(0))).join(wides, ["idx", "wide"]).select("idx", "bin", (F.col("base") + F.col("inner")).alias("offset"))
     within = Window.partitionBy("idx", "bin").orderBy("place", "rid").rowsBetween(Window.unboundedPreceding, -1)
     d = d.join(bins, ["idx", "bin"]).withColumn("a", F.col("offset") + F.coalesce(F.sum("size").over(within), F.lit(0)))
     d = d.withColumns({"q": F.expr("source_size div blocks"), "long": F.col("source_size") % F.col("blocks")})
