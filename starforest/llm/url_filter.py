@@ -99,7 +99,7 @@ class UrlModel(NamedTuple):
         return 1 / (1 + np.exp(-np.clip(z + self.bias, -60, 60)))
 
 
-def fit_url_model(labelled: DataFrame, *, bits: int = 16, sizes: tuple[int, ...] = (3, 4, 5), max_rows: int = 20_000, rounds: int = 400, rate: float = 20.0, shrink: float = 1e-4, prior: float = PRIOR) -> UrlModel:
+def fit_url_model(labelled: DataFrame, *, bits: int = 16, sizes: tuple[int, ...] = (3, 4, 5), max_rows: int = 20_000, rounds: int = 600, rate: float = 1.0, shrink: float = 1e-4, prior: float = PRIOR) -> UrlModel:
     """Logistic regression on ``labelled(url, label)``; label 1 means to be blocked. ``prior``: the share of urls that are."""
     rows = with_host_path(labelled.where("url is not null and label is not null").dropDuplicates(["url"])).orderBy(F.xxhash64("url"), "url").limit(max_rows).select("host", "path", "label").collect()
     hosts, paths = pa.array([r.host for r in rows], pa.string()), pa.array([r.path for r in rows], pa.string())
@@ -111,12 +111,13 @@ def fit_url_model(labelled: DataFrame, *, bits: int = 16, sizes: tuple[int, ...]
     scale = (1 / np.sqrt(np.maximum(np.bincount(row, minlength=len(y)), 1)))[row]
     # Whatever shares the table has: a url that resembles no label gets the prior's verdict.
     share = np.where(y == 1, prior / y.sum(), (1 - prior) / (len(y) - y.sum()))
-    w, b = np.zeros(1 << bits), 0.0
-    for _ in range(rounds):
+    w, b, dw, db = np.zeros(1 << bits), 0.0, np.zeros(1 << bits), 0.0
+    for _ in range(rounds):  # gradient steps with momentum; features have length one at most, so a rate of one is stable
         z = np.bincount(row, w[bucket] * scale, len(y)) + b
         off = (1 / (1 + np.exp(-z)) - y) * share
-        w -= rate * (np.bincount(bucket, off[row] * scale, 1 << bits) + shrink * w)
-        b -= rate * off.sum()
+        dw = 0.9 * dw - rate * (np.bincount(bucket, off[row] * scale, 1 << bits) + shrink * w)
+        db = 0.9 * db - rate * off.sum()
+        w, b = w + dw, b + db
     return model._replace(weights=w, bias=float(b))
 
 
