@@ -38,6 +38,11 @@ def lightest_outgoing_edge(edges: DataFrame, inside: DataFrame) -> DataFrame:
     return marked.where(F.col("a").isNull() != F.col("b").isNull()).orderBy("rank").limit(1).select("rank", "lo", "hi", "w")
 
 
+def check_cut_property(forest: DataFrame, edges: DataFrame, inside: DataFrame) -> bool:
+    """Whether the lightest edge that leaves ``inside(v)``, if any does, belongs to the forest."""
+    return lightest_outgoing_edge(edges, inside).join(forest.select("rank"), "rank", "left_anti").count() == 0
+
+
 def verify_forest(forest: DataFrame, edges: DataFrame, vertices: DataFrame) -> dict[str, bool]:
     """Size, span, acyclicity and optimality of ``forest``. The strict order makes the forest unique, so it is
     optimal if the divide-and-merge method, which shares no step with the loop, keeps the same edges.

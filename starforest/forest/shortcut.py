@@ -78,6 +78,33 @@ def shortcut_prefetched(stars: DataFrame, changed: DataFrame, *, ship: str = "au
     return apply_closed(stars, closed, ship=ship), rounds
 
 
+def shortcut_full(parents: DataFrame, max_rounds: int = 64) -> tuple[DataFrame, int]:
+    """Star forest by whole sub-iterations: everyone takes their grandparent until nothing moves. Returns how many moved something."""
+    cur = parents
+    for rounds in range(max_rounds):
+        nxt, seen = cut_observing(grandparents(cur).select("v", F.col("g").alias("p"), (F.col("p") != F.col("g")).alias("m")), m=F.bool_or("m"))
+        cur = nxt.select("v", "p")
+        if not seen["m"]:
+            return cur, rounds
+    raise ValueError("the parent table has a cycle")
+
+
+def shortcut_mixed(parents: DataFrame, first: int) -> tuple[DataFrame, int]:
+    """``first`` plain sub-iterations, then what is left of the map is closed and applied at once."""
+    cur = parents
+    for rounds in range(first):
+        nxt, seen = cut_observing(grandparents(cur).select("v", F.col("g").alias("p"), (F.col("p") != F.col("g")).alias("m")), m=F.bool_or("m"))
+        cur = nxt.select("v", "p")
+        if not seen["m"]:
+            return cur, rounds
+    left = cut_state(grandparents(cur).where("p <> g").select(F.col("p").alias("root"), F.col("g").alias("parent")).distinct())
+    n = left.count()
+    if not n:
+        return cur, first
+    closed, rounds = close_changed(left, small=n <= BROADCAST_ROWS)
+    return cut_state(apply_closed(cur, closed, ship="broadcast" if n <= BROADCAST_ROWS else "shuffle")), first + rounds + 1
+
+
 def shortcut_queries(parents: DataFrame, parts: int) -> DataFrame:
     """``(queries, merged)``: look-ups of one sub-iteration without and with merging duplicates in each of ``parts`` processes."""
     need = grandparents(parents).where("p <> g").select(F.pmod(F.col("v"), F.lit(parts)).alias("part"), "p")

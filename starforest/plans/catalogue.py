@@ -113,6 +113,9 @@ add("closed_map_first", lambda s, d: shortcut.close_changed(steps.accepted_hooks
 add("trace_trade", lambda s, d: grow(s, d, "trade", shortcut="full").trace_frame().where("hooks > 0").select("iteration", "hooks"), f"WITH {oracle.forest_ctes(oracle.EDGES['trade'])} SELECT round AS iteration, count(*) AS hooks FROM f GROUP BY round")
 add("trace_lattice", lambda s, d: grow(s, d, "lattice").trace_frame().where("hooks > 0").select("iteration", "hooks", "candidates", "undone"), f"WITH {oracle.forest_ctes(oracle.EDGES['lattice'])} SELECT * FROM ({' UNION ALL '.join(f'SELECT {k + 1} AS iteration, count(*) FILTER (NOT undone) AS hooks, count(*) AS candidates, count(*) FILTER (undone) AS undone FROM h{k}' for k in range(9))}) WHERE hooks > 0")
 add("forest_weight_nation", lambda s, d: grow(s, d, "nation").weight().select("total_weight", "n_edges"), f"WITH {oracle.forest_ctes(oracle.EDGES['nation'])} SELECT CAST(sum(w) AS BIGINT) AS total_weight, count(*) AS n_edges FROM f JOIN e USING (rank)")
+add("forest_weight_only_trade", lambda s, d: grow(s, d, "trade", mode="weight").weight().select("total_weight", "n_edges"), f"WITH {oracle.forest_ctes(oracle.EDGES['trade'])} SELECT CAST(sum(w) AS BIGINT) AS total_weight, count(*) AS n_edges FROM f JOIN e USING (rank)")
+for _v, _o in {"thresholded_crossed": {"shortcut": "thresholded", "threshold": 500}, "adaptive_crossed": {"shortcut": "adaptive", "budget_bytes": 1 << 12}, "scheduled_sub_iterations": {"shortcut": "scheduled", "first_sub_iterations": 1}}.items():
+    add(f"forest_trade_{_v}", lambda s, d, o=_o: grow(s, d, "trade", **o).forest.select("lo", "hi", "w"), oracle.forest(oracle.EDGES["trade"]))
 add("mst_trade", lambda s, d: minimum_spanning_tree(ranked(s, d, "trade")).forest.select("lo", "hi", "w"), oracle.forest(oracle.EDGES["trade"]))
 add("verify_forest_trade", lambda s, d: (lambda r: s.createDataFrame([tuple(verify_forest(r.forest, r.edges, vertices_of(r.edges)).values())], "counted boolean, spans boolean, acyclic boolean, optimal boolean"))(grow(s, d, "trade")), "SELECT true AS counted, true AS spans, true AS acyclic, true AS optimal")
 add("bounds_trade", lambda s, d: s.createDataFrame([tuple(check_bounds(grow(s, d, "trade")).values())], "iterations boolean, half_hook boolean, sub_iterations boolean"), "SELECT true AS iterations, true AS half_hook, true AS sub_iterations")
@@ -137,7 +140,7 @@ def _lightest(s: SparkSession, d: str, plan: str = "auto", **more) -> DataFrame:
 _LIGHT = f"WITH {_R0} SELECT root AS v, rank, parent FROM r0"
 for _p in ("auto", "shuffle", "broadcast", "grid"):
     add(f"kernel_lightest_{_p}", lambda s, d, p=_p: _lightest(s, d, p), _LIGHT)
-add("kernel_masked", lambda s, d: _lightest(s, d, row_mask=s.range(400).select((F.col("id") * 16).alias("v"))), _LIGHT + " WHERE root % 16 = 0 AND root < 6400")
+add("kernel_masked", lambda s, d: _lightest(s, d, row_mask=read_table(s, d, "customer").where("c_mktsegment = 'BUILDING'").select((F.col("c_custkey").cast("long") * 16).alias("v"))), _LIGHT + " WHERE root IN (SELECT CAST(c_custkey AS BIGINT) * 16 FROM customer WHERE c_mktsegment = 'BUILDING')")
 
 
 def _two_pass(s: SparkSession, d: str) -> DataFrame:
@@ -188,7 +191,19 @@ for _n, _mo, _c in (("min", MIN, "min(value_c)"), ("max", MAX, "max(value_c)"),
 for _n, _mo, _c in (("any", ANY, "bool_or"), ("all", ALL, "bool_and")):
     add(f"monoid_{_n}_events", lambda s, d, m=_mo: monoid_reduce(read_table(s, d, "events"), ["user_id"], F.col("event_type") == "view", m), f"SELECT user_id, {_c}(event_type = 'view') AS value FROM events GROUP BY user_id")
 add("cut_weight_per_part", lambda s, d: (lambda e, l: triple_kernel(e, l, l.withColumnRenamed("x", "y"), lambda x, a, y: a, SUM, keep=F.col("_x") != F.col("_y"), value="w", reduce_to="x"))(_entries(s, d), parents.nation_only(s, d).select("v", F.col("p").alias("x"))), f"{_LAB} SELECT pi AS v, CAST(sum(w) AS BIGINT) AS value FROM c WHERE pi <> pj GROUP BY pi")
-add("kernel_write_model", lambda s, d: (lambda n, m: s.createDataFrame([(p, round(kernel_writes(n, m, p)["all_at_once"]), round(kernel_writes(n, m, p)["pairwise"])) for p in (1, 4, 16, 64, 256)], "p long, all_at_once long, pairwise long"))(1600, 48518), "SELECT CAST(p AS BIGINT) AS p, CAST(round(1600 / sqrt(p)) AS BIGINT) AS all_at_once, CAST(round(1600 / sqrt(p) + 2 * 48518) AS BIGINT) AS pairwise FROM (VALUES (1), (4), (16), (64), (256)) t(p)")
+def _write_model(s: SparkSession, d: str) -> DataFrame:
+    size = graph_stats(ranked(s, d, "trade")).first()
+    n, m = size.n, size.m
+    rows = [(p, round(kernel_writes(n, m, p)["all_at_once"]), round(kernel_writes(n, m, p)["pairwise"])) for p in (1, 4, 16, 64, 256)]
+    return s.createDataFrame(rows, "p long, all_at_once long, pairwise long")
+
+
+add(
+    "kernel_write_model",
+    _write_model,
+    f"WITH e AS MATERIALIZED ({oracle.EDGES['trade']}), g AS (SELECT (SELECT count(*) FROM (SELECT lo FROM e UNION SELECT hi FROM e)) AS n, (SELECT count(*) FROM e) AS m) "
+    "SELECT CAST(p AS BIGINT) AS p, CAST(round(n / sqrt(p)) AS BIGINT) AS all_at_once, CAST(round(n / sqrt(p) + 2 * m) AS BIGINT) AS pairwise FROM g, (VALUES (1), (4), (16), (64), (256)) t(p)",
+)
 add("graph_stats_trade", lambda s, d: graph_stats(rank_edges(builders.trade(s, d))), f"WITH {_SYM}, d AS (SELECT i, count(*) AS c FROM a GROUP BY i), x AS (SELECT count(*) AS n, CAST(sum(c) AS BIGINT) AS ends, max(c) AS max_degree FROM d) SELECT n, ends // 2 AS m, ends * 100 // n AS degree_x100, max_degree, ends * 50000000 // (n * n) AS percent_ppm, (SELECT min(w) FROM e) AS min_w, (SELECT max(w) FROM e) AS max_w, (SELECT count(DISTINCT w) FROM e) AS distinct_w FROM x")
 add("degree_histogram_trade", lambda s, d: _entries(s, d).groupBy("i").agg(F.count("*").alias("degree")).groupBy("degree").agg(F.count("*").alias("n")), f"WITH {_SYM}, d AS (SELECT i, count(*) AS degree FROM a GROUP BY i) SELECT degree, count(*) AS n FROM d GROUP BY degree")
 add("rank_edges_trade", lambda s, d: rank_edges(builders.trade(s, d), dense=True), f"WITH {oracle.RANKED.format(oracle.EDGES['trade'])} SELECT rank, lo, hi, w FROM e")
@@ -288,7 +303,12 @@ add("scalar_array_distance", lambda s, d: (lambda v: v.select("vec_id", F.round(
 _NF = f"WITH {oracle.forest_ctes(oracle.EDGES['nation'])}"
 add("network_report_trade", lambda s, d: (lambda r: consumers.network_report(r.forest, r.edges))(grow(s, d, "trade")), f"WITH {oracle.forest_ctes(oracle.EDGES['trade'])}, t AS (SELECT count(*) AS links, CAST(sum(w) AS BIGINT) AS cost FROM f JOIN e USING (rank)) SELECT links, cost, (SELECT count(*) FROM e) AS all_links, (SELECT CAST(sum(w) AS BIGINT) FROM e) AS all_cost, (SELECT CAST(sum(w) AS BIGINT) FROM e) - cost AS saving FROM t")
 add("tour_bound_nation", lambda s, d: consumers.tour_upper_bound(grow(s, d, "nation").forest), f"{_NF} SELECT CAST(2 * sum(w) AS BIGINT) AS tour_bound FROM f JOIN e USING (rank)")
-add("single_linkage_nation", lambda s, d: (lambda r: consumers.single_linkage(r.forest, vertices_of(r.edges), threshold=600_000_000))(grow(s, d, "nation")), oracle.components(oracle.EDGES["nation"]).replace("AS component", "AS cluster").replace(f"({oracle.EDGES['nation']})", f"(SELECT * FROM ({oracle.EDGES['nation']}) WHERE w <= 600000000)"))
+_LINKED = oracle.components(f"SELECT * FROM ({oracle.EDGES['nation']}) WHERE w <= 600000000")
+add(
+    "single_linkage_nation",
+    lambda s, d: (lambda r: consumers.single_linkage(r.forest, vertices_of(r.edges), threshold=600_000_000))(grow(s, d, "nation")),
+    f"WITH n AS (SELECT lo AS v FROM ({oracle.EDGES['nation']}) UNION SELECT hi FROM ({oracle.EDGES['nation']})), c AS ({_LINKED}) SELECT n.v, coalesce(c.component, n.v) AS cluster FROM n LEFT JOIN c ON n.v = c.v",
+)
 
 
 def _pairs(s: SparkSession, d: str) -> DataFrame:

@@ -11,7 +11,8 @@ from starforest.components.links import link_components
 from starforest.forest import shortcut as sc
 from starforest.forest import steps
 from starforest.forest.loop import check_bounds, minimum_spanning_forest, minimum_spanning_tree
-from starforest.graph.order import GraphError, rank_edges, validate_graph, vertices_of
+from starforest.forest.measures import check_cut_property
+from starforest.graph.order import GraphError, canonical_edges, rank_edges, validate_graph, vertices_of
 from starforest.sources import from_rows
 
 HAND = [(0, 1, 4), (1, 2, 7), (2, 3, 2), (0, 3, 9), (3, 4, 5), (4, 5, 1), (2, 5, 8), (6, 7, 6), (7, 8, 3), (6, 8, 10)]
@@ -115,3 +116,47 @@ def test_kernel_plan_has_no_sort_aggregate(hand):
     flags = steps.all_stars(steps.initial_parents(vertices_of(edges)))
     plan = steps.root_candidates(edges, flags)._jdf.queryExecution().toString()
     assert "SortAggregate" not in plan and "Python" not in plan
+
+
+def test_grid_plan_leaves_the_edges_where_they_are(spark):
+    rows = [(i, i, i + 1, i) for i in range(200)]
+    edges = spark.createDataFrame(rows, "rank long, lo long, hi long, w long")
+    before = spark.conf.get("spark.sql.requireAllClusterKeysForCoPartition")
+    flags = steps.all_stars(steps.initial_parents(vertices_of(edges)))
+    with steps.grid_layout(edges, 3) as laid:
+        plan = steps.root_candidates(laid, flags, plan="grid", grid=3)._jdf.queryExecution().executedPlan().toString()
+        lines = plan.splitlines()
+        scan = next(i for i, x in enumerate(lines) if "FileScan" in x)
+        # Above the scan of the edges, up to the aggregation by root, nothing is exchanged.
+        depth, above = len(lines[scan]) - len(lines[scan].lstrip(" :+-")), []
+        for x in reversed(lines[:scan]):
+            here = len(x) - len(x.lstrip(" :+-*()0123456789"))
+            if here < depth:
+                depth = here
+                above.append(x)
+        assert sum("Exchange" in x for x in above) == 1 and "hashpartitioning(root" in next(x for x in above if "Exchange" in x)
+    assert spark.conf.get("spark.sql.requireAllClusterKeysForCoPartition") == before
+
+
+def test_weight_mode_full_and_mixed_shortcuts(spark):
+    rng = random.Random(8)
+    rows = [(rng.randrange(300), rng.randrange(300), rng.randrange(50)) for _ in range(500)]
+    edges = rank_edges(canonical_edges(spark.createDataFrame(rows, "a long, b long, w long")))
+    whole = minimum_spanning_forest(edges)
+    total = whole.weight().first()
+    light = minimum_spanning_forest(edges, mode="weight")
+    assert light.weight().first() == total
+    with pytest.raises(ValueError):
+        light.forest
+    ranks = {r.rank for r in whole.accepted.collect()}
+    for options in ({"shortcut": "full"}, {"shortcut": "scheduled", "first_sub_iterations": 1}, {"plan": "grid", "grid": 3}):
+        found = minimum_spanning_forest(edges, **options)
+        assert {r.rank for r in found.accepted.collect()} == ranks
+    full = minimum_spanning_forest(edges, shortcut="full")
+    assert all(check_bounds(full).values()) and max(t.sub_iterations for t in full.trace) > 0
+    assert steps.is_rooted_forest(full.parents)
+    assert not steps.is_rooted_forest(spark.createDataFrame([(1, 2), (2, 1)], "v long, p long"))
+    assert not steps.is_rooted_forest(spark.createDataFrame([(1, 9)], "v long, p long"))
+    inside = spark.createDataFrame([(v,) for v in range(0, 300, 3)], "v long")
+    assert check_cut_property(whole.forest, edges, inside)
+    assert not check_cut_property(whole.forest.where("rank < 0"), edges, inside)
