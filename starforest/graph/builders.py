@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -77,6 +79,48 @@ def radius_edges(df: DataFrame, v: Column, vector: str, radius: float) -> DataFr
     return met.select(F.col("a").alias("lo"), F.col("b").alias("hi"), F.round(F.col("d") * 1000).cast("long").alias("w"))
 
 
+def knn_edges(df: DataFrame, v: Column, vector: str, k: int, *, blocks: int = 16) -> DataFrame:
+    """An edge from each vector to its ``k`` nearest (Euclidean; ties to the smaller name), weighing the distance in thousandths.
+
+    Exact, in pairs of blocks of the table: each pair of blocks is a matrix product in one task that hands on ``k`` rows for a
+    vector at most, so what is shuffled is the table ``blocks`` times and ``blocks * k`` candidates for each vector; ``blocks``
+    bounds the rows of a task to twice the table's over ``blocks``. Null, empty and non-finite vectors have no edge, vectors of
+    different lengths none between them, rows of one name are one vector.
+    """
+    x = F.transform(vector, lambda c: c.cast("double"))
+    sound = F.forall("x", lambda c: c.isNotNull() & ~F.isnan(c) & (F.abs(c) != float("inf")))
+    rows = df.select(v.alias("v"), x.alias("x")).where("v is not null and size(x) > 0").where(sound).dropDuplicates(["v"])
+    own = F.pmod(F.xxhash64("v"), F.lit(blocks)).cast("int")
+    other = F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).alias("other")
+    # Unit (i, j) finds for the vectors of block i their nearest in block j.
+    asks = rows.select("v", "x", own.alias("i"), other).select("v", "x", "i", F.col("other").alias("j"))
+    gives = rows.select("v", "x", own.alias("j"), other).select("v", "x", F.col("other").alias("i"), "j")
+
+    def nearest(left: pa.Table, right: pa.Table) -> pa.Table:
+        out = {"a": [], "b": [], "d": []}
+        lw, rw = (np.diff(np.asarray(t.column("x").combine_chunks().offsets)) for t in (left, right))
+        for width in np.intersect1d(lw, rw):
+            at, to = left.filter(pa.array(lw == width)), right.filter(pa.array(rw == width))
+            a, b = (np.asarray(t.column("v").combine_chunks()) for t in (at, to))
+            p, q = (np.asarray(t.column("x").combine_chunks().flatten()).reshape(-1, width) for t in (at, to))
+            for lo in range(0, len(a), 512):
+                some = p[lo : lo + 512]
+                d = np.stack([np.sqrt(((q - y) ** 2).sum(1)) for y in some])
+                d[a[lo : lo + 512, None] == b[None, :]] = np.inf
+                order = np.lexsort((np.broadcast_to(b, d.shape), d), axis=1)[:, :k]
+                best = np.take_along_axis(d, order, 1)
+                r, c = np.nonzero(np.isfinite(best))
+                out["a"].append(a[lo : lo + 512][r])
+                out["b"].append(b[order[r, c]])
+                out["d"].append(best[r, c])
+        none = np.zeros(0)
+        return pa.table({"a": pa.array(np.concatenate([*out["a"], none.astype(np.int64)])), "b": pa.array(np.concatenate([*out["b"], none.astype(np.int64)])), "d": pa.array(np.concatenate([*out["d"], none]))})
+
+    met = asks.groupBy("i", "j").cogroup(gives.groupBy("i", "j")).applyInArrow(nearest, "a long, b long, d double")
+    place = F.row_number().over(Window.partitionBy("a").orderBy("d", "b"))
+    return canonical_edges(met.withColumn("place", place).where(F.col("place") <= k).select("a", "b", F.round(F.col("d") * 1000).cast("long").alias("w")))
+
+
 def trade(spark: SparkSession, d: str) -> DataFrame:
     o = read_table(spark, d, "orders").select("o_orderkey", "o_custkey")
     li = read_table(spark, d, "lineitem").select("l_orderkey", "l_suppkey", "l_extendedprice")

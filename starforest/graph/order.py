@@ -77,3 +77,26 @@ def mixed(*parts: Column | int) -> Column:
 def with_random_weights(edges: DataFrame, seed: int, hi: int = 255) -> DataFrame:
     """Integer weights 1..hi for ``(lo, hi)``: many ties for small ``hi``."""
     return edges.select("lo", "hi", (mixed(F.lit(seed), F.col("lo"), F.col("hi")) % hi + 1).alias("w"))
+
+
+def induced_subgraph(edges: DataFrame, inside: DataFrame) -> DataFrame:
+    """The edges with both ends in ``inside(v)``."""
+    v = inside.select("v").distinct()
+    return edges.join(v.withColumnRenamed("v", "lo"), "lo", "left_semi").join(v.withColumnRenamed("v", "hi"), "hi", "left_semi").select(*edges.columns)
+
+
+def filter_edges(edges: DataFrame, *, at_least: int | float | None = None, at_most: int | float | None = None) -> DataFrame:
+    """The edges whose weights lie between two bounds (null weights in none)."""
+    kept = edges if at_least is None else edges.where(F.col("w") >= at_least)
+    return kept if at_most is None else kept.where(F.col("w") <= at_most)
+
+
+def largest_component(edges: DataFrame, parts: DataFrame) -> DataFrame:
+    """The edges of the component of most vertices, of several as large the one with the smallest name; ``parts(v, component)``."""
+    top = parts.groupBy("component").agg(F.count("*").alias("n")).orderBy(F.desc("n"), "component").limit(1)
+    return induced_subgraph(edges, parts.join(F.broadcast(top), "component", "left_semi").select("v"))
+
+
+def sample_edges(edges: DataFrame, share: float, *, seed: int = 17) -> DataFrame:
+    """About ``share`` of the edges, the same ones in every run and layout: those whose mixed ends fall below it."""
+    return edges.where(mixed(F.col("lo"), F.col("hi"), F.lit(seed)) < F.lit(int(share * 2147483647)))

@@ -21,7 +21,7 @@ def bellman_ford(edges: DataFrame, source: int, *, max_hops: int | None = None,
     """``(v, dist, hops)``: shortest distances from ``source`` (over at most ``max_hops`` edges), hops being the round that set them.
 
     No row means unreachable. With ``frontier`` only vertices that changed are multiplied. Raises if distances
-    still fall after n rounds (a negative cycle; ``n`` defaults to counting the vertices when it matters).
+    still fall after n rounds (a negative cycle; ``n`` defaults to counting the vertices).
     """
     spark = edges.sparkSession
     entries = directed(edges).select("i", "j", F.col("w").alias("a"))
@@ -31,8 +31,9 @@ def bellman_ford(edges: DataFrame, source: int, *, max_hops: int | None = None,
     k = 0
     while k < limit:
         k += 1
-        if max_hops is None and k % 64 == 0:
-            n = n or entries.select("i").distinct().count()
+        if max_hops is None:
+            # The n-th round may still run, but must not change anything.
+            n = n or entries.select(F.col("i")).distinct().count()
             if k > n:
                 raise ValueError("distances keep falling: there is a negative cycle")
         start = new if frontier else dist
@@ -44,3 +45,12 @@ def bellman_ford(edges: DataFrame, source: int, *, max_hops: int | None = None,
         if not new.limit(1).count():
             break
     return dist
+
+
+def has_negative_cycle(edges: DataFrame, source: int) -> bool:
+    """Whether distances from ``source`` fall for ever: on an undirected graph, whether it reaches an edge of negative weight."""
+    try:
+        bellman_ford(edges, source, frontier=True)
+    except ValueError:
+        return True
+    return False

@@ -17,8 +17,8 @@ from starforest.forest import shortcut, steps
 from starforest.forest.loop import ForestResult, check_bounds, minimum_spanning_forest, minimum_spanning_tree
 from starforest.forest.measures import graph_stats, kernel_writes, lightest_outgoing_edge, min_outgoing_per_tree, min_outgoing_per_vertex, outgoing_edges, verify_forest
 from starforest.graph import builders, generators
-from starforest.graph.order import canonical_edges, directed, rank_edges, vertices_of, with_random_weights
-from starforest.paths import bellman_ford, tense_edges
+from starforest.graph.order import canonical_edges, directed, filter_edges, induced_subgraph, largest_component, rank_edges, sample_edges, vertices_of, with_random_weights
+from starforest.paths import bellman_ford, has_negative_cycle, tense_edges
 from starforest.plans import oracle, parents
 from starforest.runtime import read_table
 
@@ -355,3 +355,44 @@ add("stream_static_forest", lambda s, d: minimum_spanning_forest(rank_edges(cano
 add("stream_window_activity", lambda s, d: streaming.replay(streaming.windowed_activity(streaming.event_stream(s, d))).select("user_id", "n").groupBy("n").agg(F.count("*").alias("windows")))
 add("stream_stateful_sequence", lambda s, d: streaming.replay(streaming.sequence_stream(streaming.event_stream(s, d))), "SELECT lag(event_id) OVER w AS a, event_id AS b, epoch_us(ts) - lag(epoch_us(ts)) OVER w AS w FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id) QUALIFY a IS NOT NULL")
 add("stream_session_activity", lambda s, d: streaming.replay(streaming.session_activity(streaming.event_stream(s, d)), mode="complete").groupBy("n").agg(F.count("*").alias("sessions")), "WITH e AS (SELECT user_id, epoch_us(ts) AS us, event_id FROM events), s AS (SELECT *, CASE WHEN us - lag(us) OVER (PARTITION BY user_id ORDER BY us, event_id) < 7200000000 THEN 0 ELSE 1 END AS new FROM e), g AS (SELECT user_id, sum(new) OVER (PARTITION BY user_id ORDER BY us, event_id) AS k FROM s), c AS (SELECT user_id, k, count(*) AS n FROM g GROUP BY 1, 2) SELECT n, count(*) AS sessions FROM c GROUP BY n")
+
+
+# Subgraphs and samples, nearest neighbours, reports for each tree, tours, SQL functions.
+_TRADE = oracle.EDGES["trade"]
+add(
+    "subgraph_induced_trade",
+    lambda s, d: induced_subgraph(ranked(s, d, "trade"), read_table(s, d, "customer").where("c_mktsegment = 'BUILDING'").select((F.col("c_custkey").cast("long") * 16).alias("v")).union(read_table(s, d, "supplier").select((F.col("s_suppkey").cast("long") * 16 + 1).alias("v")))).select("lo", "hi", "w"),
+    f"WITH k AS (SELECT CAST(c_custkey AS BIGINT) * 16 AS v FROM customer WHERE c_mktsegment = 'BUILDING' UNION SELECT CAST(s_suppkey AS BIGINT) * 16 + 1 FROM supplier) SELECT lo, hi, w FROM ({_TRADE}) WHERE lo IN (SELECT v FROM k) AND hi IN (SELECT v FROM k)",
+)
+add("subgraph_filtered_trade", lambda s, d: filter_edges(ranked(s, d, "trade"), at_least=1_000_000, at_most=5_000_000).select("lo", "hi", "w"), f"SELECT lo, hi, w FROM ({_TRADE}) WHERE w BETWEEN 1000000 AND 5000000")
+add("subgraph_sampled_trade", lambda s, d: sample_edges(ranked(s, d, "trade"), 0.25).select("lo", "hi", "w"), f"SELECT lo, hi, w FROM ({_TRADE}) WHERE {oracle.mixed_sql('lo', 'hi', '17')} < {int(0.25 * 2147483647)}")
+add(
+    "subgraph_largest_component_returns",
+    lambda s, d: (lambda r: largest_component(r.edges, r.components()).select("lo", "hi", "w"))(grow(s, d, "returns")),
+    f"WITH c AS MATERIALIZED ({oracle.components(oracle.EDGES['returns'])}), t AS (SELECT component FROM c GROUP BY component ORDER BY count(*) DESC, component LIMIT 1) SELECT lo, hi, w FROM ({oracle.EDGES['returns']}) WHERE lo IN (SELECT v FROM c JOIN t USING (component))",
+)
+_KNN = f"SELECT a, b, CAST(round(d * 1000) AS BIGINT) AS w, row_number() OVER (PARTITION BY a ORDER BY d, b) AS place FROM (SELECT {oracle.vid('x.vec_id', 8)} AS a, {oracle.vid('y.vec_id', 8)} AS b, {oracle._APART} AS d FROM embeddings x JOIN embeddings y ON x.vec_id <> y.vec_id)"
+_KNN_EDGES = f"SELECT least(a, b) AS lo, greatest(a, b) AS hi, min(w) AS w FROM ({_KNN}) WHERE place <= 8 GROUP BY 1, 2"
+
+
+def _knn(s: SparkSession, d: str) -> DataFrame:
+    return builders.knn_edges(read_table(s, d, "embeddings"), builders.vertex("vec_id", "vec"), "embedding", 8)
+
+
+add("edges_vectors_knn", _knn, _KNN_EDGES)
+add("forest_vectors_knn", lambda s, d: minimum_spanning_forest(rank_edges(_knn(s, d))).forest.select("lo", "hi", "w"), oracle.forest(_KNN_EDGES))
+add(
+    "single_linkage_nation_k",
+    lambda s, d: (lambda r: consumers.single_linkage(r.forest, vertices_of(r.edges), k=5).groupBy("cluster").agg(F.count("*").alias("members")).agg(F.count("*").alias("clusters"), F.sum("members").alias("vertices")))(grow(s, d, "nation")),
+    f"SELECT CAST(5 AS BIGINT) AS clusters, CAST(count(*) AS BIGINT) AS vertices FROM (SELECT lo FROM ({oracle.EDGES['nation']}) UNION SELECT hi FROM ({oracle.EDGES['nation']}))",
+)
+add(
+    "component_report_returns",
+    lambda s, d: (lambda r: consumers.component_report(r.forest, r.edges))(grow(s, d, "returns")),
+    f"WITH c AS MATERIALIZED ({oracle.components(oracle.EDGES['returns'])}), f AS MATERIALIZED ({oracle.forest(oracle.EDGES['returns'])}), e AS MATERIALIZED ({oracle.EDGES['returns']}), "
+    "x AS (SELECT component, count(*) AS links, CAST(sum(w) AS BIGINT) AS cost FROM f JOIN c ON lo = v GROUP BY 1), y AS (SELECT component, count(*) AS all_links, CAST(sum(w) AS BIGINT) AS all_cost FROM e JOIN c ON lo = v GROUP BY 1) "
+    "SELECT component, links + 1 AS vertices, links, cost, all_links, all_cost, all_cost - cost AS saving FROM x JOIN y USING (component)",
+)
+add("tour_nation", lambda s, d: (lambda r: consumers.tour(r.forest, r.edges).agg(F.count("*").alias("stops"), F.countDistinct("v").alias("vertices")))(grow(s, d, "nation")), f"SELECT count(*) AS stops, count(*) AS vertices FROM (SELECT lo FROM ({oracle.EDGES['nation']}) UNION SELECT hi FROM ({oracle.EDGES['nation']}))")
+add("negative_cycle_nation", lambda s, d: s.createDataFrame([(has_negative_cycle(e := ranked(s, d, "nation"), 4), has_negative_cycle(e.withColumn("w", F.when(F.col("lo") == e.agg(F.min("lo")).first()[0], -F.col("w")).otherwise(F.col("w"))), 4))], "plain boolean, negated boolean"), "SELECT false AS plain, true AS negated")
+add("sql_encode_vertex", lambda s, d: (sqlapi.register_encode_vertex(s), read_table(s, d, "customer").select("c_custkey", F.expr("encode_vertex(c_custkey, 0)").alias("v")))[1], "SELECT c_custkey, CAST(c_custkey AS BIGINT) * 16 AS v FROM customer")

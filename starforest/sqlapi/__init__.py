@@ -71,3 +71,9 @@ def l2_distance(a: pd.Series, b: pd.Series) -> pd.Series:
 
 def l2_builtin(a: str, b: str):
     return F.sqrt(F.aggregate(F.zip_with(a, b, lambda x, y: (x - y) * (x - y)), F.lit(0.0), lambda s, x: s + x))
+
+
+def register_encode_vertex(spark: SparkSession, name: str = "encode_vertex") -> str:
+    """A SQL function ``name(key, kind)``: the vertex of a table's key, as :func:`starforest.graph.builders.vertex` numbers it."""
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}(k BIGINT, kind INT) RETURNS BIGINT RETURN k * 16 + kind")
+    return name
