@@ -144,13 +144,15 @@ def scheduled_spans(docs: DataFrame, *, weights: tuple[int, ...] = (1, 2, 3), mo
 
 
 def mixed_documents(docs: DataFrame, **parameters) -> DataFrame:
-    """The rows that the mix takes, each as often as its taken words come to whole documents, once at least, in schedule order.
+    """The rows that the mix takes, as whole documents in schedule order.
 
-    A document comes at its first slot; which copies of a repeated doc_id the mix took does not matter, all stay. Words taken and
-    words of the rows returned differ by less than half a document each way.
+    A document comes as often as its taken words come to whole ones; the rest of a document is rounded up or down by a hash of its
+    doc_id, in proportion, so a source's words come near its target and reruns agree. It comes at its first slot; which rows of a
+    repeated doc_id the mix took does not matter, all come.
     """
-    times = F.greatest(F.lit(1), F.round(F.col("taken") / F.col("size"))).cast("int")
-    plan = mix_plan(docs, **parameters).where("taken > 0").groupBy(F.col("doc_id").alias("id")).agg(F.max(times).alias("times"), F.min("first_slot").alias("slot"))
+    chance = F.pmod(F.xxhash64("doc_id", F.lit("whole")), F.lit(1 << 20)) / float(1 << 20)
+    times = F.floor(F.col("taken") / F.col("size") + chance).cast("int")
+    plan = mix_plan(docs, **parameters).where("taken > 0").groupBy(F.col("doc_id").alias("id")).agg(F.max(times).alias("times"), F.min("first_slot").alias("slot")).where("times > 0")
     # The rows travel as one struct, so that no column of theirs can clash with the plan's.
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.col("doc_id").cast("long").alias("key"))
     back = rows.join(plan, F.col("key").eqNullSafe(F.col("id"))).withColumn("k", F.explode(F.sequence(F.lit(1), F.col("times"))))
