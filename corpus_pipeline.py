@@ -4,7 +4,7 @@ Stage contracts. ``language``: documents whose language is ``und`` or whose main
 half of their letters go. ``exact_dedup``: of equal texts (lower-cased in A-Z) the largest doc_id stays.
 ``near_dedup``: of each near-duplicate class the smallest doc_id stays. ``mix``: documents that the source mix
 does not take go, those it takes more than once are repeated, so doc_id may repeat from here on. ``encode``: piece
-ids of every text, decoded again to check. All stages but the last return the columns of documents
+ids of every text and their number. All stages but the last return the columns of documents
 and keep further columns; null and empty texts go in the first stage.
 """
 
@@ -52,7 +52,7 @@ STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] =
     ("encode", encode),
 ]
 
-#: Language scores, weighted samples and Viterbi are not expressible in SQL; tests/llm holds brute-force versions.
+#: Language scores, weighted samples and Viterbi are not expressible in SQL; tests/llm holds a brute-force version.
 ORACLE_SQL = None
 
 
