@@ -74,6 +74,7 @@ class PieceModel:
         for i in special:
             self.raw[i] = b""
         self.known: dict[str, np.ndarray] = {}
+        self.older: dict[str, np.ndarray] = {}
 
     def trie_score(self, piece: str) -> float | None:
         """The score of a plain piece; None if the vocabulary has none of that name."""
@@ -141,12 +142,15 @@ class PieceModel:
         coded = split.flatten().dictionary_encode()
         words = coded.dictionary.to_pylist()
         use = np.asarray(coded.indices, np.int64)
+        # Two generations: what the last ones used is kept when the younger one is full.
+        for w in [w for w in words if w not in self.known and w in self.older]:
+            self.known[w] = self.older[w]
         new = sorted({w for w in words if w not in self.known})
-        if len(self.known) + len(new) > _KEEP:
-            self.known, new = {}, sorted(set(words))
         for w, ids in zip(new, self.segment(new), strict=True):
             self.known[w] = np.array(ids, np.int32)
         got = [self.known[w] for w in words]
+        if len(self.known) > _KEEP:
+            self.known, self.older = {}, self.known
         size = np.array([len(x) for x in got], np.int64)
         pool = np.concatenate(got) if got else np.zeros(0, np.int32)
         start, length = np.cumsum(size) - size, size[use]
@@ -189,7 +193,7 @@ def encode_pieces(docs: DataFrame, *, model: str | None = None, keep: tuple[str,
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = PieceModel.of(path)
-        for batch in slices(batches, text=len(keep)):
+        for batch in slices(batches, text=len(keep), most=4 << 20):
             flat, counts = coder.encode(batch.column(len(keep)))
             ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]), pa.int32()), pa.array(flat))
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], ids], names=[*batch.schema.names[:-1], "ids"])
