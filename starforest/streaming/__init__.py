@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -23,10 +22,13 @@ def event_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
     return lines.withColumn("at", F.col("ts").cast("timestamp"))
 
 
-def replay(stream: DataFrame, *, mode: str = "append", each=None) -> DataFrame:
-    """Runs a stream over what is there now; its output (or what ``each(batch, id)`` does to it) is materialised."""
+def replay(stream: DataFrame, *, mode: str = "append", each=None, folder: str | None = None) -> DataFrame:
+    """Runs a stream over what is there now; its output (or what ``each(batch, id)`` does to it) is materialised.
+
+    The stream's checkpoint lies in ``folder``; a later call with the same one goes on from there.
+    """
     spark = stream.sparkSession
-    folder = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    folder = folder or f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
     if each is None and mode == "append":
         w = stream.writeStream.format("parquet").option("path", f"{folder}/out").outputMode("append")
     else:
@@ -41,32 +43,50 @@ def replay(stream: DataFrame, *, mode: str = "append", each=None) -> DataFrame:
 class IncrementalForest:
     """Keeps the forest of all edges seen: each batch's forest is that of the old forest and the new edges.
 
-    Nothing but the forest (fewer edges than vertices) is carried from batch to batch, as a new version in the
-    shared folder; a batch that is delivered twice changes nothing.
+    Nothing but the forest (fewer edges than vertices) is carried from batch to batch, as version ``v<batch>`` in
+    ``folder``; no state is held in the driver. Batch ``n`` starts from the last whole version before ``n``, so a batch
+    that is delivered again writes the same version, and a stream that is restarted with the same folder goes on.
+    Versions before the one a batch starts from are deleted. Without a folder a new one is made in the shared folder:
+    give one to any stream that may be restarted.
     """
 
-    def __init__(self, spark: SparkSession, **options) -> None:
-        self.folder = f"{shared_dir(spark)}/forest-{uuid.uuid4().hex}"
-        self.version, self.options = -1, options
-
-    def current(self, spark: SparkSession) -> DataFrame:
-        if self.version < 0:
+    def __init__(self, spark: SparkSession, folder: str | None = None, **options) -> None:
+        self.folder = folder or f"{shared_dir(spark)}/forest-{uuid.uuid4().hex}"
+        self.options = options
+
+    def versions(self, spark: SparkSession) -> list[int]:
+        """Whole versions in order; one whose writing was interrupted does not count."""
+        path = spark._jvm.org.apache.hadoop.fs.Path(self.folder)
+        files = path.getFileSystem(spark._jsc.hadoopConfiguration())
+        if not files.exists(path):
+            return []
+        found = [f.getPath() for f in files.listStatus(path) if f.getPath().getName()[1:].isdigit()]
+        whole = [p for p in found if files.exists(spark._jvm.org.apache.hadoop.fs.Path(p, "_SUCCESS"))]
+        return sorted(int(p.getName()[1:]) for p in whole)
+
+    def current(self, spark: SparkSession, before: int | None = None) -> DataFrame:
+        """The forest, or the one that the batches before ``before`` have left."""
+        known = [v for v in self.versions(spark) if before is None or v < before]
+        if not known:
             return spark.createDataFrame([], "lo long, hi long, w long")
-        return spark.read.parquet(f"{self.folder}/v{self.version}")
+        return spark.read.parquet(f"{self.folder}/v{known[-1]}")
 
     def add(self, edges: DataFrame, batch: int) -> None:
         spark = edges.sparkSession
-        both = self.current(spark).union(edges.select("lo", "hi", "w"))
+        both = self.current(spark, batch).union(edges.select("lo", "hi", "w"))
         found = minimum_spanning_forest(rank_edges(canonical_edges(both, "lo", "hi", "w")), **self.options).forest
         found.select("lo", "hi", "w").write.mode("overwrite").parquet(f"{self.folder}/v{batch}")
-        self.version = batch  # the version counts once it is whole
+        for old in [v for v in self.versions(spark) if v < batch][:-1]:
+            path = spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/v{old}")
+            path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
 
 
-def stream_forest(edges: DataFrame, **options) -> DataFrame:
-    """Forest of an edge stream ``(lo, hi, w)``."""
-    keeper = IncrementalForest(edges.sparkSession, **options)
-    replay(edges, each=keeper.add)
-    return keeper.current(edges.sparkSession)
+def stream_forest(edges: DataFrame, *, folder: str | None = None, **options) -> DataFrame:
+    """Forest of an edge stream ``(lo, hi, w)``. With a ``folder`` a later call goes on where the last one ended or broke off."""
+    spark = edges.sparkSession
+    keeper = IncrementalForest(spark, folder and f"{folder}/forest", **options)
+    replay(edges, each=keeper.add, folder=folder)
+    return keeper.current(spark)
 
 
 def merge_forests(forests: list[DataFrame], **options) -> DataFrame:
@@ -150,9 +170,4 @@ def running_components(edges: DataFrame, vertices: int, **options) -> int:
     return vertices - stream_forest(edges, **options).count()
 
 
-def local_folder() -> str:
-    """A scratch folder for tests."""
-    return tempfile.mkdtemp(prefix="starforest-stream-")
-
-
 __all__ = ["IncrementalForest", "cut", "daily_distinct", "event_stream", "follow_ups", "merge_forests", "replay", "running_components", "sequence_stream", "session_activity", "sliding_forest", "stream_forest", "user_type_edges", "windowed_activity"]

@@ -12,7 +12,7 @@ from starforest.components.connectivity import any_spanning_forest
 from starforest.graph.builders import radius_edges
 from starforest.plans.experiments import parallelism
 from starforest.sources import from_rows
-from starforest.streaming import sliding_forest
+from starforest.streaming import IncrementalForest, sliding_forest, stream_forest
 
 ROOT = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
 HAND = [(0, 1, 4), (1, 2, 7), (2, 3, 2), (0, 3, 9), (3, 4, 5), (4, 5, 1), (2, 5, 8), (6, 7, 6), (7, 8, 3), (6, 8, 10)]
@@ -34,6 +34,33 @@ def test_sliding_forest_is_the_forest_of_each_window(spark):
         assert {(r.lo, r.hi, r.w) for r in found if r.win == win} == want
 
 
+def _triples(frame):
+    return {(r.lo, r.hi, r.w) for r in frame.collect()}
+
+
+def test_restarted_stream_goes_on_with_its_forest(spark, tmp_path):
+    lines, state = str(tmp_path / "edges"), str(tmp_path / "state")
+    for upto, part in ((5, HAND[:5]), (10, HAND[5:])):
+        spark.createDataFrame(part, "lo long, hi long, w long").coalesce(1).write.mode("append").parquet(lines)
+        edges = spark.readStream.schema("lo long, hi long, w long").parquet(lines)
+        # Each call makes a keeper of its own: nothing of the first one's memory is left.
+        assert _triples(stream_forest(edges, folder=state)) == kruskal_local(HAND[:upto])
+
+
+def test_batches_delivered_again_or_broken_off_do_not_change_the_forest(spark, tmp_path):
+    batches = [spark.createDataFrame(HAND[k : k + 3], "lo long, hi long, w long") for k in (0, 3, 6)]
+    folder = str(tmp_path / "forest")
+    for k, batch in enumerate(batches):
+        IncrementalForest(spark, folder).add(batch, k)
+    kept = IncrementalForest(spark, folder)
+    assert kept.versions(spark) == [1, 2]
+    os.remove(f"{folder}/v2/_SUCCESS")
+    assert _triples(kept.current(spark)) == kruskal_local(HAND[:6])
+    for _ in range(2):
+        IncrementalForest(spark, folder).add(batches[2], 2)
+        assert _triples(kept.current(spark)) == kruskal_local(HAND[:9])
+
+
 def test_sliding_forest_of_nothing(spark):
     assert not sliding_forest(spark.createDataFrame([], "slice long, lo long, hi long, w long"), 2).count()
 
