@@ -40,7 +40,7 @@ class Rule(NamedTuple):
 
 
 #: The rules of the contract.
-RULES = (Rule("com/en/", "block"), Rule("example.com/en/7", "allow"), Rule("net/de/", "block"), Rule("example.net/de/8", "block"), Rule("org/es/", "block"))
+RULES = (Rule("com/en/", "block"), Rule("example.com/en/7", "allow"), Rule("net/de/", "allow"), Rule("example.net/de/8", "block"), Rule("org/es/", "block"))
 
 
 def labelled_urls() -> list[tuple[str, int]]:
