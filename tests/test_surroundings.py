@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from starforest.baselines import kruskal_local
 from starforest.components.connectivity import any_spanning_forest
 from starforest.graph.builders import radius_edges
+from starforest.plans.catalogue import write_table
 from starforest.plans.experiments import parallelism
 from starforest.sources import from_rows
 from starforest.streaming import IncrementalForest, sliding_forest, stream_forest
@@ -83,3 +84,8 @@ def test_parallelism_is_put_back(spark):
 def test_entry_imports_without_a_session():
     done = subprocess.run([sys.executable, "-c", "import __spark_entry__ as e; assert set(e.oracle_sql()) <= set(e.queries())"], cwd=ROOT, capture_output=True, text=True, timeout=120)
     assert not done.returncode, done.stderr
+
+
+def test_modelled_writes_round_halves_as_sql_does(spark):
+    # 10 / 4 = 2.5 and 2.5 + 2 * 3 = 8.5: to even they would be 2 and 8.
+    assert [tuple(r) for r in write_table(spark, 10, 3, (16,)).collect()] == [(16, 3, 9)]
