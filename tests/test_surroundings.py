@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from starforest.baselines import kruskal_local
 from starforest.components.connectivity import any_spanning_forest
 from starforest.graph.builders import radius_edges
+from starforest.operators import small_side_join
 from starforest.plans.catalogue import write_table
 from starforest.plans.experiments import parallelism
 from starforest.sources import from_rows
@@ -89,3 +90,10 @@ def test_entry_imports_without_a_session():
 def test_modelled_writes_round_halves_as_sql_does(spark):
     # 10 / 4 = 2.5 and 2.5 + 2 * 3 = 8.5: to even they would be 2 and 8.
     assert [tuple(r) for r in write_table(spark, 10, 3, (16,)).collect()] == [(16, 3, 9)]
+
+
+def test_only_a_counted_small_side_is_broadcast(spark):
+    left, right = spark.range(20).select((F.col("id") % 5).alias("k")), spark.range(4).select(F.col("id").alias("k"), (F.col("id") * 2).alias("x"))
+    few, many = small_side_join(left, right, ["k"]), small_side_join(left, right, ["k"], most=3)
+    assert sorted(few.collect()) == sorted(many.collect()) and few.count() == 16
+    assert "BroadcastHashJoin" in few._jdf.queryExecution().toString() and "Broadcast" not in many._jdf.queryExecution().executedPlan().toString()
