@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import ctypes
+from collections.abc import Callable
 
 import numpy as np
 import pyarrow as pa
@@ -115,6 +116,20 @@ def hash_runs(raw: np.ndarray, first: np.ndarray, last: np.ndarray) -> np.ndarra
     return out
 
 
+#: What a worker remembers between tasks for one operator, and how it forgets it.
+_stores: dict[str, Callable[[], None]] = {}
+
+
+def hold_store(name: str, forget: Callable[[], None]) -> None:
+    _stores[name] = forget
+
+
+def drop_stores(keep: str = "") -> None:
+    """Forgets what other operators left in this worker: workers outlive a stage, and so would their stores."""
+    for name in [n for n in _stores if n != keep]:
+        _stores.pop(name)()
+
+
 def hand_back() -> None:
     """Gives memory that a task no longer uses back to the machine: workers live on between tasks."""
     pa.default_memory_pool().release_unused()

@@ -16,7 +16,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 
-from starforest.llm.arrow_text import flat, hand_back, hash_runs, mix64
+from starforest.llm.arrow_text import drop_stores, flat, hand_back, hash_runs, mix64
 
 _SPACE = r"\s\x0B\x{85}\pZ"
 #: A space among white space, or at the end after it, forbids the cut.
@@ -246,8 +246,9 @@ class WordEncoder:
         return out, counts
 
 
-def slices(batches: Iterator[pa.RecordBatch], text: int = 1, most: int = _SLICE_BYTES) -> Iterator[pa.RecordBatch]:
-    """The same rows in batches of about ``most`` bytes of text (one row at least)."""
+def slices(batches: Iterator[pa.RecordBatch], text: int = 1, most: int = _SLICE_BYTES, store: str = "") -> Iterator[pa.RecordBatch]:
+    """The same rows in batches of about ``most`` bytes of text (one row at least). Stores of operators other than ``store`` are dropped."""
+    drop_stores(store)
     for batch in batches:
         ends = np.cumsum(np.asarray(pc.fill_null(pc.binary_length(batch.column(text)), 0), np.int64) + 16)
         at = 0

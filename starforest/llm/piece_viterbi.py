@@ -30,6 +30,7 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from starforest.llm.arrow_text import hold_store
 from starforest.llm.byte_bpe import slices, tokenizer_path
 
 MARK = "▁"
@@ -73,8 +74,12 @@ class PieceModel:
             self.raw[i] = bytes([b])
         for i in special:
             self.raw[i] = b""
-        self.known: dict[str, np.ndarray] = {}
-        self.older: dict[str, np.ndarray] = {}
+        # Ids of words as bytes: half the memory of an array each.
+        self.known: dict[str, bytes] = {}
+        self.older: dict[str, bytes] = {}
+
+    def forget(self) -> None:
+        self.known, self.older = {}, {}
 
     def trie_score(self, piece: str) -> float | None:
         """The score of a plain piece; None if the vocabulary has none of that name."""
@@ -147,12 +152,12 @@ class PieceModel:
             self.known[w] = self.older[w]
         new = sorted({w for w in words if w not in self.known})
         for w, ids in zip(new, self.segment(new), strict=True):
-            self.known[w] = np.array(ids, np.int32)
+            self.known[w] = np.array(ids, np.int32).tobytes()
         got = [self.known[w] for w in words]
         if len(self.known) > _KEEP:
             self.known, self.older = {}, self.known
-        size = np.array([len(x) for x in got], np.int64)
-        pool = np.concatenate(got) if got else np.zeros(0, np.int32)
+        size = np.array([len(x) // 4 for x in got], np.int64)
+        pool = np.frombuffer(b"".join(got), np.int32)
         start, length = np.cumsum(size) - size, size[use]
         ends = np.cumsum(length)
         flat = pool[np.repeat(start[use] - (ends - length), length) + np.arange(ends[-1] if len(ends) else 0)]
@@ -193,7 +198,8 @@ def encode_pieces(docs: DataFrame, *, model: str | None = None, keep: tuple[str,
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = PieceModel.of(path)
-        for batch in slices(batches, text=len(keep), most=4 << 20):
+        hold_store("pieces", coder.forget)
+        for batch in slices(batches, text=len(keep), most=4 << 20, store="pieces"):
             flat, counts = coder.encode(batch.column(len(keep)))
             ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]), pa.int32()), pa.array(flat))
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], ids], names=[*batch.schema.names[:-1], "ids"])
