@@ -9,9 +9,11 @@ from pyspark.sql import functions as F
 
 from starforest.baselines import kruskal_local
 from starforest.components.connectivity import any_spanning_forest
+from starforest.graph import generators
 from starforest.graph.builders import radius_edges
 from starforest.operators import small_side_join
-from starforest.plans.catalogue import write_table
+from starforest.plans import surroundings  # noqa: F401  (adds its queries to the catalogue)
+from starforest.plans.catalogue import QUERIES, write_table
 from starforest.plans.experiments import parallelism
 from starforest.sources import from_rows
 from starforest.streaming import IncrementalForest, sliding_forest, stream_forest
@@ -97,3 +99,14 @@ def test_only_a_counted_small_side_is_broadcast(spark):
     few, many = small_side_join(left, right, ["k"]), small_side_join(left, right, ["k"], most=3)
     assert sorted(few.collect()) == sorted(many.collect()) and few.count() == 16
     assert "BroadcastHashJoin" in few._jdf.queryExecution().toString() and "Broadcast" not in many._jdf.queryExecution().executedPlan().toString()
+
+
+def test_generators_take_the_keys_of_a_table(spark, tmp_path):
+    ids = spark.createDataFrame([(k,) for k in (0, 1, 2, 5, 40, 41, 79, 80)], "id long")
+    assert {tuple(r)[:2] for r in generators.grid_edges(ids, 40).collect()} == {(0, 1), (1, 2), (0, 40), (1, 41), (40, 41), (40, 80)}
+    assert set(generators.uniform_edges(spark.range(50), 9).collect()) == set(generators.uniform_graph(spark, 9, 50).collect())
+    assert set(generators.rmat_edges(spark.range(16), 3).collect()) == set(generators.rmat_graph(spark, 3, 2).collect())
+    spark.range(30).select((F.col("id") * 3).alias("c_custkey")).write.parquet(str(tmp_path / "customer.parquet"))
+    spark.range(30).select((F.col("id") * 3).alias("o_orderkey")).write.parquet(str(tmp_path / "orders.parquet"))
+    of_source, of_column = QUERIES["source_uniform"](spark, str(tmp_path)), QUERIES["gen_uniform"](spark, str(tmp_path))
+    assert set(of_source.collect()) == set(of_column.collect()) and of_source.count() > 20
