@@ -1,6 +1,7 @@
 """Any spanning forest, sliding forests, vectors within a radius, the experiments' settings, the entry without a session."""
 
 import os
+import random
 import subprocess
 import sys
 from itertools import combinations
@@ -110,3 +111,13 @@ def test_generators_take_the_keys_of_a_table(spark, tmp_path):
     spark.range(30).select((F.col("id") * 3).alias("o_orderkey")).write.parquet(str(tmp_path / "orders.parquet"))
     of_source, of_column = QUERIES["source_uniform"](spark, str(tmp_path)), QUERIES["gen_uniform"](spark, str(tmp_path))
     assert set(of_source.collect()) == set(of_column.collect()) and of_source.count() > 20
+
+
+def test_radius_edges_in_blocks(spark):
+    rng = random.Random(4)
+    points = [(k, [rng.gauss(0, 1) for _ in range(3)]) for k in range(60)] + [(60, []), (61, [float("nan"), 0.0, 0.0]), (62, [0.0, 0.0]), (63, [0.0, 1.0]), (64, [1e300, 0.0, 0.0]), (65, [1e300, 0.0, 0.0]), (66, [None, 0.0, 0.0])]
+    rows = radius_edges(spark.createDataFrame(points, "id long, x array<double>"), F.col("id"), "x", 1.0, block=16)
+    far = {(a, b): sum((p - q) ** 2 for p, q in zip(x, y, strict=True)) ** 0.5 for (a, x), (b, y) in combinations(points[:60], 2)}
+    assert _triples(rows) == {(a, b, round(d * 1000)) for (a, b), d in far.items() if d <= 1.0} | {(62, 63, 1000), (64, 65, 0)}
+    # No pair is tested in the engine's own lambda functions, which took the time.
+    assert "FlatMapGroupsInArrow" in rows._jdf.queryExecution().executedPlan().toString()
