@@ -8,7 +8,7 @@ from itertools import combinations
 
 from pyspark.sql import functions as F
 
-from starforest.baselines import kruskal_local
+from starforest.baselines import kruskal_local, prim, prim_local
 from starforest.components.connectivity import any_spanning_forest
 from starforest.graph import generators
 from starforest.graph.builders import radius_edges
@@ -121,3 +121,14 @@ def test_radius_edges_in_blocks(spark):
     assert _triples(rows) == {(a, b, round(d * 1000)) for (a, b), d in far.items() if d <= 1.0} | {(62, 63, 1000), (64, 65, 0)}
     # No pair is tested in the engine's own lambda functions, which took the time.
     assert "FlatMapGroupsInArrow" in rows._jdf.queryExecution().executedPlan().toString()
+
+
+def test_prim_in_shares_is_prim(spark):
+    rng = random.Random(6)
+    ends = {tuple(sorted(rng.sample(range(80), 2))) for _ in range(300)} | {(200, 201), (201, 202), (200, 202)}
+    rows = [(a, b, rng.randrange(4)) for a, b in ends]
+    assert _triples(prim(from_rows(spark, rows).repartition(5))) == prim_local(rows) == kruskal_local(rows)
+    assert not prim(from_rows(spark, [])).count()
+    # One task took every edge.
+    plan = prim(from_rows(spark, rows))._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("MapInArrow") == 3 and "Coalesce" not in plan
