@@ -9,7 +9,7 @@ from starforest.baselines import kruskal_local, prim_local
 from starforest.components.connectivity import connected_components
 from starforest.components.links import link_components
 from starforest.forest import shortcut as sc
-from starforest.forest import steps
+from starforest.forest import held, loop, steps
 from starforest.forest.loop import check_bounds, minimum_spanning_forest, minimum_spanning_tree
 from starforest.forest.measures import check_cut_property
 from starforest.graph.order import GraphError, canonical_edges, rank_edges, validate_graph, vertices_of
@@ -160,3 +160,33 @@ def test_weight_mode_full_and_mixed_shortcuts(spark):
     inside = spark.createDataFrame([(v,) for v in range(0, 300, 3)], "v long")
     assert check_cut_property(whole.forest, edges, inside)
     assert not check_cut_property(whole.forest.where("rank < 0"), edges, inside)
+
+
+def test_held_plan_is_the_grid_plan(spark, monkeypatch):
+    # Names uneven and negative, one of them isolated; the trace, the forest and the parents are those of the grid.
+    rng = random.Random(8)
+    rows = [(rng.randrange(300) ** 2 - 900, rng.randrange(300) ** 2 - 900, rng.randrange(50)) for _ in range(500)]
+    edges, alone = rank_edges(canonical_edges(spark.createDataFrame(rows, "a long, b long, w long"))), spark.createDataFrame([(-5000,)], "v long")
+    grid = minimum_spanning_forest(edges, alone, plan="grid", grid=2)
+    told = [(t.iteration, t.candidates, t.hooks, t.undone, t.strategy, t.sub_iterations) for t in grid.trace]
+    for most in (held.SETTLED_ROWS, 0):
+        monkeypatch.setattr(held, "SETTLED_ROWS", most)
+        found = minimum_spanning_forest(edges, alone, plan="held")
+        assert [(t.iteration, t.candidates, t.hooks, t.undone, t.strategy, t.sub_iterations) for t in found.trace] == told
+        assert _rows(found.forest) == _rows(grid.forest) and _rows(found.parents) == _rows(grid.parents)
+    asked = minimum_spanning_forest(edges, alone, plan="held", shortcut="queried")
+    assert _rows(asked.parents) == _rows(grid.parents) and {t.strategy for t in asked.trace} == {"queried"}
+    light = minimum_spanning_forest(edges, plan="held", mode="weight")
+    assert light.total == tuple(grid.forest.selectExpr("sum(w)", "count(*)").first())
+    # Beyond what is broadcast the loop takes this plan by itself: no bucketed table, no exchange of the parents.
+    monkeypatch.setattr(loop, "BROADCAST_ROWS", 10)
+    monkeypatch.setattr(steps, "grid_layout", None)
+    assert _rows(minimum_spanning_forest(edges).forest) == _rows(grid.forest)
+
+
+def test_held_names_spread_evenly_or_not():
+    import numpy as np
+
+    for name in ([], [5], [16, 32, 48, 80], [-7, 1, 2, 3, 10**9], [-(2**63), 0, 2**63 - 1]):
+        name = np.array(name, np.int64)
+        assert held._places(name)(name).tolist() == list(range(len(name)))
