@@ -68,7 +68,7 @@ class WordStore:
         self.used[at[known]] = self.now
         return np.where(known, at, -1)
 
-    def add(self, names: np.ndarray, checks: np.ndarray, ids: list[int], sizes: list[int]) -> None:
+    def add(self, names: np.ndarray, checks: np.ndarray, ids: list[int] | np.ndarray, sizes: list[int] | np.ndarray) -> None:
         keep = np.arange(len(self.names))
         if len(keep) + len(names) > self.most:  # the words of this batch stay, and of the others those used last
             order = np.argsort(-self.used, kind="stable")
@@ -86,7 +86,7 @@ class WordStore:
         self.now += 1
 
 
-def _outer_bytes(data: bytes, first: np.ndarray, last: np.ndarray) -> np.ndarray:
+def outer_bytes(data: bytes, first: np.ndarray, last: np.ndarray) -> np.ndarray:
     """A second hash of each run, of its first and last eight bytes and its length: words up to sixteen bytes are told apart by them."""
     # Every window of eight bytes as one number; zeros around the data.
     padded = np.frombuffer(bytes(8) + data + bytes(8), np.uint8)
@@ -183,7 +183,7 @@ class WordEncoder:
         if not len(first):
             return np.zeros(0, np.int32), np.zeros(len(texts), np.int64)
         last = np.append(first[1:], len(raw)) - 1
-        name, check = hash_runs(raw, first, last), _outer_bytes(data, first, last)
+        name, check = hash_runs(raw, first, last), outer_bytes(data, first, last)
         names, one, use = np.unique(name, return_index=True, return_inverse=True)
         if not (check[one][use] == check).all():  # two words of one hash
             return self._by_words(texts)

@@ -30,12 +30,13 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from starforest.llm.arrow_text import hold_store
-from starforest.llm.byte_bpe import slices, tokenizer_path
+from starforest.llm.arrow_text import flat as flat_bytes
+from starforest.llm.arrow_text import hash_runs, hold_store
+from starforest.llm.byte_bpe import WordStore, outer_bytes, slices, tokenizer_path
 
 MARK = "▁"
 _BYTE = re.compile(r"^<0x([0-9A-F]{2})>$")
-_KEEP = 150_000
+_KEEP = 300_000
 _SCORE, _IDS = 0, 1
 
 
@@ -74,12 +75,21 @@ class PieceModel:
             self.raw[i] = bytes([b])
         for i in special:
             self.raw[i] = b""
-        # Ids of words as bytes: half the memory of an array each.
-        self.known: dict[str, bytes] = {}
-        self.older: dict[str, bytes] = {}
+        self.forget()
 
     def forget(self) -> None:
-        self.known, self.older = {}, {}
+        # By hash, in arrays: a quarter of the memory of a dictionary by word.
+        self.store = WordStore(_KEEP)
+
+    @property
+    def known(self) -> int:
+        """Words in the store."""
+        return len(self.store.names)
+
+    @property
+    def older(self) -> int:
+        """Words in the store that the last texts did not have."""
+        return int((self.store.used < self.store.now - 1).sum())
 
     def trie_score(self, piece: str) -> float | None:
         """The score of a plain piece; None if the vocabulary has none of that name."""
@@ -136,6 +146,41 @@ class PieceModel:
             last = word
         return out
 
+    def _coded(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """The order in which distinct words are sorted, their ids in that order, flat, and how many each has."""
+        named = words.to_pylist()
+        order = sorted(range(len(named)), key=named.__getitem__)
+        ids, size = np.empty(1 << 12, np.int32), np.zeros(len(named), np.int64)
+        at = 0
+        for lo in range(0, len(order), 1 << 12):  # lists of ids are long: a few words at a time
+            for k, got in enumerate(self.segment([named[i] for i in order[lo : lo + (1 << 12)]]), lo):
+                size[k], to = len(got), at + len(got)
+                if to > len(ids):
+                    ids = np.concatenate([ids, np.empty(max(len(ids), len(got)), np.int32)])
+                ids[at:to], at = got, to
+        return np.array(order, np.int64), ids[:at], size
+
+    def _found(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """A pool of ids, and where each of the distinct ``words`` starts in it and how many ids it has."""
+        data, ends = flat_bytes(words)
+        name, check = np.zeros(len(words), np.uint64), np.zeros(len(words), np.uint64)
+        some = np.flatnonzero(np.diff(ends))
+        if len(some):
+            first, last = ends[some], ends[some + 1] - 1
+            name[some], check[some] = hash_runs(np.frombuffer(data, np.uint8), first, last), outer_bytes(data, first, last)
+        at = self.store.places(name, check) if len(np.unique(name)) == len(name) else None
+        if at is None:  # two words of one hash
+            order, pool, sizes = self._coded(words)
+            start, size = np.zeros(len(words), np.int64), np.zeros(len(words), np.int64)
+            start[order], size[order] = np.cumsum(sizes) - sizes, sizes
+            return pool, start, size
+        new = np.flatnonzero(at < 0)
+        if len(new):
+            order, ids, sizes = self._coded(words.take(pa.array(new)))
+            self.store.add(name[new[order]], check[new[order]], ids, sizes)
+            at = self.store.places(name, check)
+        return self.store.pool, self.store.starts[at], self.store.sizes[at]
+
     def encode(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """Flat ids (int32) and, for each text, how many."""
         texts = pc.fill_null(texts.cast(pa.large_string()), "")
@@ -145,22 +190,11 @@ class PieceModel:
         split = pc.split_pattern(cut, " ")
         sizes = np.diff(np.asarray(split.offsets))
         coded = split.flatten().dictionary_encode()
-        words = coded.dictionary.to_pylist()
         use = np.asarray(coded.indices, np.int64)
-        # Two generations: what the last ones used is kept when the younger one is full.
-        for w in [w for w in words if w not in self.known and w in self.older]:
-            self.known[w] = self.older[w]
-        new = sorted({w for w in words if w not in self.known})
-        for w, ids in zip(new, self.segment(new), strict=True):
-            self.known[w] = np.array(ids, np.int32).tobytes()
-        got = [self.known[w] for w in words]
-        if len(self.known) > _KEEP:
-            self.known, self.older = {}, self.known
-        size = np.array([len(x) // 4 for x in got], np.int64)
-        pool = np.frombuffer(b"".join(got), np.int32)
-        start, length = np.cumsum(size) - size, size[use]
+        pool, start, size = self._found(coded.dictionary)
+        length = size[use]
         ends = np.cumsum(length)
-        flat = pool[np.repeat(start[use] - (ends - length), length) + np.arange(ends[-1] if len(ends) else 0)]
+        flat = pool[np.repeat(start[use] - (ends - length), length) + np.arange(ends[-1] if len(ends) else 0)] if len(pool) else np.zeros(0, np.int32)
         doc_ends = np.concatenate([[0], ends])[np.cumsum(sizes)]
         return flat, np.diff(doc_ends, prepend=0)
 
@@ -199,7 +233,7 @@ def encode_pieces(docs: DataFrame, *, model: str | None = None, keep: tuple[str,
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = PieceModel.of(path)
         hold_store("pieces", coder.forget)
-        for batch in slices(batches, text=len(keep), most=4 << 20, store="pieces"):
+        for batch in slices(batches, text=len(keep), most=1 << 20, store="pieces"):
             flat, counts = coder.encode(batch.column(len(keep)))
             ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]), pa.int32()), pa.array(flat))
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(keep)], ids], names=[*batch.schema.names[:-1], "ids"])
