@@ -126,8 +126,10 @@ def hold_store(name: str, forget: Callable[[], None]) -> None:
 
 def drop_stores(keep: str = "") -> None:
     """Forgets what other operators left in this worker: workers outlive a stage, and so would their stores."""
-    for name in [n for n in _stores if n != keep]:
-        _stores.pop(name)()
+    if gone := [n for n in _stores if n != keep]:
+        for name in gone:
+            _stores.pop(name)()
+        hand_back()
 
 
 def hand_back() -> None:

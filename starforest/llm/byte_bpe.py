@@ -256,4 +256,5 @@ def slices(batches: Iterator[pa.RecordBatch], text: int = 1, most: int = _SLICE_
             to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + most, "right")))
             yield batch.slice(at, to - at)
             at = to
+            hand_back()  # what a slice took is not left to lie about beside the next one's
     hand_back()

@@ -34,6 +34,8 @@ _SCRIPTS = np.array([0, 1, 0, 1, 0, 1, 0, 1, 0, 1, 0, 1, 1, 2, 3, 4, 5, 6, 7, 8,
 N_SCRIPTS = 20
 #: Languages that a model can have: with 2**bits weights each, this bounds what the driver gathers and tasks are sent (256 MB).
 MAX_LANGS = 512
+#: Distinct words whose n-grams are scored, or counted, at a time.
+_SCORED = 1 << 13
 
 
 class LanguageModel(NamedTuple):
@@ -45,16 +47,21 @@ class LanguageModel(NamedTuple):
 
     def word_scores(self, words: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         """float32[word, lang] and the words' letter counts."""
-        row, bucket = _ngrams(words, self.bits, self.sizes)
-        n = len(words)
-        count = np.maximum(np.bincount(row, minlength=n), 1)
-        out = np.stack([np.bincount(row, self.logp[bucket, k], n) / np.sqrt(count) for k in range(len(self.langs))], 1) if n else np.zeros((0, len(self.langs)))
+        # N-grams take over a hundred bytes for each byte of a word: a few words at a time.
+        parts = [self._gram_scores(words.slice(at, _SCORED)) for at in range(0, len(words), _SCORED)]
+        out = np.concatenate(parts) if parts else np.zeros((0, len(self.langs)))
         allowed = self.scripts[word_scripts(words)]
         narrows = allowed.any(1)
         out[narrows] = np.where(allowed[narrows], out[narrows], -1e6)
         out[~narrows] = 0  # no learned language uses the script: the word says nothing
         return out.astype(np.float32), np.asarray(pc.utf8_length(words), np.int64)
 
+    def _gram_scores(self, words: pa.Array) -> np.ndarray:
+        row, bucket = _ngrams(words, self.bits, self.sizes)
+        n = len(words)
+        count = np.maximum(np.bincount(row, minlength=n), 1)
+        return np.stack([np.bincount(row, self.logp[bucket, k], n) / np.sqrt(count) for k in range(len(self.langs))], 1)
+
 
 def word_scripts(words: pa.Array) -> np.ndarray:
     """The script of each word's first letter."""
@@ -87,6 +94,21 @@ def _ngrams(words: pa.Array, bits: int, sizes: tuple[int, ...]) -> tuple[np.ndar
     return np.concatenate(rows), np.concatenate(buckets)
 
 
+def _counted(langs: pa.Array, texts: pa.Array, bits: int, sizes: tuple[int, ...]) -> Iterator[tuple[str, np.ndarray, np.ndarray]]:
+    """For each language the buckets of its texts' n-grams and, below zero, the scripts of their words, and how many there are of each."""
+    coded = langs.dictionary_encode()
+    words, n = split_words(texts)
+    spoken = np.repeat(np.asarray(coded.indices, np.int64), n)
+    for k, lang in enumerate(coded.dictionary.to_pylist()):
+        mine = words.filter(pa.array(spoken == k))
+        grams, scripts = np.zeros(1 << bits, np.int64), np.zeros(N_SCRIPTS, np.int64)
+        for at in range(0, len(mine), _SCORED):
+            some = mine.slice(at, _SCORED)
+            grams += np.bincount(_ngrams(some, bits, sizes)[1], minlength=1 << bits)
+            scripts += np.bincount(word_scripts(some), minlength=N_SCRIPTS)
+        yield lang, np.concatenate([np.flatnonzero(grams), -1 - np.flatnonzero(scripts)]), np.concatenate([grams[grams > 0], scripts[scripts > 0]])
+
+
 def fit_language_model(labelled: DataFrame, *, per_lang: int = 600, bits: int = 17, sizes: tuple[int, ...] = (1, 2, 3, 4), floor: float = 0.5) -> LanguageModel:
     """Fits on ``labelled(text, lang)``: about ``per_lang`` rows of each language at most, by the order of a hash."""
     rows = labelled.where("lang is not null and text is not null").select("lang", "text").withColumn("_h", F.xxhash64("text"))
@@ -103,18 +125,8 @@ def fit_language_model(labelled: DataFrame, *, per_lang: int = 600, bits: int =
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
-            langs = batch.column(0).to_pylist()
-            words, n = split_words(batch.column(1))
-            owner = np.repeat(np.arange(len(langs)), n)
-            row, bucket = _ngrams(words, bits, sizes)
-            script = word_scripts(words)
-            for lang in set(langs):
-                mine = np.array([x == lang for x in langs])[owner] if len(owner) else np.zeros(0, bool)
-                found = np.bincount(bucket[mine[row]], minlength=1 << bits)
-                used = np.flatnonzero(found)
-                s = np.bincount(script[mine], minlength=N_SCRIPTS)
-                keys = np.concatenate([used, -1 - np.flatnonzero(s)])
-                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(keys)), pa.array(keys, pa.int64()), pa.array(np.concatenate([found[used], s[s > 0]]), pa.int64())], names=["lang", "key", "n"])
+            for lang, keys, found in _counted(batch.column(0), batch.column(1), bits, sizes):
+                yield pa.RecordBatch.from_arrays([pa.array([lang] * len(keys)), pa.array(keys, pa.int64()), pa.array(found, pa.int64())], names=["lang", "key", "n"])
 
     counts = table.mapInArrow(count, "lang string, key long, n long").groupBy("lang", "key").agg(F.sum("n").alias("n")).toPandas()
     langs = tuple(sorted(counts["lang"].unique()))

@@ -232,7 +232,8 @@ def encode_pieces(docs: DataFrame, *, model: str | None = None, keep: tuple[str,
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         coder = PieceModel.of(path)
-        hold_store("pieces", coder.forget)
+        # The trie goes with the words: it is read again in half a second if this worker encodes once more.
+        hold_store("pieces", PieceModel._made.clear)
         for batch in slices(batches, text=len(keep), most=1 << 20, store="pieces"):
             flat, counts = coder.encode(batch.column(len(keep)))
             ids = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]), pa.int32()), pa.array(flat))
