@@ -184,6 +184,20 @@ def test_held_plan_is_the_grid_plan(spark, monkeypatch):
     assert _rows(minimum_spanning_forest(edges).forest) == _rows(grid.forest)
 
 
+def test_parents_are_held_before_they_are_too_many_to_broadcast(spark, monkeypatch):
+    rng = random.Random(9)
+    rows = [(rng.randrange(200), rng.randrange(200), rng.randrange(50)) for _ in range(400)]
+    edges = rank_edges(canonical_edges(spark.createDataFrame(rows, "a long, b long, w long")))
+    sent = minimum_spanning_forest(edges)
+    told = [(t.iteration, t.candidates, t.hooks, t.undone, t.strategy, t.sub_iterations) for t in sent.trace]
+    monkeypatch.setattr(loop, "HELD_FROM", 10)
+    pairwise = minimum_spanning_forest(edges, kernel="vertex")  # cannot hold them, and may still broadcast
+    monkeypatch.setattr(steps, "root_candidates", None)
+    found = minimum_spanning_forest(edges)
+    assert [(t.iteration, t.candidates, t.hooks, t.undone, t.strategy, t.sub_iterations) for t in found.trace] == told
+    assert _rows(found.forest) == _rows(sent.forest) == _rows(pairwise.forest) and _rows(found.parents) == _rows(sent.parents)
+
+
 def test_held_names_spread_evenly_or_not():
     import numpy as np
 
