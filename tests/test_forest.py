@@ -198,6 +198,20 @@ def test_parents_are_held_before_they_are_too_many_to_broadcast(spark, monkeypat
     assert _rows(found.forest) == _rows(sent.forest) == _rows(pairwise.forest) and _rows(found.parents) == _rows(sent.parents)
 
 
+def test_edges_are_made_once_to_be_ranked(spark):
+    seen = spark.sparkContext.accumulator(0)
+
+    def watched(batches):
+        for b in batches:
+            seen.add(b.num_rows)
+            yield b
+
+    rows = [(i, i + 1, 7 - i % 3) for i in range(60)]
+    ranked = rank_edges(spark.createDataFrame(rows, "lo long, hi long, w long").mapInArrow(watched, "lo long, hi long, w long"))
+    assert [(r.lo, r.hi, r.w) for r in ranked.orderBy("rank").collect()] == sorted(rows, key=lambda r: (r[2], *r[:2]))
+    assert seen.value == len(rows)
+
+
 def test_held_names_spread_evenly_or_not():
     import numpy as np
 
